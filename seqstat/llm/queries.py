@@ -7,7 +7,7 @@ from collections.abc import Callable
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from seqstat.llm import exact_dedup, mixing, simhash
+from seqstat.llm import exact_dedup, mixing, packing, pii, secret_scan, simhash, spans, token_count
 from seqstat.llm.shared import documents
 
 
@@ -21,15 +21,35 @@ def op2_curriculum_mix(spark: SparkSession, sf_dir: str) -> DataFrame:
     return mixed.select("doc_id", "size", "source_size", "target", "taken")
 
 
+def op3_resync_token_counts(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return token_count.token_counts(documents(spark, sf_dir))
+
+
+def op4_markov_secrets(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return spans.digest(secret_scan.find_secrets(documents(spark, sf_dir)), [k.name for k in secret_scan.BASE])
+
+
+def op5_complement_packing(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return packing.pack(documents(spark, sf_dir))
+
+
 def op6_digest_tree(spark: SparkSession, sf_dir: str) -> DataFrame:
     groups = exact_dedup.exact_groups(documents(spark, sf_dir))
     return groups.select("doc_id", "keep_id", "group_size", "kept", F.lower(F.hex("digest")).alias("text_sha256"))
 
 
+def op10_bilstm_pii(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return spans.digest(pii.find_pii(documents(spark, sf_dir)), pii.BASE)
+
+
 QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {
     "op1_simhash_covering": op1_simhash_covering,
     "op2_curriculum_mix": op2_curriculum_mix,
+    "op3_resync_token_counts": op3_resync_token_counts,
+    "op4_markov_secrets": op4_markov_secrets,
+    "op5_complement_packing": op5_complement_packing,
     "op6_digest_tree": op6_digest_tree,
+    "op10_bilstm_pii": op10_bilstm_pii,
 }
 
 ORACLES: dict[str, str] = {
