@@ -7,7 +7,7 @@ from collections.abc import Callable
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from seqstat.llm import exact_dedup, mixing, packing, pii, secret_scan, simhash, spans, token_count
+from seqstat.llm import embedding_dedup, exact_dedup, language_id, mixing, packing, pii, secret_scan, simhash, spans, token_count, toxicity
 from seqstat.llm.shared import documents
 
 
@@ -38,6 +38,19 @@ def op6_digest_tree(spark: SparkSession, sf_dir: str) -> DataFrame:
     return groups.select("doc_id", "keep_id", "group_size", "kept", F.lower(F.hex("digest")).alias("text_sha256"))
 
 
+def op7_trie_toxicity(spark: SparkSession, sf_dir: str) -> DataFrame:
+    scored = toxicity.score(documents(spark, sf_dir), spark.read.parquet(f"{sf_dir}/labels.parquet"))
+    return scored.select("doc_id", "held_out", "score", "predicted")
+
+
+def op8_language_mixture(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return language_id.language_mixtures(documents(spark, sf_dir)).select("doc_id", "held_out", "lang_pred", "score")
+
+
+def op9_int8_embedding_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return embedding_dedup.near_vectors(spark.read.parquet(f"{sf_dir}/embeddings.parquet"))
+
+
 def op10_bilstm_pii(spark: SparkSession, sf_dir: str) -> DataFrame:
     return spans.digest(pii.find_pii(documents(spark, sf_dir)), pii.BASE)
 
@@ -49,6 +62,9 @@ QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {
     "op4_markov_secrets": op4_markov_secrets,
     "op5_complement_packing": op5_complement_packing,
     "op6_digest_tree": op6_digest_tree,
+    "op7_trie_toxicity": op7_trie_toxicity,
+    "op8_language_mixture": op8_language_mixture,
+    "op9_int8_embedding_dedup": op9_int8_embedding_dedup,
     "op10_bilstm_pii": op10_bilstm_pii,
 }
 
@@ -79,6 +95,14 @@ from placed p join aims a on p.source is not distinct from a.source""",
 with t as (select doc_id, sha256(regexp_replace(coalesce(text, ''), '[\x20\x09-\x0D]+', ' ', 'g')) h from documents)
 select doc_id, min(doc_id) over g keep_id, count(*) over g group_size, doc_id = min(doc_id) over g kept, h text_sha256
 from t window g as (partition by h)""",
+    "op9_int8_embedding_dedup": """
+with recursive v as (select vec_id, embedding::double[] e from embeddings),
+links as (select a.vec_id a, b.vec_id b from v a join v b on a.vec_id <> b.vec_id and list_cosine_similarity(a.e, b.e) >= 0.95),
+reach as (select a, b from links union select r.a, l.b from reach r join links l on r.b = l.a)
+select vec_id, (select count(*) from links l where l.a = v.vec_id) n_links,
+       least(vec_id, coalesce((select min(b) from reach r where r.a = v.vec_id), vec_id)) component_id,
+       least(vec_id, coalesce((select min(b) from reach r where r.a = v.vec_id), vec_id)) = vec_id kept
+from v""",
 }
 
 
