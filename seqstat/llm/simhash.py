@@ -71,14 +71,16 @@ def covering_masks(radius: int) -> list[int]:
 
 
 def buckets(classes: DataFrame, radius: int) -> DataFrame:
-    """(mask, bucket, fp, rep): every class under every mask."""
+    """(bucket, mask, fp, rep): every class under every mask. The bucket is a hash of the mask and the masked bits: two that
+    collide only share candidates, which are compared bit by bit anyway."""
     masks = F.array(*[F.lit(m).cast("long") for m in covering_masks(radius)])
-    return classes.select("fp", "rep", F.explode(masks).alias("mask")).withColumn("bucket", F.col("fp").bitwiseAND(F.col("mask")))
+    exploded = classes.select("fp", "rep", F.explode(masks).alias("mask"))
+    return exploded.withColumn("bucket", F.xxhash64("mask", F.col("fp").bitwiseAND(F.col("mask"))))
 
 
 def crowded(entries: DataFrame) -> DataFrame:
-    """(mask, bucket, n) of the buckets that hold two classes or more."""
-    return entries.groupBy("mask", "bucket").agg(F.count(F.lit(1)).alias("n")).where("n > 1")
+    """(bucket, n) of the buckets that hold two classes or more."""
+    return entries.groupBy("bucket").agg(F.count(F.lit(1)).alias("n")).where("n > 1")
 
 
 def distance(x: Column, y: Column) -> Column:
@@ -87,8 +89,8 @@ def distance(x: Column, y: Column) -> Column:
 
 def small_pairs(entries: DataFrame, counts: DataFrame, radius: int) -> DataFrame:
     """All pairs within the radius (fp and rep of both) of buckets of at most SMALL classes."""
-    few = entries.join(counts.where(F.col("n") <= SMALL), ["mask", "bucket"])
-    lists = few.groupBy("mask", "bucket").agg(F.collect_list(F.struct("fp", "rep")).alias("all"))
+    few = entries.join(counts.where(F.col("n") <= SMALL), "bucket")
+    lists = few.groupBy("bucket").agg(F.collect_list(F.struct("fp", "rep")).alias("all"))
     left = lists.select("all", F.explode("all").alias("x"))
     near = F.filter("all", lambda y: (y["fp"] > F.col("x.fp")) & (distance(y["fp"], F.col("x.fp")) <= radius))
     pairs = left.select("x", F.explode(near).alias("y"))
@@ -102,7 +104,7 @@ def crowded_links(entries: DataFrame, counts: DataFrame) -> DataFrame:
     differ where the mask is clear, so each class sends itself to those z, and each z links its classes with the least:
     as many rows as clear bits for each class, whatever the bucket's size, and no link lost or added.
     """
-    many = entries.join(counts.where(F.col("n") > SMALL), ["mask", "bucket"])
+    many = entries.join(counts.where(F.col("n") > SMALL), "bucket")
     flips = F.array(F.lit(0).cast("long"), *[F.lit(1 << i if i < 63 else -(1 << 63)).cast("long") for i in range(64)])
     clear = F.filter(flips, lambda z: z.bitwiseAND(F.col("mask")) == 0)
     balls = many.select("rep", "mask", "fp", F.explode(clear).alias("flip")).select("rep", "mask", F.col("fp").bitwiseXOR(F.col("flip")).alias("z"))
@@ -125,3 +127,77 @@ def fingerprint_components(docs: DataFrame, words: int = 3) -> DataFrame:
     joined = components(links)
     named = classes.join(joined.withColumnRenamed("node", "rep"), "rep", "left").select("fp", F.coalesce("component", "rep").alias("component_id"))
     return attach_class(rows, "fp", named, "doc_id").select("doc_id", "fp", "component_id")
+
+
+def shingle_sets(docs: DataFrame, words: int) -> DataFrame:
+    """(id, shingles): the distinct shingle hashes of every row."""
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            sets = [np.unique(shingle_hashes(ascii_words(t.as_py()), words)).view(np.int64) for t in batch.column(1)]
+            yield pa.RecordBatch.from_arrays([batch.column(0), pa.array(sets, pa.list_(pa.int64()))], ["id", "shingles"])
+
+    return docs.select(F.col("doc_id").cast("long"), F.col("text").cast("string")).mapInArrow(run, "id long, shingles array<long>")
+
+
+def candidates(live: DataFrame, entries: DataFrame, counts: DataFrame, radius: int, turn: int) -> DataFrame:
+    """Pairs (a, b) of rows to compare: all within the radius in small buckets; in larger ones, and in classes of one fingerprint,
+    each row with the leader that this turn's hash chooses."""
+    rank = lambda c: F.struct(F.xxhash64(F.lit(turn), c), c)
+    lead = lambda g, key, *more: g.groupBy(key).agg(F.min(rank(F.col("rep"))).alias("__l"), F.count(F.lit(1)).alias("__n"), *more).where("__n > 1").select(key, F.col("__l.rep").alias("leader"))
+    same = live.join(lead(live, "fp"), "fp").where("rep <> leader").select(F.col("leader").alias("a"), F.col("rep").alias("b"))
+    many = entries.join(counts.where(F.col("n") > SMALL), "bucket")
+    leaders = lead(many, "bucket").join(many.select(F.col("rep").alias("leader"), F.col("fp").alias("leader_fp")).distinct(), "leader")
+    led = many.join(leaders, "bucket").where((F.col("rep") != F.col("leader")) & (distance(F.col("fp"), F.col("leader_fp")) <= radius))
+    pairs = small_pairs(entries, counts, radius).select("a", "b").union(same).union(led.select(F.col("leader").alias("a"), F.col("rep").alias("b")))
+    return pairs.select(F.least("a", "b").alias("a"), F.greatest("a", "b").alias("b")).distinct()
+
+
+def near_duplicates(docs: DataFrame, words: int = 5, similarity: float = 0.8, radius: int = 6) -> DataFrame:
+    """(doc_id, component_id) of the documents in a near-duplicate group of two or more; groups are named by their least id.
+
+    Candidates are fingerprints of the distinct words within ``radius`` bits, by covering masks; a pair is linked if the sets of
+    its ``words``-word shingles have a Jaccard similarity of ``similarity`` or more. Buckets of more than SMALL classes are settled
+    in turns: members are compared with one leader, linked ones are merged into the least of them, and what is left meets
+    another leader, until a turn links nothing; as soon as such a bucket is small, all its pairs are compared. Rows without an
+    id are left out; repeated rows count once; texts without words are alike; an empty table gives no rows.
+    """
+    prints = stage(fingerprints(docs.where("doc_id is not null"), 1, distinct=True).groupBy("doc_id").agg(F.min("fp").alias("fp")), "word-prints")
+    live = prints.select(F.col("doc_id").alias("rep"), "fp")
+    links, turn, opened = None, 0, None
+    known = None
+    while True:
+        classes = live.groupBy("fp").agg(F.min("rep").alias("rep"))
+        entries = buckets(classes, radius).drop("mask")
+        if opened is not None:
+            entries = entries.join(opened, "bucket", "left_semi")
+        counts = stage(crowded(entries), "crowded")
+        pairs = candidates(live, entries, counts, radius, turn)
+        pairs = stage(pairs if known is None else pairs.join(known, ["a", "b"], "left_anti"), "pairs")
+        ids = pairs.select(F.col("a").alias("doc_id")).union(pairs.select("b")).distinct()
+        sets = stage(shingle_sets(docs.select("doc_id", "text").join(ids, "doc_id", "left_semi"), words).dropDuplicates(["id"]), "shingles")
+        both = pairs.join(sets.withColumnsRenamed({"id": "a", "shingles": "sa"}), "a").join(sets.withColumnsRenamed({"id": "b", "shingles": "sb"}), "b")
+        common, total = F.size(F.array_intersect("sa", "sb")), F.size("sa") + F.size("sb")
+        alike = (total == 0) | (common >= similarity * (total - common))
+        found = stage(both.where(alike).select("a", "b"), "links")
+        known = pairs if known is None else known.union(pairs)
+        if not found.isEmpty():
+            links = found if links is None else links.union(found)
+        elif turn:
+            break
+        opened = stage(counts.where(F.col("n") > SMALL).select("bucket"), "open")
+        crowd = live.groupBy("fp").count().where("count > 1")
+        if found.isEmpty() or (opened.isEmpty() and crowd.isEmpty()):
+            break
+        merged = components(found).where("node <> component").select(F.col("node").alias("rep"))
+        live = stage(live.join(merged, "rep", "left_anti"), "live")
+        turn += 1
+    if links is None:
+        return prints.select("doc_id", F.col("doc_id").alias("component_id")).where("false")
+    return components(links).withColumnRenamed("node", "doc_id").withColumnRenamed("component", "component_id")
+
+
+def keep_one(docs: DataFrame, **options) -> DataFrame:
+    """The rows of ``docs``, all columns, without those of a near-duplicate group that aren't its least id."""
+    dropped = stage(near_duplicates(docs, **options).where("doc_id <> component_id").select(F.col("doc_id").alias("__id")), "dropped")
+    return docs.join(dropped, F.col("doc_id") == F.col("__id"), "left_anti")
