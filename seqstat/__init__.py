@@ -1,0 +1 @@
+"""Exact statistics of contiguous term sequences on PySpark."""
