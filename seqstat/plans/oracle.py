@@ -30,7 +30,7 @@ seqs as (select doc_id{more}, seq_no, regexp_extract_all(lower(s), '{TOKEN}') w
 
 
 EVENT_DAYS = """
-seqs as (select user_id doc_id, cast(ts as date) day, datediff('day', date '1970-01-01', cast(ts as date)) seq_no,
+seqs as (select user_id doc_id, cast(ts as date) as day, datediff('day', date '1970-01-01', cast(ts as date)) seq_no,
                 list(event_type order by ts, event_id) w
          from events where user_id is not null group by user_id, cast(ts as date))"""
 EVENT_USERS = """

@@ -8,7 +8,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from seqstat.functions import text
-from seqstat.operators import aggregate, condense
+from seqstat.operators import aggregate, condense, relational
 from seqstat.operators.direct import direct_count, gram_rows
 from seqstat.operators.encode import Options, Prepared, build_dictionary, decode, prepare
 from seqstat.operators.levelwise_index import levelwise_index, locate, postings
@@ -16,6 +16,7 @@ from seqstat.operators.levelwise_scan import levelwise_scan
 from seqstat.operators.suffix import suffix_prefix_hash, suffix_rollup, suffix_scan
 from seqstat.plans import choose, measures, oracle
 from seqstat.sources import tables
+from seqstat.streaming import stream
 
 Query = Callable[[SparkSession, str], DataFrame]
 
@@ -26,7 +27,7 @@ LM, ANALYTICS = (10, 5), (10, 100)
 def named(stats: DataFrame, p: Prepared, *others: str) -> DataFrame:
     """gram, n and further columns from ids."""
     counted = stats.withColumn("n", F.size("ids").cast("bigint"))
-    return decode(counted.select("ids", "n", *(others or ("cf",))), p.dictionary)
+    return decode(counted.select("ids", "n", *[c for c in others or ("cf",) if c != "n"]), p.dictionary)
 
 
 def over(make: Callable[[Prepared, int, int], DataFrame], tau: int, sigma: int, corpus: Callable = text.documents, opts: Options = Options(), *others: str) -> Query:
@@ -148,7 +149,7 @@ def series_sql(tau: int, sigma: int, seqs: str, extra: str) -> str:
 
 
 YEARS = oracle.sequences("select doc_id, 1987 + doc_id % 21 period, text from documents", "period")
-DAYS = oracle.EVENT_DAYS.replace("select user_id doc_id, cast(ts as date) day,", "select user_id doc_id, cast(datediff('day', date '1970-01-01', cast(ts as date)) as bigint) period,")
+DAYS = oracle.EVENT_DAYS.replace("select user_id doc_id, cast(ts as date) as day,", "select user_id doc_id, cast(datediff('day', date '1970-01-01', cast(ts as date)) as bigint) period,")
 LANGS, SOURCES = (oracle.sequences(f"select doc_id, {c}, text from documents", c) for c in ("lang", "source"))
 for method in ("suffix", "direct"):
     tail = "" if method == "suffix" else "_direct"
@@ -168,7 +169,7 @@ def quotations(spark: SparkSession, sf_dir: str) -> DataFrame:
     return named(spread, p, "first_year", "last_year", "years", "cf")
 
 
-add("quotations_spread", quotations, f"{oracle.ctes(10, 20, YEARS, 'period')} select gram, n, min(period) first_year, max(period) last_year, count(distinct period) years, count(*) cf from grams where n >= 10 group by gram, n having count(*) >= 10")
+add("quotations_spread", quotations, f"{oracle.ctes(10, 20, YEARS, 'period')} select gram, n, min(period) first_year, max(period) last_year, count(distinct period) as years, count(*) cf from grams where n >= 10 group by gram, n having count(*) >= 10")
 
 # Other corpora.
 add("pages_lm", over(lambda p, t, s: suffix_scan(p, t, s), 20, 5, text.pages), oracle.stats(20, 5, oracle.sequences(oracle.PAGES)))
@@ -313,8 +314,8 @@ add("prefix_pushdown", prefix_push, f"{oracle.stats_cte(20, 4)} select gram, n,
 
 
 def queries() -> dict[str, Query]:
-    return dict(QUERIES)
+    return QUERIES | relational.QUERIES | stream.queries()
 
 
 def oracle_sql() -> dict[str, str]:
-    return dict(ORACLES)
+    return ORACLES | relational.ORACLES | stream.oracle_sql()
