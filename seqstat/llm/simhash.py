@@ -22,7 +22,7 @@ from seqstat.llm.shared import ascii_words, attach_class, stage
 #: Fixed value: the seed of the shingle hash.
 SEED = 42
 #: Buckets of more classes than this aren't paired one by one.
-SMALL = 16
+SMALL = 48
 
 
 def shingle_hashes(words: list[bytes], n: int) -> np.ndarray:
@@ -92,7 +92,7 @@ def small_pairs(entries: DataFrame, counts: DataFrame, radius: int) -> DataFrame
     few = entries.join(counts.where(F.col("n") <= SMALL), "bucket")
     lists = few.groupBy("bucket").agg(F.collect_list(F.struct("fp", "rep")).alias("all"))
     left = lists.select("all", F.explode("all").alias("x"))
-    near = F.filter("all", lambda y: (y["fp"] > F.col("x.fp")) & (distance(y["fp"], F.col("x.fp")) <= radius))
+    near = F.filter("all", lambda y: (y["rep"] > F.col("x.rep")) & (distance(y["fp"], F.col("x.fp")) <= radius))
     pairs = left.select("x", F.explode(near).alias("y"))
     return pairs.select(F.col("x.fp").alias("fp_a"), F.col("x.rep").alias("a"), F.col("y.fp").alias("fp_b"), F.col("y.rep").alias("b"))
 
@@ -140,16 +140,15 @@ def shingle_sets(docs: DataFrame, words: int) -> DataFrame:
     return docs.select(F.col("doc_id").cast("long"), F.col("text").cast("string")).mapInArrow(run, "id long, shingles array<long>")
 
 
-def candidates(live: DataFrame, entries: DataFrame, counts: DataFrame, radius: int, turn: int) -> DataFrame:
-    """Pairs (a, b) of rows to compare: all within the radius in small buckets; in larger ones, and in classes of one fingerprint,
-    each row with the leader that this turn's hash chooses."""
-    rank = lambda c: F.struct(F.xxhash64(F.lit(turn), c), c)
-    lead = lambda g, key, *more: g.groupBy(key).agg(F.min(rank(F.col("rep"))).alias("__l"), F.count(F.lit(1)).alias("__n"), *more).where("__n > 1").select(key, F.col("__l.rep").alias("leader"))
-    same = live.join(lead(live, "fp"), "fp").where("rep <> leader").select(F.col("leader").alias("a"), F.col("rep").alias("b"))
-    many = entries.join(counts.where(F.col("n") > SMALL), "bucket")
-    leaders = lead(many, "bucket").join(many.select(F.col("rep").alias("leader"), F.col("fp").alias("leader_fp")).distinct(), "leader")
-    led = many.join(leaders, "bucket").where((F.col("rep") != F.col("leader")) & (distance(F.col("fp"), F.col("leader_fp")) <= radius))
-    pairs = small_pairs(entries, counts, radius).select("a", "b").union(same).union(led.select(F.col("leader").alias("a"), F.col("rep").alias("b")))
+def candidates(entries: DataFrame, counts: DataFrame, radius: int, turn: int, leaders: int = 8) -> DataFrame:
+    """Pairs (a, b) of rows to compare: all within the radius in small buckets; in larger ones each row with up to ``leaders`` rows
+    that this turn's hash chooses."""
+    many = entries.join(counts.where(F.col("n") > SMALL), "bucket").select("bucket", "fp", "rep")
+    slot = F.pmod(F.xxhash64(F.lit(turn), "rep"), F.lit(leaders))
+    chosen = many.groupBy("bucket", slot.alias("slot")).agg(F.min(F.struct(F.xxhash64(F.lit(-1 - turn), "rep").alias("h"), "rep", "fp")).alias("l"))
+    led = many.join(chosen.select("bucket", F.col("l.rep").alias("leader"), F.col("l.fp").alias("leader_fp")), "bucket")
+    led = led.where((F.col("rep") != F.col("leader")) & (distance(F.col("fp"), F.col("leader_fp")) <= radius))
+    pairs = small_pairs(entries, counts, radius).select("a", "b").union(led.select(F.col("leader").alias("a"), F.col("rep").alias("b")))
     return pairs.select(F.least("a", "b").alias("a"), F.greatest("a", "b").alias("b")).distinct()
 
 
@@ -157,37 +156,34 @@ def near_duplicates(docs: DataFrame, words: int = 5, similarity: float = 0.8, ra
     """(doc_id, component_id) of the documents in a near-duplicate group of two or more; groups are named by their least id.
 
     Candidates are fingerprints of the distinct words within ``radius`` bits, by covering masks; a pair is linked if the sets of
-    its ``words``-word shingles have a Jaccard similarity of ``similarity`` or more. Buckets of more than SMALL classes are settled
-    in turns: members are compared with one leader, linked ones are merged into the least of them, and what is left meets
-    another leader, until a turn links nothing; as soon as such a bucket is small, all its pairs are compared. Rows without an
+    its ``words``-word shingles have a Jaccard similarity of ``similarity`` or more. Buckets of more than SMALL rows are settled
+    in turns: members are compared with up to eight leaders, linked ones are merged into the least of them, and what is left
+    meets other leaders, until a turn links nothing; as soon as such a bucket is small, all its pairs are compared. Rows without an
     id are left out; repeated rows count once; texts without words are alike; an empty table gives no rows.
     """
     prints = stage(fingerprints(docs.where("doc_id is not null"), 1, distinct=True).groupBy("doc_id").agg(F.min("fp").alias("fp")), "word-prints")
     live = prints.select(F.col("doc_id").alias("rep"), "fp")
-    links, turn, opened = None, 0, None
-    known = None
+    links, known, sets, opened, turn = None, None, None, None, 0
     while True:
-        classes = live.groupBy("fp").agg(F.min("rep").alias("rep"))
-        entries = buckets(classes, radius).drop("mask")
+        entries = buckets(live.repartition("rep"), radius).select("bucket", "fp", "rep")
         if opened is not None:
             entries = entries.join(opened, "bucket", "left_semi")
         counts = stage(crowded(entries), "crowded")
-        pairs = candidates(live, entries, counts, radius, turn)
+        pairs = candidates(entries, counts, radius, turn)
         pairs = stage(pairs if known is None else pairs.join(known, ["a", "b"], "left_anti"), "pairs")
-        ids = pairs.select(F.col("a").alias("doc_id")).union(pairs.select("b")).distinct()
-        sets = stage(shingle_sets(docs.select("doc_id", "text").join(ids, "doc_id", "left_semi"), words).dropDuplicates(["id"]), "shingles")
+        opened = stage(counts.where(F.col("n") > SMALL).select("bucket"), "open")
+        if sets is None:  # of all rows that this or a later turn compares
+            later = entries.join(opened, "bucket", "left_semi").select("rep")
+            ids = pairs.select(F.col("a").alias("doc_id")).union(pairs.select("b")).union(later).distinct()
+            sets = stage(shingle_sets(docs.select("doc_id", "text").join(ids, "doc_id", "left_semi"), words).dropDuplicates(["id"]), "shingles")
         both = pairs.join(sets.withColumnsRenamed({"id": "a", "shingles": "sa"}), "a").join(sets.withColumnsRenamed({"id": "b", "shingles": "sb"}), "b")
         common, total = F.size(F.array_intersect("sa", "sb")), F.size("sa") + F.size("sb")
-        alike = (total == 0) | (common >= similarity * (total - common))
-        found = stage(both.where(alike).select("a", "b"), "links")
-        known = pairs if known is None else known.union(pairs)
-        if not found.isEmpty():
-            links = found if links is None else links.union(found)
-        elif turn:
+        found = stage(both.where((total == 0) | (common >= similarity * (total - common))).select("a", "b"), "links")
+        if found.isEmpty():
             break
-        opened = stage(counts.where(F.col("n") > SMALL).select("bucket"), "open")
-        crowd = live.groupBy("fp").count().where("count > 1")
-        if found.isEmpty() or (opened.isEmpty() and crowd.isEmpty()):
+        known = pairs if known is None else known.union(pairs)
+        links = found if links is None else links.union(found)
+        if opened.isEmpty():
             break
         merged = components(found).where("node <> component").select(F.col("node").alias("rep"))
         live = stage(live.join(merged, "rep", "left_anti"), "live")
