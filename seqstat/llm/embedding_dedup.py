@@ -16,7 +16,7 @@ from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from seqstat.llm.graph import components
-from seqstat.llm.shared import attach_class, stage
+from seqstat.llm.shared import attach_class, sample_rows, stage
 
 #: For rounding in the bounds themselves: far above the error of sums in double precision, far below any distance that matters.
 SLACK = 1e-9
@@ -79,7 +79,7 @@ def blocks(classes: DataFrame, pivots: int, size: int, seed: int) -> tuple[DataF
 
     Pivots are drawn by a hash, so their number doesn't follow the input; a cell's classes are dealt to its blocks by hash.
     """
-    drawn = classes.orderBy(F.xxhash64(F.lit(seed), "rep"), "rep").limit(pivots).collect()
+    drawn = sample_rows(classes, pivots, seed, "rep")
     centres = [unit(np.array([r["embedding"]]))[0] for r in drawn]
     sent = classes.sparkSession.sparkContext.broadcast(centres)
 

@@ -17,7 +17,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from seqstat.llm.shared import ascii_words, fold, stage
+from seqstat.llm.shared import ascii_words, fold, sample_rows, stage
 from seqstat.llm.simhash import shingle_hashes
 
 WORD = re.compile(r"[^\W_]+")
@@ -191,9 +191,8 @@ def train(docs: DataFrame, labels: DataFrame, held_out: int = 1, folds: int = 3,
     these documents. The logistic model is fitted on a third of the sample, with terms that the other two thirds gave.
     """
     usable = labels.where((fold(F.col("doc_id"), folds) != held_out) & F.col("toxic").isin(0, 1) & F.col("doc_id").isNotNull()).select("doc_id", "toxic").distinct()
-    order = (F.xxhash64(F.lit(seed), "doc_id"), "doc_id")
-    ids = usable.where("toxic = 1").orderBy(*order).limit(positives).union(usable.where("toxic = 0").orderBy(*order).limit(negatives))
-    ids = docs.sparkSession.createDataFrame(ids.collect(), "doc_id long, toxic int")  # at most positives + negatives rows
+    drawn = sample_rows(usable.where("toxic = 1"), positives, seed) + sample_rows(usable.where("toxic = 0"), negatives, seed)
+    ids = docs.sparkSession.createDataFrame(drawn, "doc_id long, toxic int")  # at most positives + negatives rows
     chosen = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("text"))
 
     def sign(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
