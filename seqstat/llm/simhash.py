@@ -70,12 +70,12 @@ def covering_masks(radius: int) -> list[int]:
     return [m - (1 << 64) if m >> 63 else m for m in masks]
 
 
-def buckets(classes: DataFrame, radius: int) -> DataFrame:
-    """(bucket, mask, fp, rep): every class under every mask. The bucket is a hash of the mask and the masked bits: two that
-    collide only share candidates, which are compared bit by bit anyway."""
+def buckets(classes: DataFrame, radius: int, also: tuple[str, ...] = ()) -> DataFrame:
+    """(bucket, mask, fp, rep): every class under every mask. The bucket is a hash of the mask, the masked bits and the columns
+    ``also``: two that collide only share candidates, which are compared bit by bit anyway."""
     masks = F.array(*[F.lit(m).cast("long") for m in covering_masks(radius)])
-    exploded = classes.select("fp", "rep", F.explode(masks).alias("mask"))
-    return exploded.withColumn("bucket", F.xxhash64("mask", F.col("fp").bitwiseAND(F.col("mask"))))
+    exploded = classes.select("fp", "rep", *also, F.explode(masks).alias("mask"))
+    return exploded.withColumn("bucket", F.xxhash64("mask", F.col("fp").bitwiseAND(F.col("mask")), *also))
 
 
 def crowded(entries: DataFrame) -> DataFrame:
@@ -140,7 +140,40 @@ def shingle_sets(docs: DataFrame, words: int) -> DataFrame:
     return docs.select(F.col("doc_id").cast("long"), F.col("text").cast("string")).mapInArrow(run, "id long, shingles array<long>")
 
 
-def candidates(entries: DataFrame, counts: DataFrame, radius: int, turn: int, leaders: int = 8) -> DataFrame:
+def mixed(hashes: np.ndarray, n: int) -> np.ndarray:
+    """The n-th of independent hashes of the same items (the finaliser of splitmix64, with its fixed constants)."""
+    if not n:
+        return hashes
+    z = hashes + np.uint64(n * 0x9E3779B97F4A7C15 & (1 << 64) - 1)
+    z = (z ^ (z >> np.uint64(30))) * np.uint64(0xBF58476D1CE4E5B9)
+    z = (z ^ (z >> np.uint64(27))) * np.uint64(0x94D049BB133111EB)
+    return z ^ (z >> np.uint64(31))
+
+
+def word_prints(docs: DataFrame, prints: int) -> DataFrame:
+    """(doc_id, fps): so many independent fingerprints of the distinct words of every row."""
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            fps = []
+            for text in batch.column(1):
+                hashes = shingle_hashes([*set(ascii_words(text.as_py()))], 1)
+                fps.append([majority(mixed(hashes, n)) for n in range(prints)])
+            yield pa.RecordBatch.from_arrays([batch.column(0), pa.array(fps, pa.list_(pa.int64()))], ["doc_id", "fps"])
+
+    return docs.select(F.col("doc_id").cast("long"), F.col("text").cast("string")).mapInArrow(run, "doc_id long, fps array<long>")
+
+
+def print_buckets(live: DataFrame, radius: int) -> DataFrame:
+    """(bucket, fp, rep): every fingerprint of every row under every mask."""
+    return buckets(live.select("rep", F.posexplode("fps").alias("print", "fp")), radius, ("print",)).select("bucket", "fp", "rep")
+
+
+def ordered(pairs: DataFrame) -> DataFrame:
+    return pairs.select(F.least("a", "b").alias("a"), F.greatest("a", "b").alias("b")).distinct()
+
+
+def candidates(entries: DataFrame, counts: DataFrame, radius: int, turn: int, leaders: int = 4) -> DataFrame:
     """Pairs (a, b) of rows to compare: all within the radius in small buckets; in larger ones each row with up to ``leaders`` rows
     that this turn's hash chooses."""
     many = entries.join(counts.where(F.col("n") > SMALL), "bucket").select("bucket", "fp", "rep")
@@ -149,23 +182,47 @@ def candidates(entries: DataFrame, counts: DataFrame, radius: int, turn: int, le
     led = many.join(chosen.select("bucket", F.col("l.rep").alias("leader"), F.col("l.fp").alias("leader_fp")), "bucket")
     led = led.where((F.col("rep") != F.col("leader")) & (distance(F.col("fp"), F.col("leader_fp")) <= radius))
     pairs = small_pairs(entries, counts, radius).select("a", "b").union(led.select(F.col("leader").alias("a"), F.col("rep").alias("b")))
-    return pairs.select(F.least("a", "b").alias("a"), F.greatest("a", "b").alias("b")).distinct()
+    return ordered(pairs)
+
 
+def unsettled(entries: DataFrame, joined: DataFrame, radius: int) -> DataFrame:
+    """Pairs (a, b) within the radius in a bucket whose ends are in different components.
 
-def near_duplicates(docs: DataFrame, words: int = 5, similarity: float = 0.8, radius: int = 6) -> DataFrame:
+    A bucket of one component has nothing to settle. In others, rows outside the bucket's most frequent component meet all its
+    rows, so that a large component is never paired with itself.
+    """
+    named = entries.join(joined.withColumnRenamed("node", "rep"), "rep", "left").select("bucket", "fp", "rep", F.coalesce("component", "rep").alias("of"))
+    named = stage(named, "named")
+    sizes = named.groupBy("bucket", "of").agg(F.count(F.lit(1)).alias("n"))
+    tops = sizes.groupBy("bucket").agg(F.max(F.struct("n", "of"))["of"].alias("top"), F.count(F.lit(1)).alias("kinds")).where("kinds > 1").drop("kinds")
+    open_ = stage(named.join(tops, "bucket"), "unsettled")
+    few = open_.where("of <> top").select("bucket", F.col("fp").alias("fp_a"), F.col("rep").alias("a"), F.col("of").alias("of_a"))
+    rest = open_.select("bucket", F.col("fp").alias("fp_b"), F.col("rep").alias("b"), F.col("of").alias("of_b"))
+    met = few.join(rest, "bucket").where((F.col("of_a") != F.col("of_b")) & (distance(F.col("fp_a"), F.col("fp_b")) <= radius))
+    return ordered(met.select("a", "b"))
+
+
+def near_duplicates(docs: DataFrame, words: int = 5, similarity: float = 0.8, radius: int = 5, prints: int = 4) -> DataFrame:
     """(doc_id, component_id) of the documents in a near-duplicate group of two or more; groups are named by their least id.
 
-    Candidates are fingerprints of the distinct words within ``radius`` bits, by covering masks; a pair is linked if the sets of
-    its ``words``-word shingles have a Jaccard similarity of ``similarity`` or more. Buckets of more than SMALL rows are settled
-    in turns: members are compared with up to eight leaders, linked ones are merged into the least of them, and what is left
-    meets other leaders, until a turn links nothing; as soon as such a bucket is small, all its pairs are compared. Rows without an
-    id are left out; repeated rows count once; texts without words are alike; an empty table gives no rows.
+    Candidates are pairs of which one of ``prints`` independent fingerprints of the distinct words lies within ``radius`` bits, by
+    covering masks; a pair is linked if the sets of its ``words``-word shingles have a Jaccard similarity of ``similarity`` or more.
+    Buckets of more than SMALL rows are settled in turns: members are compared with up to four leaders, linked ones are merged into
+    the least of them, and what is left meets other leaders until a turn links nothing or the bucket is small; at last all
+    candidates of such buckets whose ends are in different components are compared, so that no link between two components is missed.
+    Rows without an id are left out; repeated rows count once; texts without words are alike; an empty table gives no rows.
     """
-    prints = stage(fingerprints(docs.where("doc_id is not null"), 1, distinct=True).groupBy("doc_id").agg(F.min("fp").alias("fp")), "word-prints")
-    live = prints.select(F.col("doc_id").alias("rep"), "fp")
-    links, known, sets, opened, turn = None, None, None, None, 0
+    drawn = stage(word_prints(docs.where("doc_id is not null"), prints).groupBy("doc_id").agg(F.min("fps").alias("fps")), "word-prints")
+    everyone = drawn.select(F.col("doc_id").alias("rep"), "fps")
+    live, links, known, sets, large, opened, turn = everyone, None, None, None, None, None, 0
+
+    def alike(pairs: DataFrame) -> DataFrame:
+        both = pairs.join(sets.withColumnsRenamed({"id": "a", "shingles": "sa"}), "a").join(sets.withColumnsRenamed({"id": "b", "shingles": "sb"}), "b")
+        common, total = F.size(F.array_intersect("sa", "sb")), F.size("sa") + F.size("sb")
+        return stage(both.where((total == 0) | (common >= similarity * (total - common))).select("a", "b"), "links")
+
     while True:
-        entries = buckets(live.repartition("rep"), radius).select("bucket", "fp", "rep")
+        entries = print_buckets(live.repartition("rep"), radius)
         if opened is not None:
             entries = entries.join(opened, "bucket", "left_semi")
         counts = stage(crowded(entries), "crowded")
@@ -173,24 +230,24 @@ def near_duplicates(docs: DataFrame, words: int = 5, similarity: float = 0.8, ra
         pairs = stage(pairs if known is None else pairs.join(known, ["a", "b"], "left_anti"), "pairs")
         opened = stage(counts.where(F.col("n") > SMALL).select("bucket"), "open")
         if sets is None:  # of all rows that this or a later turn compares
+            large = opened
             later = entries.join(opened, "bucket", "left_semi").select("rep")
             ids = pairs.select(F.col("a").alias("doc_id")).union(pairs.select("b")).union(later).distinct()
             sets = stage(shingle_sets(docs.select("doc_id", "text").join(ids, "doc_id", "left_semi"), words).dropDuplicates(["id"]), "shingles")
-        both = pairs.join(sets.withColumnsRenamed({"id": "a", "shingles": "sa"}), "a").join(sets.withColumnsRenamed({"id": "b", "shingles": "sb"}), "b")
-        common, total = F.size(F.array_intersect("sa", "sb")), F.size("sa") + F.size("sb")
-        found = stage(both.where((total == 0) | (common >= similarity * (total - common))).select("a", "b"), "links")
-        if found.isEmpty():
-            break
+        found = alike(pairs)
         known = pairs if known is None else known.union(pairs)
         links = found if links is None else links.union(found)
-        if opened.isEmpty():
+        if opened.isEmpty() or found.isEmpty():
             break
         merged = components(found).where("node <> component").select(F.col("node").alias("rep"))
         live = stage(live.join(merged, "rep", "left_anti"), "live")
         turn += 1
-    if links is None:
-        return prints.select("doc_id", F.col("doc_id").alias("component_id")).where("false")
-    return components(links).withColumnRenamed("node", "doc_id").withColumnRenamed("component", "component_id")
+    joined = components(links)
+    if not large.isEmpty():
+        entries = print_buckets(everyone.repartition("rep"), radius).join(large, "bucket", "left_semi")
+        pairs = stage(unsettled(entries, joined, radius).join(known, ["a", "b"], "left_anti"), "pairs")
+        joined = components(links.union(alike(pairs)))
+    return joined.select(F.col("node").alias("doc_id"), F.col("component").alias("component_id"))
 
 
 def keep_one(docs: DataFrame, **options) -> DataFrame:

@@ -88,6 +88,33 @@ def test_near_duplicates_of_a_crowd(spark):
     assert found == {i: 0 for i in range(100)}
 
 
+def test_near_duplicates_along_a_chain(spark):
+    """Each text differs from the next in one word and from far ones in many; a second crowd is unlike the first in word order alone."""
+    rng = np.random.default_rng(5)
+    words = [f"w{i}" for i in range(200)]
+    rows = [(i, " ".join([*(f"x{j}" for j in range(i)), *words[i:]])) for i in range(120)]
+    rows += [(500 + i, " ".join(rng.permutation(words))) for i in range(70)] + [(900, " ".join(words[::-1])), (901, " ".join([*words[:0:-1], "end"]))]
+    sets = {i: {tuple(w[k : k + 5]) for k in range(len(w) - 4)} for i, t in rows if (w := t.split())}
+    links = [(a, b) for a, b in itertools.combinations(sets, 2) if len(sets[a] & sets[b]) >= 0.8 * len(sets[a] | sets[b])]
+    want = least_reachable(sets, links)
+    found = {r["doc_id"]: r["component_id"] for r in simhash.near_duplicates(spark.createDataFrame(rows, "doc_id long, text string")).collect()}
+    assert found == {i: c for i, c in want.items() if i != c or c in {x for j, x in want.items() if j != x}}
+
+
+def test_independent_prints_find_near_pairs(spark):
+    """At least 99 of 100 pairs at similarity 0.8 or a little more, and no group without such a pair."""
+    rng = np.random.default_rng(6)
+    rows = []
+    for i in range(300):
+        words = [f"v{x}" for x in rng.integers(0, 5000, 140)]
+        other = list(words)
+        for at in rng.choice(140, 2, replace=False):
+            other[at] = f"y{at}"
+        rows += [(2 * i, " ".join(words)), (2 * i + 1, " ".join(other))]
+    found = {r["doc_id"]: r["component_id"] for r in simhash.near_duplicates(spark.createDataFrame(rows, "doc_id long, text string")).collect()}
+    assert len(found) >= 2 * 297 and all(c == i - i % 2 for i, c in found.items())
+
+
 def test_components(spark):
     rng = np.random.default_rng(2)
     edges = [(i, i + 1) for i in range(60)] + [(100, 100 + i) for i in range(1, 40)] + [tuple(map(int, rng.integers(200, 300, 2))) for _ in range(80)]
