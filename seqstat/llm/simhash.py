@@ -74,7 +74,7 @@ def buckets(classes: DataFrame, radius: int, also: tuple[str, ...] = ()) -> Data
     """(bucket, mask, fp, rep): every class under every mask. The bucket is a hash of the mask, the masked bits and the columns
     ``also``: two that collide only share candidates, which are compared bit by bit anyway."""
     masks = F.array(*[F.lit(m).cast("long") for m in covering_masks(radius)])
-    exploded = classes.select("fp", "rep", *also, F.explode(masks).alias("mask"))
+    exploded = classes.select("*", F.explode(masks).alias("mask"))
     return exploded.withColumn("bucket", F.xxhash64("mask", F.col("fp").bitwiseAND(F.col("mask")), *also))
 
 
@@ -150,71 +150,87 @@ def mixed(hashes: np.ndarray, n: int) -> np.ndarray:
     return z ^ (z >> np.uint64(31))
 
 
-def word_prints(docs: DataFrame, prints: int) -> DataFrame:
-    """(doc_id, fps): so many independent fingerprints of the distinct words of every row."""
+def word_prints(docs: DataFrame, prints: int, words: int) -> DataFrame:
+    """(doc_id, fps, sh): so many independent fingerprints of the distinct words of every row, and one of its distinct shingles."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
-            fps = []
+            fps, sh = [], []
             for text in batch.column(1):
-                hashes = shingle_hashes([*set(ascii_words(text.as_py()))], 1)
+                found = ascii_words(text.as_py())
+                hashes = shingle_hashes([*set(found)], 1)
                 fps.append([majority(mixed(hashes, n)) for n in range(prints)])
-            yield pa.RecordBatch.from_arrays([batch.column(0), pa.array(fps, pa.list_(pa.int64()))], ["doc_id", "fps"])
+                sh.append(majority(np.unique(shingle_hashes(found, words))))
+            yield pa.RecordBatch.from_arrays([batch.column(0), pa.array(fps, pa.list_(pa.int64())), pa.array(sh, pa.int64())], ["doc_id", "fps", "sh"])
 
-    return docs.select(F.col("doc_id").cast("long"), F.col("text").cast("string")).mapInArrow(run, "doc_id long, fps array<long>")
+    return docs.select(F.col("doc_id").cast("long"), F.col("text").cast("string")).mapInArrow(run, "doc_id long, fps array<long>, sh long")
 
 
-def print_buckets(live: DataFrame, radius: int) -> DataFrame:
-    """(bucket, fp, rep): every fingerprint of every row under every mask."""
-    return buckets(live.select("rep", F.posexplode("fps").alias("print", "fp")), radius, ("print",)).select("bucket", "fp", "rep")
+def crowd_of(everyone: DataFrame, radius: int) -> DataFrame:
+    """(bucket, n, rep, fp, sh): every fingerprint of every row under every mask, where two rows or more share the bucket.
+
+    Bucket and id alone are shuffled; what stays gets its fingerprints afterwards.
+    """
+    entries = buckets(everyone.select("rep", F.posexplode("fps").alias("print", "fp")).repartition("rep"), radius, ("print",)).select("bucket", "rep", "print")
+    counts = stage(crowded(entries), "crowded")
+    shared = stage(entries.join(counts, "bucket"), "shared")
+    return stage(shared.join(everyone, "rep").select("bucket", "n", "rep", F.col("fps")[F.col("print")].alias("fp"), "sh"), "crowd")
 
 
 def ordered(pairs: DataFrame) -> DataFrame:
     return pairs.select(F.least("a", "b").alias("a"), F.greatest("a", "b").alias("b")).distinct()
 
 
-def candidates(entries: DataFrame, counts: DataFrame, radius: int, turn: int, leaders: int = 4) -> DataFrame:
-    """Pairs (a, b) of rows to compare: all within the radius in small buckets; in larger ones each row with up to ``leaders`` rows
-    that this turn's hash chooses."""
-    many = entries.join(counts.where(F.col("n") > SMALL), "bucket").select("bucket", "fp", "rep")
+def listed_pairs(few: DataFrame, radius: int, far: int) -> DataFrame:
+    """All candidates (a, b) of buckets of at most SMALL rows."""
+    lists = few.groupBy("bucket").agg(F.collect_list(F.struct("rep", "fp", "sh")).alias("all"))
+    left = lists.select("all", F.explode("all").alias("x"))
+    near = lambda y: (y["rep"] > F.col("x.rep")) & (distance(y["fp"], F.col("x.fp")) <= radius) & (distance(y["sh"], F.col("x.sh")) <= far)
+    return left.select(F.col("x.rep").alias("a"), F.explode(F.transform(F.filter("all", near), lambda y: y["rep"])).alias("b"))
+
+
+def led_pairs(many: DataFrame, radius: int, far: int, turn: int, leaders: int = 4) -> DataFrame:
+    """Candidates (a, b) of larger buckets: each row, in its most crowded bucket, with up to ``leaders`` rows that this turn's hash chooses."""
+    own = many.groupBy("rep").agg(F.max(F.struct("n", "bucket", "fp", "sh")).alias("x")).select("rep", "x.bucket", "x.fp", "x.sh")
     slot = F.pmod(F.xxhash64(F.lit(turn), "rep"), F.lit(leaders))
-    chosen = many.groupBy("bucket", slot.alias("slot")).agg(F.min(F.struct(F.xxhash64(F.lit(-1 - turn), "rep").alias("h"), "rep", "fp")).alias("l"))
-    led = many.join(chosen.select("bucket", F.col("l.rep").alias("leader"), F.col("l.fp").alias("leader_fp")), "bucket")
-    led = led.where((F.col("rep") != F.col("leader")) & (distance(F.col("fp"), F.col("leader_fp")) <= radius))
-    pairs = small_pairs(entries, counts, radius).select("a", "b").union(led.select(F.col("leader").alias("a"), F.col("rep").alias("b")))
-    return ordered(pairs)
+    chosen = own.groupBy("bucket", slot.alias("slot")).agg(F.min(F.struct(F.xxhash64(F.lit(-1 - turn), "rep").alias("h"), "rep", "fp", "sh")).alias("l"))
+    led = own.join(chosen.select("bucket", F.col("l.rep").alias("leader"), F.col("l.fp").alias("leader_fp"), F.col("l.sh").alias("leader_sh")), "bucket")
+    led = led.where((F.col("rep") != F.col("leader")) & (distance(F.col("fp"), F.col("leader_fp")) <= radius) & (distance(F.col("sh"), F.col("leader_sh")) <= far))
+    return led.select(F.col("leader").alias("a"), F.col("rep").alias("b"))
 
 
-def unsettled(entries: DataFrame, joined: DataFrame, radius: int) -> DataFrame:
-    """Pairs (a, b) within the radius in a bucket whose ends are in different components.
+def unsettled(entries: DataFrame, joined: DataFrame, radius: int, far: int) -> DataFrame:
+    """Candidates (a, b) of a bucket whose ends are in different components.
 
     A bucket of one component has nothing to settle. In others, rows outside the bucket's most frequent component meet all its
     rows, so that a large component is never paired with itself.
     """
-    named = entries.join(joined.withColumnRenamed("node", "rep"), "rep", "left").select("bucket", "fp", "rep", F.coalesce("component", "rep").alias("of"))
-    named = stage(named, "named")
+    named = stage(entries.join(joined.withColumnRenamed("node", "rep"), "rep", "left").select("bucket", "fp", "sh", "rep", F.coalesce("component", "rep").alias("of")), "named")
     sizes = named.groupBy("bucket", "of").agg(F.count(F.lit(1)).alias("n"))
     tops = sizes.groupBy("bucket").agg(F.max(F.struct("n", "of"))["of"].alias("top"), F.count(F.lit(1)).alias("kinds")).where("kinds > 1").drop("kinds")
-    open_ = stage(named.join(tops, "bucket"), "unsettled")
-    few = open_.where("of <> top").select("bucket", F.col("fp").alias("fp_a"), F.col("rep").alias("a"), F.col("of").alias("of_a"))
-    rest = open_.select("bucket", F.col("fp").alias("fp_b"), F.col("rep").alias("b"), F.col("of").alias("of_b"))
-    met = few.join(rest, "bucket").where((F.col("of_a") != F.col("of_b")) & (distance(F.col("fp_a"), F.col("fp_b")) <= radius))
-    return ordered(met.select("a", "b"))
+    mixed_ones = stage(named.join(tops, "bucket"), "unsettled")
+    few = mixed_ones.where("of <> top").select("bucket", F.col("fp").alias("fp_a"), F.col("sh").alias("sh_a"), F.col("rep").alias("a"), F.col("of").alias("of_a"))
+    rest = mixed_ones.select("bucket", F.col("fp").alias("fp_b"), F.col("sh").alias("sh_b"), F.col("rep").alias("b"), F.col("of").alias("of_b"))
+    near = (distance(F.col("fp_a"), F.col("fp_b")) <= radius) & (distance(F.col("sh_a"), F.col("sh_b")) <= far)
+    return ordered(few.join(rest, "bucket").where((F.col("of_a") != F.col("of_b")) & near).select("a", "b"))
 
 
-def near_duplicates(docs: DataFrame, words: int = 5, similarity: float = 0.8, radius: int = 5, prints: int = 4) -> DataFrame:
+def near_duplicates(docs: DataFrame, words: int = 5, similarity: float = 0.8, radius: int = 5, prints: int = 4, far: int = 24) -> DataFrame:
     """(doc_id, component_id) of the documents in a near-duplicate group of two or more; groups are named by their least id.
 
     Candidates are pairs of which one of ``prints`` independent fingerprints of the distinct words lies within ``radius`` bits, by
-    covering masks; a pair is linked if the sets of its ``words``-word shingles have a Jaccard similarity of ``similarity`` or more.
-    Buckets of more than SMALL rows are settled in turns: members are compared with up to four leaders, linked ones are merged into
-    the least of them, and what is left meets other leaders until a turn links nothing or the bucket is small; at last all
-    candidates of such buckets whose ends are in different components are compared, so that no link between two components is missed.
-    Rows without an id are left out; repeated rows count once; texts without words are alike; an empty table gives no rows.
+    covering masks, and whose fingerprints of the distinct shingles lie within ``far`` bits (at similarity 0.8 they differ in 10 bits
+    on average, in more than 24 about once in a million pairs); a pair is linked if the sets of its ``words``-word shingles have a
+    Jaccard similarity of ``similarity`` or more. Buckets of more than SMALL rows are settled in turns: members are compared with up to
+    four leaders, linked ones are merged into the least of them, and what is left meets other leaders until a turn links nothing or the
+    bucket is small; at last all candidates of such buckets whose ends are in different components are compared, so that no link
+    between two components is missed. Rows without an id are left out; repeated rows count once; texts without words are alike; an
+    empty table gives no rows.
     """
-    drawn = stage(word_prints(docs.where("doc_id is not null"), prints).groupBy("doc_id").agg(F.min("fps").alias("fps")), "word-prints")
-    everyone = drawn.select(F.col("doc_id").alias("rep"), "fps")
-    live, links, known, sets, large, opened, turn = everyone, None, None, None, None, None, 0
+    drawn = word_prints(docs.where("doc_id is not null"), prints, words).groupBy(F.col("doc_id").alias("rep")).agg(F.min(F.struct("fps", "sh")).alias("x"))
+    crowd = crowd_of(stage(drawn.select("rep", "x.fps", "x.sh"), "word-prints"), radius)
+    large = crowd.where(F.col("n") > SMALL)
+    rows, links, known, sets, turn = crowd, None, None, None, 0
 
     def alike(pairs: DataFrame) -> DataFrame:
         both = pairs.join(sets.withColumnsRenamed({"id": "a", "shingles": "sa"}), "a").join(sets.withColumnsRenamed({"id": "b", "shingles": "sb"}), "b")
@@ -222,30 +238,24 @@ def near_duplicates(docs: DataFrame, words: int = 5, similarity: float = 0.8, ra
         return stage(both.where((total == 0) | (common >= similarity * (total - common))).select("a", "b"), "links")
 
     while True:
-        entries = print_buckets(live.repartition("rep"), radius)
-        if opened is not None:
-            entries = entries.join(opened, "bucket", "left_semi")
-        counts = stage(crowded(entries), "crowded")
-        pairs = candidates(entries, counts, radius, turn)
+        many = rows.where(F.col("n") > SMALL)
+        pairs = ordered(listed_pairs(rows.where(F.col("n") <= SMALL), radius, far).union(led_pairs(many, radius, far, turn)))
         pairs = stage(pairs if known is None else pairs.join(known, ["a", "b"], "left_anti"), "pairs")
-        opened = stage(counts.where(F.col("n") > SMALL).select("bucket"), "open")
         if sets is None:  # of all rows that this or a later turn compares
-            large = opened
-            later = entries.join(opened, "bucket", "left_semi").select("rep")
-            ids = pairs.select(F.col("a").alias("doc_id")).union(pairs.select("b")).union(later).distinct()
+            ids = pairs.select(F.col("a").alias("doc_id")).union(pairs.select("b")).union(large.select("rep")).distinct()
             sets = stage(shingle_sets(docs.select("doc_id", "text").join(ids, "doc_id", "left_semi"), words).dropDuplicates(["id"]), "shingles")
         found = alike(pairs)
         known = pairs if known is None else known.union(pairs)
         links = found if links is None else links.union(found)
-        if opened.isEmpty() or found.isEmpty():
+        if found.isEmpty() or many.isEmpty():
             break
         merged = components(found).where("node <> component").select(F.col("node").alias("rep"))
-        live = stage(live.join(merged, "rep", "left_anti"), "live")
+        left = stage(many.drop("n").join(merged, "rep", "left_anti"), "left")
+        rows = stage(left.join(crowded(left), "bucket"), "rows")
         turn += 1
     joined = components(links)
     if not large.isEmpty():
-        entries = print_buckets(everyone.repartition("rep"), radius).join(large, "bucket", "left_semi")
-        pairs = stage(unsettled(entries, joined, radius).join(known, ["a", "b"], "left_anti"), "pairs")
+        pairs = stage(unsettled(large, joined, radius, far).join(known, ["a", "b"], "left_anti"), "pairs")
         joined = components(links.union(alike(pairs)))
     return joined.select(F.col("node").alias("doc_id"), F.col("component").alias("component_id"))
 
