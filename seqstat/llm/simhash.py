@@ -167,14 +167,14 @@ def word_prints(docs: DataFrame, prints: int, words: int) -> DataFrame:
 
 
 def crowd_of(everyone: DataFrame, radius: int) -> DataFrame:
-    """(bucket, n, rep, fp, sh): every fingerprint of every row under every mask, where two rows or more share the bucket.
+    """(bucket, n, rep, print, fp, sh): every fingerprint of every row under every mask, where two rows or more share the bucket.
 
     Bucket and id alone are shuffled; what stays gets its fingerprints afterwards.
     """
     entries = buckets(everyone.select("rep", F.posexplode("fps").alias("print", "fp")).repartition("rep"), radius, ("print",)).select("bucket", "rep", "print")
     counts = stage(crowded(entries), "crowded")
     shared = stage(entries.join(counts, "bucket"), "shared")
-    return stage(shared.join(everyone, "rep").select("bucket", "n", "rep", F.col("fps")[F.col("print")].alias("fp"), "sh"), "crowd")
+    return stage(shared.join(everyone, "rep").select("bucket", "n", "rep", "print", F.col("fps")[F.col("print")].alias("fp"), "sh"), "crowd")
 
 
 def ordered(pairs: DataFrame) -> DataFrame:
@@ -203,16 +203,20 @@ def unsettled(entries: DataFrame, joined: DataFrame, radius: int, far: int) -> D
     """Candidates (a, b) of a bucket whose ends are in different components.
 
     A bucket of one component has nothing to settle. In others, rows outside the bucket's most frequent component meet all its
-    rows, so that a large component is never paired with itself.
+    rows, so that a large component is never paired with itself. A pair that shares several masks of one fingerprint is made in the
+    bucket of the first of them alone.
     """
-    named = stage(entries.join(joined.withColumnRenamed("node", "rep"), "rep", "left").select("bucket", "fp", "sh", "rep", F.coalesce("component", "rep").alias("of")), "named")
+    masks = F.array(*[F.lit(m).cast("long") for m in covering_masks(radius)])
+    own = F.filter(masks, lambda m: F.xxhash64(m, F.col("fp").bitwiseAND(m), F.col("print")) == F.col("bucket"))[0]
+    named = stage(entries.join(joined.withColumnRenamed("node", "rep"), "rep", "left").select("bucket", "fp", own.alias("mask"), "sh", "rep", F.coalesce("component", "rep").alias("of")), "named")
     sizes = named.groupBy("bucket", "of").agg(F.count(F.lit(1)).alias("n"))
     tops = sizes.groupBy("bucket").agg(F.max(F.struct("n", "of"))["of"].alias("top"), F.count(F.lit(1)).alias("kinds")).where("kinds > 1").drop("kinds")
     mixed_ones = stage(named.join(tops, "bucket"), "unsettled")
-    few = mixed_ones.where("of <> top").select("bucket", F.col("fp").alias("fp_a"), F.col("sh").alias("sh_a"), F.col("rep").alias("a"), F.col("of").alias("of_a"))
+    few = mixed_ones.where("of <> top").select("bucket", "mask", F.col("fp").alias("fp_a"), F.col("sh").alias("sh_a"), F.col("rep").alias("a"), F.col("of").alias("of_a"))
     rest = mixed_ones.select("bucket", F.col("fp").alias("fp_b"), F.col("sh").alias("sh_b"), F.col("rep").alias("b"), F.col("of").alias("of_b"))
     near = (distance(F.col("fp_a"), F.col("fp_b")) <= radius) & (distance(F.col("sh_a"), F.col("sh_b")) <= far)
-    return ordered(few.join(rest, "bucket").where((F.col("of_a") != F.col("of_b")) & near).select("a", "b"))
+    first = F.filter(masks, lambda m: F.col("fp_a").bitwiseXOR(F.col("fp_b")).bitwiseAND(m) == 0)[0] == F.col("mask")
+    return ordered(few.join(rest, "bucket").where((F.col("of_a") != F.col("of_b")) & near & first).select("a", "b"))
 
 
 def near_duplicates(docs: DataFrame, words: int = 5, similarity: float = 0.8, radius: int = 5, prints: int = 4, far: int = 24) -> DataFrame:
