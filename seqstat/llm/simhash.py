@@ -8,6 +8,7 @@ mask: no pair is missed. Equal fingerprints are one class from the start, and th
 
 from __future__ import annotations
 
+import math
 from collections.abc import Iterator
 
 import numpy as np
@@ -150,20 +151,61 @@ def mixed(hashes: np.ndarray, n: int) -> np.ndarray:
     return z ^ (z >> np.uint64(31))
 
 
-def word_prints(docs: DataFrame, prints: int, words: int) -> DataFrame:
-    """(doc_id, fps, sh): so many independent fingerprints of the distinct words of every row, and one of its distinct shingles."""
+def common_shingles(docs: DataFrame, words: int, rows: int = 20000, share: float = 0.05, most: int = 100_000) -> tuple[np.ndarray, np.ndarray]:
+    """(hashes in order, rows that hold each): the commonest shingles of a sample of ``share`` of the rows, or of ``rows`` if that is more.
+
+    They only set the order in which ``prefix`` takes shingles, so the sample and the bound decide the cost and never the result.
+    """
+    part = int(min(1.0, max(share, rows / max(1, docs.count()))) * (1 << 20))
+    sampled = docs.where(F.pmod(F.xxhash64(F.lit(SEED), "doc_id"), F.lit(1 << 20)) < part)
+    counts = shingle_sets(sampled, words).select(F.explode("shingles").alias("shingle")).groupBy("shingle").agg(F.count(F.lit(1)).alias("n")).where("n > 1")
+    counts = stage(counts, "common")
+    least, total = 2, 0
+    for r in sorted(counts.groupBy("n").agg(F.count(F.lit(1)).alias("kinds")).collect(), reverse=True):
+        total += r["kinds"]
+        if total > most:
+            least = r["n"] + 1
+            break
+    found = counts.where(F.col("n") >= least).toArrow()
+    hashes = found["shingle"].to_numpy().astype(np.int64).view(np.uint64)
+    order = np.argsort(hashes)
+    return hashes[order], found["n"].to_numpy()[order]
+
+
+def prefix(hashes: np.ndarray, common: np.ndarray, counts: np.ndarray, similarity: float) -> np.ndarray:
+    """The first shingles of a set in one order of all shingles (those of no sample count first, then the rarer), so many that two
+    sets of this Jaccard similarity or more share one of them. The empty set has zero."""
+    if not len(hashes):
+        return np.zeros(1, np.uint64)
+    rank = np.zeros(len(hashes), np.int64)
+    if len(common):
+        at = np.minimum(np.searchsorted(common, hashes), len(common) - 1)
+        rank = np.where(common[at] == hashes, counts[at], 0)
+    keep = len(hashes) - math.ceil(similarity * len(hashes) - 1e-9) + 1
+    return hashes[np.lexsort((hashes, rank))[:keep]]
+
+
+def word_prints(docs: DataFrame, prints: int, words: int, similarity: float) -> DataFrame:
+    """(doc_id, fps, sh, size, prefix): so many independent fingerprints of the distinct words of every row, one of its distinct shingles,
+    the number of these and the ``prefix`` of them."""
+    common, counts = common_shingles(docs, words)
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
-            fps, sh = [], []
+            fps, sh, sizes, first = [], [], [], []
             for text in batch.column(1):
                 found = ascii_words(text.as_py())
-                hashes = shingle_hashes([*set(found)], 1)
+                hashes, shingles = shingle_hashes([*set(found)], 1), np.unique(shingle_hashes(found, words))
                 fps.append([majority(mixed(hashes, n)) for n in range(prints)])
-                sh.append(majority(np.unique(shingle_hashes(found, words))))
-            yield pa.RecordBatch.from_arrays([batch.column(0), pa.array(fps, pa.list_(pa.int64())), pa.array(sh, pa.int64())], ["doc_id", "fps", "sh"])
+                sh.append(majority(shingles))
+                sizes.append(len(shingles))
+                first.append(prefix(shingles, common, counts, similarity).view(np.int64))
+            lists = pa.list_(pa.int64())
+            columns = [batch.column(0), pa.array(fps, lists), pa.array(sh, pa.int64()), pa.array(sizes, pa.int64()), pa.array(first, lists)]
+            yield pa.RecordBatch.from_arrays(columns, ["doc_id", "fps", "sh", "size", "prefix"])
 
-    return docs.select(F.col("doc_id").cast("long"), F.col("text").cast("string")).mapInArrow(run, "doc_id long, fps array<long>, sh long")
+    rows = docs.select(F.col("doc_id").cast("long"), F.col("text").cast("string"))
+    return rows.mapInArrow(run, "doc_id long, fps array<long>, sh long, size long, prefix array<long>")
 
 
 def crowd_of(everyone: DataFrame, radius: int) -> DataFrame:
@@ -199,44 +241,70 @@ def led_pairs(many: DataFrame, radius: int, far: int, turn: int, leaders: int =
     return led.select(F.col("leader").alias("a"), F.col("rep").alias("b"))
 
 
-def unsettled(entries: DataFrame, joined: DataFrame, radius: int, far: int) -> DataFrame:
-    """Candidates (a, b) of a bucket whose ends are in different components.
+def labelled(rows: DataFrame, joined: DataFrame) -> DataFrame:
+    """``rows`` with ``of``, the component of rep: itself where it has no link."""
+    return rows.join(joined.select(F.col("node").alias("rep"), "component"), "rep", "left").withColumn("of", F.coalesce("component", "rep")).drop("component")
+
+
+def divided(entries: DataFrame) -> DataFrame:
+    """The entries, with their number n, of the shingles that rows of different components share."""
+    kinds = entries.groupBy("shingle").agg(F.min("of").alias("lo"), F.max("of").alias("hi"), F.count(F.lit(1)).alias("n")).where("lo < hi").select("shingle", "n")
+    return stage(entries.join(stage(kinds, "kinds"), "shingle"), "divided")
+
 
-    A bucket of one component has nothing to settle. In others, rows outside the bucket's most frequent component meet all its
-    rows, so that a large component is never paired with itself. A pair that shares several masks of one fingerprint is made in the
-    bucket of the first of them alone.
+def within(similarity: float) -> Column:
+    """Whether a pair can have the similarity if the entries a and b are those of the first shingle that its prefixes share: ``rest``
+    counts the shingles from there on. It bounds the sizes as well."""
+    return F.least("a.rest", "b.rest") >= similarity / (1 + similarity) * (F.col("a.size") + F.col("b.size")) - 1e-9
+
+
+def prefix_led(entries: DataFrame, similarity: float, turn: int, leaders: int = 4) -> DataFrame:
+    """Candidates (a, b) of shingles of more than SMALL entries: each row, at its most crowded, with up to ``leaders`` rows that this turn's hash chooses."""
+    one = F.max(F.struct("n", "shingle", "size", "rest", "of")).alias("x")
+    own = entries.where(F.col("n") > SMALL).groupBy("rep").agg(one).select("rep", "x.shingle", "x.size", "x.rest", "x.of")
+    slot = F.pmod(F.xxhash64(F.lit(turn), "rep"), F.lit(leaders))
+    chosen = own.groupBy("shingle", slot.alias("slot")).agg(F.min(F.struct(F.xxhash64(F.lit(-1 - turn), "rep").alias("h"), "rep", "size", "rest", "of")).alias("l"))
+    chosen = chosen.select("shingle", "l.rep", "l.size", "l.rest", "l.of")
+    both = own.alias("a").join(chosen.alias("b"), "shingle").where((F.col("a.of") != F.col("b.of")) & within(similarity))
+    return ordered(both.select(F.col("a.rep").alias("a"), F.col("b.rep").alias("b")))
+
+
+def prefix_pairs(entries: DataFrame, similarity: float) -> DataFrame:
+    """All candidates (a, b) that share a prefix shingle and are in different components.
+
+    Rows outside a shingle's most frequent component meet all its rows, so that a large component is never paired with itself.
     """
-    masks = F.array(*[F.lit(m).cast("long") for m in covering_masks(radius)])
-    own = F.filter(masks, lambda m: F.xxhash64(m, F.col("fp").bitwiseAND(m), F.col("print")) == F.col("bucket"))[0]
-    named = stage(entries.join(joined.withColumnRenamed("node", "rep"), "rep", "left").select("bucket", "fp", own.alias("mask"), "sh", "rep", F.coalesce("component", "rep").alias("of")), "named")
-    sizes = named.groupBy("bucket", "of").agg(F.count(F.lit(1)).alias("n"))
-    tops = sizes.groupBy("bucket").agg(F.max(F.struct("n", "of"))["of"].alias("top"), F.count(F.lit(1)).alias("kinds")).where("kinds > 1").drop("kinds")
-    mixed_ones = stage(named.join(tops, "bucket"), "unsettled")
-    few = mixed_ones.where("of <> top").select("bucket", "mask", F.col("fp").alias("fp_a"), F.col("sh").alias("sh_a"), F.col("rep").alias("a"), F.col("of").alias("of_a"))
-    rest = mixed_ones.select("bucket", F.col("fp").alias("fp_b"), F.col("sh").alias("sh_b"), F.col("rep").alias("b"), F.col("of").alias("of_b"))
-    near = (distance(F.col("fp_a"), F.col("fp_b")) <= radius) & (distance(F.col("sh_a"), F.col("sh_b")) <= far)
-    first = F.filter(masks, lambda m: F.col("fp_a").bitwiseXOR(F.col("fp_b")).bitwiseAND(m) == 0)[0] == F.col("mask")
-    return ordered(few.join(rest, "bucket").where((F.col("of_a") != F.col("of_b")) & near & first).select("a", "b"))
-
-
-def near_duplicates(docs: DataFrame, words: int = 5, similarity: float = 0.8, radius: int = 5, prints: int = 4, far: int = 24) -> DataFrame:
+    sizes = entries.groupBy("shingle", "of").agg(F.count(F.lit(1)).alias("k"))
+    tops = stage(sizes.groupBy("shingle").agg(F.max(F.struct("k", "of"))["of"].alias("top")), "tops")
+    few = entries.join(tops, "shingle").where("of <> top")
+    once = (F.col("b.of") == F.col("a.top")) | (F.col("a.rep") < F.col("b.rep"))
+    both = few.alias("a").join(entries.alias("b"), "shingle").where((F.col("a.of") != F.col("b.of")) & once & within(similarity))
+    return ordered(both.select(F.col("a.rep").alias("a"), F.col("b.rep").alias("b")))
+
+
+def near_duplicates(docs: DataFrame, words: int = 5, similarity: float = 0.8, radius: int = 5, prints: int = 4, far: int = 24, turns: int = 3) -> DataFrame:
     """(doc_id, component_id) of the documents in a near-duplicate group of two or more; groups are named by their least id.
 
-    Candidates are pairs of which one of ``prints`` independent fingerprints of the distinct words lies within ``radius`` bits, by
-    covering masks, and whose fingerprints of the distinct shingles lie within ``far`` bits (at similarity 0.8 they differ in 10 bits
-    on average, in more than 24 about once in a million pairs); a pair is linked if the sets of its ``words``-word shingles have a
-    Jaccard similarity of ``similarity`` or more. Buckets of more than SMALL rows are settled in turns: members are compared with up to
-    four leaders, linked ones are merged into the least of them, and what is left meets other leaders until a turn links nothing or the
-    bucket is small; at last all candidates of such buckets whose ends are in different components are compared, so that no link
-    between two components is missed. Rows without an id are left out; repeated rows count once; texts without words are alike; an
-    empty table gives no rows.
+    A pair is linked if the sets of its ``words``-word shingles have a Jaccard similarity of ``similarity`` or more; every such pair ends
+    in one group. Fingerprints come first and link most of them: candidates are pairs of which one of ``prints`` independent fingerprints
+    of the distinct words lies within ``radius`` bits, by covering masks, and whose fingerprints of the distinct shingles lie within ``far``
+    bits. Buckets of more than SMALL rows are settled in turns: members are compared with up to four leaders, linked ones are merged into
+    the least of them, and what is left meets other leaders until a turn links nothing or the bucket is small. The rest is found by
+    prefixes of the shingle sets: two sets of the similarity share a shingle of their prefixes, so all pairs that do and are still in
+    different components are compared, after up to ``turns`` turns with leaders where many rows share a shingle. Rows without an id are
+    left out; repeated rows count once; texts without words are alike; an empty table gives no rows.
     """
-    drawn = word_prints(docs.where("doc_id is not null"), prints, words).groupBy(F.col("doc_id").alias("rep")).agg(F.min(F.struct("fps", "sh")).alias("x"))
-    crowd = crowd_of(stage(drawn.select("rep", "x.fps", "x.sh"), "word-prints"), radius)
+    columns = ["fps", "sh", "size", "prefix"]
+    drawn = word_prints(docs.where("doc_id is not null"), prints, words, similarity).groupBy(F.col("doc_id").alias("rep")).agg(F.min(F.struct(*columns)).alias("x"))
+    drawn = stage(drawn.select("rep", *[f"x.{c}" for c in columns]), "word-prints")
+    crowd = crowd_of(drawn.select("rep", "fps", "sh"), radius)
     large = crowd.where(F.col("n") > SMALL)
     rows, links, known, sets, turn = crowd, None, None, None, 0
 
-    def alike(pairs: DataFrame) -> DataFrame:
+    def sets_of(ids: DataFrame) -> DataFrame:
+        return stage(shingle_sets(docs.select("doc_id", "text").join(ids, "doc_id", "left_semi"), words).dropDuplicates(["id"]), "shingles")
+
+    def alike(pairs: DataFrame, sets: DataFrame) -> DataFrame:
         both = pairs.join(sets.withColumnsRenamed({"id": "a", "shingles": "sa"}), "a").join(sets.withColumnsRenamed({"id": "b", "shingles": "sb"}), "b")
         common, total = F.size(F.array_intersect("sa", "sb")), F.size("sa") + F.size("sb")
         return stage(both.where((total == 0) | (common >= similarity * (total - common))).select("a", "b"), "links")
@@ -247,8 +315,8 @@ def near_duplicates(docs: DataFrame, words: int = 5, similarity: float = 0.8, ra
         pairs = stage(pairs if known is None else pairs.join(known, ["a", "b"], "left_anti"), "pairs")
         if sets is None:  # of all rows that this or a later turn compares
             ids = pairs.select(F.col("a").alias("doc_id")).union(pairs.select("b")).union(large.select("rep")).distinct()
-            sets = stage(shingle_sets(docs.select("doc_id", "text").join(ids, "doc_id", "left_semi"), words).dropDuplicates(["id"]), "shingles")
-        found = alike(pairs)
+            sets = sets_of(ids)
+        found = alike(pairs, sets)
         known = pairs if known is None else known.union(pairs)
         links = found if links is None else links.union(found)
         if found.isEmpty() or many.isEmpty():
@@ -258,9 +326,20 @@ def near_duplicates(docs: DataFrame, words: int = 5, similarity: float = 0.8, ra
         rows = stage(left.join(crowded(left), "bucket"), "rows")
         turn += 1
     joined = components(links)
-    if not large.isEmpty():
-        pairs = stage(unsettled(large, joined, radius, far).join(known, ["a", "b"], "left_anti"), "pairs")
-        joined = components(links.union(alike(pairs)))
+    placed = labelled(drawn.select("rep", "size", "prefix"), joined).select("rep", "of", "size", F.posexplode("prefix").alias("at", "shingle"))
+    entries = divided(placed.select("shingle", "rep", "of", "size", (F.col("size") - F.col("at")).alias("rest")))
+    for turn in range(turns + 1):
+        last = turn == turns or entries.where(F.col("n") > SMALL).isEmpty()
+        pairs = prefix_pairs(entries, similarity) if last else prefix_led(entries, similarity, turn)
+        pairs = stage(pairs.join(known, ["a", "b"], "left_anti"), "pairs")
+        found = alike(pairs, sets_of(pairs.select(F.col("a").alias("doc_id")).union(pairs.select("b")).distinct()))
+        known, links = known.union(pairs), links.union(found)
+        if not found.isEmpty():
+            joined = components(links)
+        if last:
+            break
+        if not found.isEmpty():
+            entries = divided(labelled(entries.drop("n", "of"), joined))
     return joined.select(F.col("node").alias("doc_id"), F.col("component").alias("component_id"))
 
 
