@@ -2,7 +2,8 @@
 
 One model is trained on random strings (secrets found by the patterns in a bounded sample, and generated ones), the other on
 ordinary words and identifiers of the sample. A run of key characters is a secret if its log-likelihood ratio a character
-exceeds a threshold set from labelled strings kept out of training.
+exceeds a threshold set from labelled strings kept out of training. Words of the sample that no pattern covers can be keys
+themselves: those that look random under a first fit are left out of the ordinary class and of its fit.
 """
 
 from __future__ import annotations
@@ -86,25 +87,42 @@ def generated(n: int, seed: int = 7) -> list[str]:
     return ["".join(rng.choice(list(kinds[i % len(kinds)]), int(rng.integers(20, 65)))) for i in range(n)]
 
 
-def train(texts: list[str], seed: int = 7) -> RandomStrings:
-    """Fit on the base spans (random) and the other words, also joined as identifiers (ordinary), of some texts."""
+def identifiers(plain: list[str], seed: int) -> list[str]:
+    """Words of a list joined by threes."""
+    rng = np.random.default_rng(seed)
+    names = []
+    for i in range(min(4000, len(plain))):
+        parts = [plain[j] for j in rng.integers(0, len(plain), 3)]
+        names.append(["_", "-", ""][i % 3].join(p.capitalize() if i % 3 == 2 else p for p in parts))
+    return [*names, "the_first_value", "getNextElement", "index-of-last-item"]
+
+
+def train(texts: list[str], seed: int = 7, rounds: int = 3, least: int = 12) -> RandomStrings:
+    """Fit on the base spans (random) and the other words, also joined as identifiers (ordinary), of some texts.
+
+    After every round but the last, words of ``least`` characters or more leave the ordinary class if they score nearer to random
+    strings than to the median ordinary one. The threshold lies halfway between the 99 % quantile of ordinary strings and the 5 %
+    quantile of random ones, both held out and of 20 characters or more: a few mislabelled strings on either side don't move it far.
+    It is 0 at least, so that transitions that neither class has don't count as random.
+    """
     found, words = [], set()
     for text in texts:
         spans = base_spans(text)
         found += [text[a:b].split("=")[-1].split(":")[-1].strip(" \"'") for a, b, _ in spans]
         words.update(text[a:b] for a, b, _ in outside([(m.start(), m.end(), "") for m in WORD.finditer(text)], spans))
     plain = sorted(w for w in words if sum(c.isdigit() for c in w) * 4 < len(w))
-    rng = np.random.default_rng(seed)
-    names = []
-    for i in range(min(4000, len(plain))):
-        parts = [plain[j] for j in rng.integers(0, len(plain), 3)]
-        names.append(["_", "-", ""][i % 3].join(p.capitalize() if i % 3 == 2 else p for p in parts))
     keys = [s for s in found if len(s) > 1 and all(c in ALPHABET for c in s)] + generated(2000, seed)
-    ordinary = plain + names + ["the_first_value", "getNextElement", "index-of-last-item"]
-    ratio = transitions(keys[::2]) - transitions(ordinary[::2])
-    model = RandomStrings(ratio, 0.0)
-    held = np.array([model.score(s) for s in ordinary[1::2] if len(s) >= 20] or [0.0])
-    model.threshold = max(0.25, float(held.max()) + 0.05)
+    random_ones = transitions(keys[::2])
+    for n in range(rounds):
+        ordinary = plain + identifiers(plain, seed)
+        model = RandomStrings(random_ones - transitions(ordinary[::2]), 0.0)
+        held = [np.array([model.score(s) for s in strings[1::2] if len(s) >= 20] or [0.0]) for strings in (ordinary, keys)]
+        high = float(np.quantile(held[1], 0.05))
+        if n + 1 < rounds:
+            cut = (float(np.median(held[0])) + high) / 2
+            plain = [w for w in plain if len(w) < least or model.score(w) <= cut]
+    low = float(np.quantile(held[0], 0.99))
+    model.threshold = max(0.0, low + max(0.0, high - low) / 2)
     return model
 
 
