@@ -16,13 +16,21 @@ from pyspark.sql.streaming.state import GroupState, GroupStateTimeout
 
 from seqstat.sources.tables import shared_folder, table
 
-def source(spark: SparkSession, sf_dir: str, files: int = 4) -> DataFrame:
-    """The events table replayed as a stream of Parquet files, written one after another in time order; ts as a timestamp."""
+def source(spark: SparkSession, sf_dir: str, files: int = 4, closing: bool = False) -> DataFrame:
+    """The events table replayed as a stream of Parquet files, written one after another in time order; ts as a timestamp.
+
+    With ``closing`` an event two days after the last one ends the stream: it lifts the watermark past all windows and sessions before
+    it, so that they are handed on, and its own stay open.
+    """
     path = f"{shared_folder(spark)}/seqstat/stream-{uuid.uuid4().hex}"
     events = table(spark, sf_dir, "events").where("user_id is not null").withColumn("ts", F.col("ts").cast("timestamp"))
     cuts = events.select(F.unix_micros("ts").alias("m")).approxQuantile("m", [i / files for i in range(1, files)], 0.01)
     for low, high in zip([float("-inf"), *cuts], [*cuts, float("inf")], strict=True):
         events.where((F.unix_micros("ts") >= low) & (F.unix_micros("ts") < high)).coalesce(1).write.mode("append").parquet(path)
+    if closing:
+        last = events.agg(F.max("ts").alias("ts")).where("ts is not null").select((F.col("ts") + F.expr("interval 2 days")).alias("ts"))
+        row = last.select(*["ts" if f.name == "ts" else F.lit(None).cast(f.dataType).alias(f.name) for f in events.schema])
+        row.coalesce(1).write.mode("append").parquet(path)
     return spark.readStream.schema(events.schema).option("maxFilesPerTrigger", 1).parquet(path)
 
 
@@ -138,11 +146,11 @@ def queries() -> dict:
     total = lambda df: df.groupBy("gram", F.col("n").cast("bigint").alias("n")).agg(F.sum("cf").alias("cf"))
     grams = lambda df: df.groupBy("gram").agg(F.count(F.lit(1)).alias("cf"))
     return {
-        "stream_tumbling": lambda s, d: finished(windowed_counts(source(s, d))),
+        "stream_tumbling": lambda s, d: finished(windowed_counts(source(s, d, closing=True))),
         "stream_tumbling_batch": lambda s, d: windowed_counts(batch(s, d)),
-        "stream_sliding": lambda s, d: finished(windowed_counts(source(s, d), "1 hour", "15 minutes")),
+        "stream_sliding": lambda s, d: finished(windowed_counts(source(s, d, closing=True), "1 hour", "15 minutes")),
         "stream_sliding_batch": lambda s, d: windowed_counts(batch(s, d), "1 hour", "15 minutes"),
-        "stream_session": lambda s, d: finished(session_sequences(source(s, d))),
+        "stream_session": lambda s, d: finished(session_sequences(source(s, d, closing=True))),
         "stream_session_batch": lambda s, d: session_sequences(batch(s, d)),
         "stream_late": lambda s, d: finished(windowed_counts(source(s, d), late="0 seconds")),
         "stream_dedupe": lambda s, d: finished(dedupe(source(s, d)).select("event_id", "event_type")),
