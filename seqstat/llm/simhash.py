@@ -24,6 +24,8 @@ from seqstat.llm.shared import ascii_words, attach_class, stage
 SEED = 42
 #: Buckets of more classes than this aren't paired one by one.
 SMALL = 48
+#: Columns of 64 bits that hold, for 256 classes of shingles, whether a set has an odd number of them.
+PARITIES = ["p0", "p1", "p2", "p3"]
 
 
 def shingle_hashes(words: list[bytes], n: int) -> np.ndarray:
@@ -141,16 +143,6 @@ def shingle_sets(docs: DataFrame, words: int) -> DataFrame:
     return docs.select(F.col("doc_id").cast("long"), F.col("text").cast("string")).mapInArrow(run, "id long, shingles array<long>")
 
 
-def mixed(hashes: np.ndarray, n: int) -> np.ndarray:
-    """The n-th of independent hashes of the same items (the finaliser of splitmix64, with its fixed constants)."""
-    if not n:
-        return hashes
-    z = hashes + np.uint64(n * 0x9E3779B97F4A7C15 & (1 << 64) - 1)
-    z = (z ^ (z >> np.uint64(30))) * np.uint64(0xBF58476D1CE4E5B9)
-    z = (z ^ (z >> np.uint64(27))) * np.uint64(0x94D049BB133111EB)
-    return z ^ (z >> np.uint64(31))
-
-
 def common_shingles(docs: DataFrame, words: int, rows: int = 20000, share: float = 0.05, most: int = 100_000) -> tuple[np.ndarray, np.ndarray]:
     """(hashes in order, rows that hold each): the commonest shingles of a sample of ``share`` of the rows, or of ``rows`` if that is more.
 
@@ -185,60 +177,58 @@ def prefix(hashes: np.ndarray, common: np.ndarray, counts: np.ndarray, similarit
     return hashes[np.lexsort((hashes, rank))[:keep]]
 
 
-def word_prints(docs: DataFrame, prints: int, words: int, similarity: float) -> DataFrame:
-    """(doc_id, fps, sh, size, prefix): so many independent fingerprints of the distinct words of every row, one of its distinct shingles,
-    the number of these and the ``prefix`` of them."""
+def parities(hashes: np.ndarray) -> list[int]:
+    """PARITIES of a set. Each item that only one of two sets has flips one bit, so sets differ in as many items as bits at least."""
+    odd = np.bincount((hashes & np.uint64(255)).astype(np.int64), minlength=256).astype(np.uint8) & 1
+    return np.packbits(odd).view(np.int64).tolist()
+
+
+def word_prints(docs: DataFrame, words: int, similarity: float) -> DataFrame:
+    """(doc_id, fp, size, prefix, p0 .. p3): the fingerprint of the distinct words of every row, and of its distinct shingles the number,
+    the ``prefix`` and the parities."""
     common, counts = common_shingles(docs, words)
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
-            fps, sh, sizes, first = [], [], [], []
+            fps, sizes, first, odd = [], [], [], []
             for text in batch.column(1):
                 found = ascii_words(text.as_py())
-                hashes, shingles = shingle_hashes([*set(found)], 1), np.unique(shingle_hashes(found, words))
-                fps.append([majority(mixed(hashes, n)) for n in range(prints)])
-                sh.append(majority(shingles))
+                shingles = np.unique(shingle_hashes(found, words))
+                fps.append(majority(shingle_hashes([*set(found)], 1)))
                 sizes.append(len(shingles))
                 first.append(prefix(shingles, common, counts, similarity).view(np.int64))
-            lists = pa.list_(pa.int64())
-            columns = [batch.column(0), pa.array(fps, lists), pa.array(sh, pa.int64()), pa.array(sizes, pa.int64()), pa.array(first, lists)]
-            yield pa.RecordBatch.from_arrays(columns, ["doc_id", "fps", "sh", "size", "prefix"])
+                odd.append(parities(shingles))
+            columns = [batch.column(0), pa.array(fps, pa.int64()), pa.array(sizes, pa.int64()), pa.array(first, pa.list_(pa.int64()))]
+            columns += [pa.array([x[i] for x in odd], pa.int64()) for i in range(len(PARITIES))]
+            yield pa.RecordBatch.from_arrays(columns, ["doc_id", "fp", "size", "prefix", *PARITIES])
 
     rows = docs.select(F.col("doc_id").cast("long"), F.col("text").cast("string"))
-    return rows.mapInArrow(run, "doc_id long, fps array<long>, sh long, size long, prefix array<long>")
+    return rows.mapInArrow(run, "doc_id long, fp long, size long, prefix array<long>, " + ", ".join(f"{c} long" for c in PARITIES))
 
 
 def crowd_of(everyone: DataFrame, radius: int) -> DataFrame:
-    """(bucket, n, rep, print, fp, sh): every fingerprint of every row under every mask, where two rows or more share the bucket.
+    """(bucket, rep, fp): every row under every mask, where two rows or more share the bucket."""
+    entries = buckets(everyone, radius).select("bucket", "rep", "fp")
+    return stage(entries.join(stage(crowded(entries), "crowded").select("bucket"), "bucket"), "crowd")
 
-    Bucket and id alone are shuffled; what stays gets its fingerprints afterwards.
-    """
-    entries = buckets(everyone.select("rep", F.posexplode("fps").alias("print", "fp")).repartition("rep"), radius, ("print",)).select("bucket", "rep", "print")
-    counts = stage(crowded(entries), "crowded")
-    shared = stage(entries.join(counts, "bucket"), "shared")
-    return stage(shared.join(everyone, "rep").select("bucket", "n", "rep", "print", F.col("fps")[F.col("print")].alias("fp"), "sh"), "crowd")
 
+def led_pairs(crowd: DataFrame, radius: int, turn: int) -> DataFrame:
+    """Candidates (a, b): each row with one leader within the radius, the nearest; a bucket's leader is the row that this turn's hash
+    chooses. There are never more pairs than rows, and joins make one row for each of the crowd at most."""
+    drawn = F.struct(F.xxhash64(F.lit(turn), "rep").alias("h"), "rep", "fp")
+    leaders = crowd.groupBy("bucket").agg(F.min(drawn).alias("l"))
+    led = crowd.join(leaders, "bucket").select("rep", "l.h", F.col("l.rep").alias("leader"), distance(F.col("fp"), F.col("l.fp")).alias("d"))
+    near = led.where((F.col("rep") != F.col("leader")) & (F.col("d") <= radius))
+    return near.groupBy("rep").agg(F.min(F.struct("d", "h", "leader"))["leader"].alias("leader")).select(F.col("leader").alias("a"), F.col("rep").alias("b"))
 
-def ordered(pairs: DataFrame) -> DataFrame:
-    return pairs.select(F.least("a", "b").alias("a"), F.greatest("a", "b").alias("b")).distinct()
 
+def few(rows: DataFrame, most: int = 1_000_000) -> DataFrame:
+    """``rows`` of a fixed few bytes, marked for broadcasting if there are at most ``most`` of them."""
+    return F.broadcast(rows) if rows.limit(most + 1).count() <= most else rows
 
-def listed_pairs(few: DataFrame, radius: int, far: int) -> DataFrame:
-    """All candidates (a, b) of buckets of at most SMALL rows."""
-    lists = few.groupBy("bucket").agg(F.collect_list(F.struct("rep", "fp", "sh")).alias("all"))
-    left = lists.select("all", F.explode("all").alias("x"))
-    near = lambda y: (y["rep"] > F.col("x.rep")) & (distance(y["fp"], F.col("x.fp")) <= radius) & (distance(y["sh"], F.col("x.sh")) <= far)
-    return left.select(F.col("x.rep").alias("a"), F.explode(F.transform(F.filter("all", near), lambda y: y["rep"])).alias("b"))
 
-
-def led_pairs(many: DataFrame, radius: int, far: int, turn: int, leaders: int = 4) -> DataFrame:
-    """Candidates (a, b) of larger buckets: each row, in its most crowded bucket, with up to ``leaders`` rows that this turn's hash chooses."""
-    own = many.groupBy("rep").agg(F.max(F.struct("n", "bucket", "fp", "sh")).alias("x")).select("rep", "x.bucket", "x.fp", "x.sh")
-    slot = F.pmod(F.xxhash64(F.lit(turn), "rep"), F.lit(leaders))
-    chosen = own.groupBy("bucket", slot.alias("slot")).agg(F.min(F.struct(F.xxhash64(F.lit(-1 - turn), "rep").alias("h"), "rep", "fp", "sh")).alias("l"))
-    led = own.join(chosen.select("bucket", F.col("l.rep").alias("leader"), F.col("l.fp").alias("leader_fp"), F.col("l.sh").alias("leader_sh")), "bucket")
-    led = led.where((F.col("rep") != F.col("leader")) & (distance(F.col("fp"), F.col("leader_fp")) <= radius) & (distance(F.col("sh"), F.col("leader_sh")) <= far))
-    return led.select(F.col("leader").alias("a"), F.col("rep").alias("b"))
+def ordered(pairs: DataFrame) -> DataFrame:
+    return pairs.select(F.least("a", "b").alias("a"), F.greatest("a", "b").alias("b")).distinct()
 
 
 def labelled(rows: DataFrame, joined: DataFrame) -> DataFrame:
@@ -254,19 +244,27 @@ def divided(entries: DataFrame) -> DataFrame:
 
 def within(similarity: float) -> Column:
     """Whether a pair can have the similarity if the entries a and b are those of the first shingle that its prefixes share: ``rest``
-    counts the shingles from there on. It bounds the sizes as well."""
-    return F.least("a.rest", "b.rest") >= similarity / (1 + similarity) * (F.col("a.size") + F.col("b.size")) - 1e-9
-
-
-def prefix_led(entries: DataFrame, similarity: float, turn: int, leaders: int = 4) -> DataFrame:
-    """Candidates (a, b) of shingles of more than SMALL entries: each row, at its most crowded, with up to ``leaders`` rows that this turn's hash chooses."""
-    one = F.max(F.struct("n", "shingle", "size", "rest", "of")).alias("x")
-    own = entries.where(F.col("n") > SMALL).groupBy("rep").agg(one).select("rep", "x.shingle", "x.size", "x.rest", "x.of")
-    slot = F.pmod(F.xxhash64(F.lit(turn), "rep"), F.lit(leaders))
-    chosen = own.groupBy("shingle", slot.alias("slot")).agg(F.min(F.struct(F.xxhash64(F.lit(-1 - turn), "rep").alias("h"), "rep", "size", "rest", "of")).alias("l"))
-    chosen = chosen.select("shingle", "l.rep", "l.size", "l.rest", "l.of")
-    both = own.alias("a").join(chosen.alias("b"), "shingle").where((F.col("a.of") != F.col("b.of")) & within(similarity))
-    return ordered(both.select(F.col("a.rep").alias("a"), F.col("b.rep").alias("b")))
+    counts the shingles from there on, and the parities tell how many at least aren't shared. It bounds the sizes as well."""
+    sizes = F.col("a.size") + F.col("b.size")
+    apart = sum((distance(F.col(f"a.{p}"), F.col(f"b.{p}")) for p in PARITIES), F.lit(0))
+    return (F.least("a.rest", "b.rest") >= similarity / (1 + similarity) * sizes - 1e-9) & (apart <= (1 - similarity) / (1 + similarity) * sizes + 1e-9)
+
+
+def prefix_led(entries: DataFrame, known: DataFrame, similarity: float, turn: int, leaders: int = 4) -> DataFrame:
+    """Candidates (a, b) that aren't ``known``: each row with up to ``leaders`` leaders of other components, those that share the most of its prefix.
+
+    A shingle's leaders are the first and the last of its rows in two orders by this turn's hashes, so that most of them lie in its most
+    frequent components and what is left outside meets these. There are as many pairs as rows times ``leaders`` at most, and joins make
+    four rows for each entry.
+    """
+    carried = ["of", "size", "rest", *PARITIES]
+    orders = [F.struct(F.xxhash64(F.lit(turn), F.lit(i), "rep").alias("h"), "rep", *carried) for i in range(2)]
+    ends = entries.groupBy("shingle").agg(F.array(*[pick(o) for o in orders for pick in (F.min, F.max)]).alias("ends"))
+    met = entries.join(ends, "shingle").select(F.struct("rep", *carried).alias("a"), F.explode("ends").alias("b"))
+    shared = met.where((F.col("a.of") != F.col("b.of")) & within(similarity)).groupBy(F.col("a.rep").alias("rep"), F.col("b.rep").alias("leader")).agg(F.count(F.lit(1)).alias("k"))
+    new = shared.withColumns({"a": F.least("rep", "leader"), "b": F.greatest("rep", "leader")}).join(known, ["a", "b"], "left_anti")
+    best = new.groupBy("rep").agg(F.slice(F.sort_array(F.collect_list(F.struct("k", "a", "b")), False), 1, leaders).alias("x"))
+    return best.select(F.explode("x").alias("x")).select("x.a", "x.b").distinct()
 
 
 def prefix_pairs(entries: DataFrame, similarity: float) -> DataFrame:
@@ -282,64 +280,57 @@ def prefix_pairs(entries: DataFrame, similarity: float) -> DataFrame:
     return ordered(both.select(F.col("a.rep").alias("a"), F.col("b.rep").alias("b")))
 
 
-def near_duplicates(docs: DataFrame, words: int = 5, similarity: float = 0.8, radius: int = 5, prints: int = 4, far: int = 24, turns: int = 3) -> DataFrame:
+def near_duplicates(docs: DataFrame, words: int = 5, similarity: float = 0.8, radius: int = 5, turns: int = 2, prefix_turns: int = 3) -> DataFrame:
     """(doc_id, component_id) of the documents in a near-duplicate group of two or more; groups are named by their least id.
 
     A pair is linked if the sets of its ``words``-word shingles have a Jaccard similarity of ``similarity`` or more; every such pair ends
-    in one group. Fingerprints come first and link most of them: candidates are pairs of which one of ``prints`` independent fingerprints
-    of the distinct words lies within ``radius`` bits, by covering masks, and whose fingerprints of the distinct shingles lie within ``far``
-    bits. Buckets of more than SMALL rows are settled in turns: members are compared with up to four leaders, linked ones are merged into
-    the least of them, and what is left meets other leaders until a turn links nothing or the bucket is small. The rest is found by
-    prefixes of the shingle sets: two sets of the similarity share a shingle of their prefixes, so all pairs that do and are still in
-    different components are compared, after up to ``turns`` turns with leaders where many rows share a shingle. Rows without an id are
-    left out; repeated rows count once; texts without words are alike; an empty table gives no rows.
+    in one group. Fingerprints of the distinct words come first: rows meet under covering masks of ``radius`` bits, and in each turn a row is
+    compared with one leader of its buckets, the nearest; linked rows are merged and the least of them stays for the next of ``turns`` turns.
+    The rest is found by prefixes of the shingle sets: two sets of the similarity share a shingle of their prefixes, so all pairs that do
+    and are still in different components are compared, after up to ``prefix_turns`` turns in which each row meets a few leaders. The exact
+    similarity decides throughout. Rows without an id are left out; repeated rows count once; texts without words are alike; an empty table
+    gives no rows.
     """
-    columns = ["fps", "sh", "size", "prefix"]
-    drawn = word_prints(docs.where("doc_id is not null"), prints, words, similarity).groupBy(F.col("doc_id").alias("rep")).agg(F.min(F.struct(*columns)).alias("x"))
-    drawn = stage(drawn.select("rep", *[f"x.{c}" for c in columns]), "word-prints")
-    crowd = crowd_of(drawn.select("rep", "fps", "sh"), radius)
-    large = crowd.where(F.col("n") > SMALL)
-    rows, links, known, sets, turn = crowd, None, None, None, 0
-
-    def sets_of(ids: DataFrame) -> DataFrame:
-        return stage(shingle_sets(docs.select("doc_id", "text").join(ids, "doc_id", "left_semi"), words).dropDuplicates(["id"]), "shingles")
+    drawn = word_prints(docs.where("doc_id is not null"), words, similarity).groupBy(F.col("doc_id").alias("rep")).agg(F.min(F.struct("fp", "size", "prefix", *PARITIES)).alias("x"))
+    drawn = stage(drawn.select("rep", "x.*"), "word-prints")
 
-    def alike(pairs: DataFrame, sets: DataFrame) -> DataFrame:
+    def alike(pairs: DataFrame) -> DataFrame:
+        ids = few(stage(pairs.select(F.col("a").alias("doc_id")).union(pairs.select("b")).distinct(), "compared"))
+        sets = stage(shingle_sets(docs.select("doc_id", "text").join(ids, "doc_id", "left_semi"), words).dropDuplicates(["id"]), "shingles")
         both = pairs.join(sets.withColumnsRenamed({"id": "a", "shingles": "sa"}), "a").join(sets.withColumnsRenamed({"id": "b", "shingles": "sb"}), "b")
         common, total = F.size(F.array_intersect("sa", "sb")), F.size("sa") + F.size("sb")
         return stage(both.where((total == 0) | (common >= similarity * (total - common))).select("a", "b"), "links")
 
-    while True:
-        many = rows.where(F.col("n") > SMALL)
-        pairs = ordered(listed_pairs(rows.where(F.col("n") <= SMALL), radius, far).union(led_pairs(many, radius, far, turn)))
-        pairs = stage(pairs if known is None else pairs.join(known, ["a", "b"], "left_anti"), "pairs")
-        if sets is None:  # of all rows that this or a later turn compares
-            ids = pairs.select(F.col("a").alias("doc_id")).union(pairs.select("b")).union(large.select("rep")).distinct()
-            sets = sets_of(ids)
-        found = alike(pairs, sets)
-        known = pairs if known is None else known.union(pairs)
-        links = found if links is None else links.union(found)
-        if found.isEmpty() or many.isEmpty():
-            break
-        merged = components(found).where("node <> component").select(F.col("node").alias("rep"))
-        left = stage(many.drop("n").join(merged, "rep", "left_anti"), "left")
-        rows = stage(left.join(crowded(left), "bucket"), "rows")
-        turn += 1
+    crowd = crowd_of(drawn.select("rep", "fp"), radius)
+    known = links = drawn.select(F.col("rep").alias("a"), F.col("rep").alias("b")).limit(0)
     joined = components(links)
-    placed = labelled(drawn.select("rep", "size", "prefix"), joined).select("rep", "of", "size", F.posexplode("prefix").alias("at", "shingle"))
-    entries = divided(placed.select("shingle", "rep", "of", "size", (F.col("size") - F.col("at")).alias("rest")))
-    for turn in range(turns + 1):
-        last = turn == turns or entries.where(F.col("n") > SMALL).isEmpty()
-        pairs = prefix_pairs(entries, similarity) if last else prefix_led(entries, similarity, turn)
-        pairs = stage(pairs.join(known, ["a", "b"], "left_anti"), "pairs")
-        found = alike(pairs, sets_of(pairs.select(F.col("a").alias("doc_id")).union(pairs.select("b")).distinct()))
+    for turn in range(turns):
+        pairs = stage(ordered(led_pairs(crowd, radius, turn)).join(known, ["a", "b"], "left_anti"), "pairs")
+        found = alike(pairs)
+        known, links = known.union(pairs), links.union(found)
+        if found.isEmpty():
+            break
+        joined = components(links)
+        crowd = stage(crowd.join(few(joined.where("node <> component").select(F.col("node").alias("rep"))), "rep", "left_anti"), "crowd")
+    placed = labelled(drawn.select("rep", "size", "prefix"), few(joined)).select("rep", "of", "size", F.posexplode("prefix").alias("at", "shingle"))
+    entries = divided(placed.select("shingle", "rep", "of", (F.col("size") - F.col("at")).alias("rest")))
+    entries = stage(entries.join(drawn.select("rep", "size", *PARITIES), "rep"), "entries")
+    last = False
+    for turn in range(prefix_turns + 1):
+        last = last or turn == prefix_turns
+        pairs = prefix_pairs(entries, similarity).join(known, ["a", "b"], "left_anti") if last else prefix_led(entries, known, similarity, turn)
+        pairs = stage(pairs, "pairs")
+        found = alike(pairs)
         known, links = known.union(pairs), links.union(found)
-        if not found.isEmpty():
-            joined = components(links)
+        if found.isEmpty():
+            if last:
+                break
+            last = True
+            continue
+        joined = components(links)
         if last:
             break
-        if not found.isEmpty():
-            entries = divided(labelled(entries.drop("n", "of"), joined))
+        entries = divided(labelled(entries.drop("n", "of"), few(joined)))
     return joined.select(F.col("node").alias("doc_id"), F.col("component").alias("component_id"))
 
 

@@ -61,3 +61,24 @@ def test_prefixes_of_near_sets_meet():
         if both and both >= 0.8 * (len(a) + len(b) - both):
             counts = common.astype(np.int64) % 7 + 2
             assert len(np.intersect1d(*[simhash.prefix(x, common, counts, 0.8) for x in (a, b)]))
+
+
+def test_parities_bound_the_difference():
+    rng = np.random.default_rng(11)
+    for _ in range(200):
+        a, b = (np.unique(rng.integers(0, 1 << 20, rng.integers(0, 600)).astype(np.uint64)) for _ in range(2))
+        b = np.union1d(b, a[: rng.integers(0, len(a) + 1)])
+        bits = sum(((x ^ y) & (1 << 64) - 1).bit_count() for x, y in zip(simhash.parities(a), simhash.parities(b), strict=True))
+        assert bits <= len(np.setxor1d(a, b))
+
+
+def test_border_group_costs_no_pair(spark):
+    """Copies of one text with random words changed, around the similarity: many rows are near some of the group and far from the rest."""
+    rng = np.random.default_rng(12)
+    words, rows = zipf_words(rng, 150), []
+    for i in range(250):
+        own = list(words)
+        for at in rng.choice(150, int(rng.integers(1, 5)), replace=False):
+            own[at] = f"n{i}.{at}"
+        rows.append((i, " ".join(own)))
+    assert groups(spark, rows) == plain_groups(rows)
