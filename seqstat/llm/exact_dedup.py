@@ -2,7 +2,8 @@
 
 Every input partition makes one run: its digests, sorted and each held once with the smallest id and the number of
 rows. Runs are then merged ``fan_in`` at a time, level by level, until one is left; each level is one exchange keyed by
-(run, digest), so a digest that a third of all rows share arrives as one row per run and never as its rows. A digest is
+(run, digest), a sort that merges the runs it gathers, and one streaming pass over neighbours: no table of digests is held in
+memory, and a digest that a third of all rows share arrives as one row per run and never as its rows. A digest is
 verified by a second, independent hash and the text's length: rows merge at a level only if all three agree.
 """
 
@@ -11,7 +12,7 @@ from __future__ import annotations
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from seqstat.llm.shared import SPACES, stage
+from seqstat.llm.shared import SPACES, scratch, stage
 
 KEY = ["digest", "check", "octets"]
 
@@ -27,15 +28,18 @@ def digest_columns(text: Column) -> list[Column]:
 
 
 def merge_runs(runs: DataFrame, fan_in: int = 16) -> DataFrame:
-    """(digest, check, octets, keep_id, group_size) from leaf rows (run, digest, check, octets, doc_id)."""
+    """(digest, check, octets, keep_id, group_size) from leaf rows (run, digest, check, octets, doc_id).
+
+    The smallest id is kept as a struct (ids before nulls), for which Spark aggregates sorted neighbours instead of hashing.
+    """
     last = runs.agg(F.max("run")).first()[0] or 0
-    merged = runs.groupBy("run", *KEY).agg(F.min("doc_id").alias("keep_id"), F.count(F.lit(1)).alias("group_size"))
+    merged = runs.select("run", *KEY, F.struct(F.col("doc_id").isNull().alias("none"), "doc_id").alias("first"), F.lit(1).cast("long").alias("rows"))
     while True:
+        merged = merged.groupBy("run", *KEY).agg(F.min("first").alias("first"), F.sum("rows").alias("rows"))
+        if not last:
+            return merged.select(*KEY, F.col("first.doc_id").alias("keep_id"), F.col("rows").alias("group_size"))
         merged = merged.withColumn("run", F.floor(F.col("run") / fan_in).cast("int"))
-        merged = merged.groupBy("run", *KEY).agg(F.min("keep_id").alias("keep_id"), F.sum("group_size").alias("group_size"))
         last //= fan_in
-        if not last:
-            return merged.drop("run")
 
 
 def exact_groups(docs: DataFrame, fan_in: int = 16) -> DataFrame:
@@ -53,7 +57,8 @@ def exact_groups(docs: DataFrame, fan_in: int = 16) -> DataFrame:
 
 def keep_first(docs: DataFrame, fan_in: int = 16) -> DataFrame:
     """The rows of ``docs`` that stay, all columns, one per distinct text; repeated rows leave one."""
-    kept = stage(exact_groups(docs, fan_in).where("kept").select("doc_id", "digest"), "kept")
+    with scratch(docs.sparkSession):
+        kept = stage(exact_groups(docs, fan_in).where("kept").select("doc_id", "digest"), "kept", keep=True)
     marked = docs.withColumn("__digest", digest_columns(F.col("text"))[0])
     ids = kept.select(F.col("doc_id").alias("__id"), F.col("digest").alias("__kept"))
     repeated = not kept.groupBy("doc_id", "digest").count().where("count > 1").isEmpty()

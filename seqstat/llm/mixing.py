@@ -14,7 +14,7 @@ from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
 from seqstat.llm.prefix import grouped_offsets
-from seqstat.llm.shared import stage, word_count
+from seqstat.llm.shared import scratch, stage, word_count
 
 Schedule = tuple[tuple[float, float], ...]
 
@@ -111,12 +111,13 @@ def by_position(df: DataFrame, position: str) -> DataFrame:
 
 def mixture(docs: DataFrame, plan: Curriculum = Curriculum()) -> DataFrame:
     """The rows to train on, all columns of ``docs``, whole texts in training order: a row as often as it is taken."""
-    taken = assign(docs, plan, whole=True).where(F.size("copies") > 0)
-    taken = stage(taken.groupBy("doc_id", "text_hash").agg(F.flatten(F.collect_list("copies")).alias("copies"), F.count(F.lit(1)).alias("rows")), "taken")
+    with scratch(docs.sparkSession):
+        taken = assign(docs, plan, whole=True).select("doc_id", "text_hash", "copies.position")
+        taken = stage(taken.where(F.size("position") > 0), "taken", keep=True)
+        repeated = not taken.groupBy("doc_id", "text_hash").count().where("count > 1").isEmpty()
     marked = docs.withColumn("__hash", F.xxhash64("text"))
-    if not taken.where("rows > 1").isEmpty():
+    if repeated:
         marked = marked.dropDuplicates(["doc_id", "__hash"])
-    plan_rows = taken.select(F.col("doc_id").alias("__id"), F.col("text_hash").alias("__plan"), F.col("copies").alias("__copies"))
-    joined = marked.join(plan_rows, F.col("doc_id").eqNullSafe(F.col("__id")) & (F.col("__hash") == F.col("__plan")))
-    copies = joined.select(*docs.columns, F.explode("__copies.position").alias("__position"))
-    return by_position(copies, "__position").drop("__position")
+    copies = taken.select(F.col("doc_id").alias("__id"), F.col("text_hash").alias("__plan"), F.col("position").alias("__positions"))
+    joined = marked.join(copies, F.col("doc_id").eqNullSafe(F.col("__id")) & (F.col("__hash") == F.col("__plan")))
+    return by_position(joined.select(*docs.columns, F.explode("__positions").alias("__position")), "__position").drop("__position")

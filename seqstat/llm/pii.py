@@ -1,13 +1,15 @@
 """Personal data: fixed patterns, and a character BiLSTM with CRF transitions that adds what the patterns miss.
 
-Both are numpy. The network is trained from labelled spans (the patterns' matches in a bounded sample; all digits are one class). A text is
-read in overlapping windows; each character takes its tag from the window in which it lies most centrally, and spans are
-drawn from the tags of the whole text. All kinds hold a digit or an @, so decoding is constrained to O in
-windows without either: those need no network, with the same result.
+Both are numpy. The network is trained from labelled spans: the patterns' matches in a bounded sample, and generated forms beyond the
+patterns (``written``) in texts of the sample, beside numbers and handles that are none (``other``). A text is cut into overlapping windows
+on a grid; each character takes its tag from the window in which it lies most centrally, and spans are drawn from the tags of the
+whole text. A span counts only if it holds a digit or an @, so a window is evaluated if it has one in its middle or if a span reaches it
+from its neighbour: the result is that of all windows. What comes out is stretched to whole words and numbers and checked (``plausible``).
 """
 
 from __future__ import annotations
 
+import itertools
 import re
 from collections.abc import Iterator
 from dataclasses import dataclass
@@ -26,7 +28,6 @@ LOCAL = frozenset("ABCDEFGHIJKLMNOPQRSTUVWXYZabcdefghijklmnopqrstuvwxyz012345678
 IP = re.compile(r"(?<![0-9])[0-9]+(?:\.[0-9]+){3}")
 CARD = re.compile(r"[0-9](?:[\x20-]?[0-9])+")
 PHONE = re.compile(r"\+[0-9][\x20().0-9-]+[0-9]")
-TRIGGER = re.compile(r"[0-9@]+")
 DIGIT = re.compile(r"[0-9]")
 BASE = ["email", "ip", "card", "phone"]
 NAMES = BASE + [f"lstm_{k}" for k in BASE]
@@ -76,7 +77,7 @@ def base_spans(text: str) -> list[Span]:
 
 PUNCTUATION = "@.+-() _%,:;/#\n\"'"
 CLASSES = 5 + len(PUNCTUATION)
-_CLASS = np.full(257, 4, np.int64)
+_CLASS = np.full(257, 4, np.uint8)
 _CLASS[[*range(97, 123)]], _CLASS[[*range(65, 91)]], _CLASS[[*range(48, 58)]] = 1, 2, 3
 _CLASS[[ord(c) for c in PUNCTUATION]] = 5 + np.arange(len(PUNCTUATION))
 _CLASS[256] = 1  # letters beyond Latin-1, for the most part
@@ -185,7 +186,7 @@ class Tagger:
             out |= {"x" + d: wx, "h" + d: wh, "c" + d: bias}
         return float((z - gold).mean()), out
 
-    def fit(self, x: np.ndarray, y: np.ndarray, turns: int = 260, batch: int = 64, rate: float = 0.02, seed: int = 5) -> float:
+    def fit(self, x: np.ndarray, y: np.ndarray, turns: int = 500, batch: int = 96, rate: float = 0.02, seed: int = 5) -> float:
         """Adam on batches drawn with a fixed seed; returns the last loss."""
         rng = np.random.default_rng(seed)
         m, v = ({k: np.zeros_like(w) for k, w in self.weights.items()} for _ in range(2))
@@ -206,114 +207,222 @@ class Tagger:
 class Windows:
     width: int = 64
     stride: int = 32
-    margin: int = 24
+
+    def cells(self, n: int) -> int:
+        """Windows of a text of n characters."""
+        return max(1, -(-(n - self.width + self.stride) // self.stride))
+
+    def owned(self, cell: int, n: int) -> tuple[int, int]:
+        """The characters that take their tags from a window: those nearer to its middle than to any other's."""
+        edge = (self.width - self.stride) // 2
+        return cell * self.stride + edge if cell else 0, min(n, (cell + 1) * self.stride + edge) if cell + 1 < self.cells(n) else n
+
+    def cut(self, whole: np.ndarray, cell: int) -> np.ndarray:
+        part = whole[cell * self.stride : cell * self.stride + self.width]
+        return np.pad(part, (0, self.width - len(part)))
+
+
+def tags_of(n: int, spans: list[Span]) -> np.ndarray:
+    tags = np.zeros(n, np.int64)
+    for a, b, name in spans:
+        tags[a], tags[a + 1 : b] = 1 + 2 * BASE.index(name), 2 + 2 * BASE.index(name)
+    return tags
+
+
+def stacked(xs: list[np.ndarray], width: int) -> np.ndarray:
+    return np.stack([np.pad(x[:width], (0, max(0, width - len(x)))) for x in xs]) if xs else np.zeros((0, width), np.int64)
 
 
 def labelled(texts: list[str], width: int = 64, most: int = 4000, seed: int = 5) -> tuple[np.ndarray, np.ndarray]:
-    """Windows and tags: each base span at a random place of a window, and as many windows without spans."""
+    """Windows and tags: each base span at a random place of a window, other digits and handles, and stretches without any."""
     rng = np.random.default_rng(seed)
     xs, ys = [], []
     for text in texts:
         spans = base_spans(text)
-        tags = np.zeros(len(text), np.int64)
-        for a, b, name in spans:
-            tags[a], tags[a + 1 : b] = 1 + 2 * BASE.index(name), 2 + 2 * BASE.index(name)
+        tags, whole = tags_of(len(text), spans), classes(text)
         places = [max(0, a - int(rng.integers(0, width - 8))) for a, _, _ in spans]
-        places += [max(0, m.start() - int(rng.integers(0, width - 8))) for m in list(TRIGGER.finditer(text))[:4]]
+        places += [max(0, m.start() - int(rng.integers(0, width - 8))) for m in itertools.islice(DIGIT.finditer(text), 4)]
         places += [int(rng.integers(0, max(1, len(text) - width))) for _ in range(2)]
-        whole = classes(text)
-        for p in places:
-            xs.append(np.pad(whole[p : p + width], (0, max(0, width - len(whole) + p))))
-            ys.append(np.pad(tags[p : p + width], (0, max(0, width - len(whole) + p))))
+        xs += [whole[p : p + width] for p in places]
+        ys += [tags[p : p + width] for p in places]
         if len(xs) >= most:
             break
-    if not xs:
-        return np.zeros((0, width), np.int64), np.zeros((0, width), np.int64)
-    return np.stack([x[:width] for x in xs]), np.stack([y[:width] for y in ys])
-
-
-def regions(text: str, w: Windows) -> list[tuple[int, int]]:
-    """Maximal stretches within ``margin`` characters of a digit or an @."""
-    out: list[tuple[int, int]] = []
-    for m in TRIGGER.finditer(text):
-        a, b = max(0, m.start() - w.margin), min(len(text), m.end() + w.margin)
-        if out and a <= out[-1][1]:
-            out[-1] = (out[-1][0], b)
-        else:
-            out.append((a, b))
-    return out
-
-
-def tag_texts(model: Tagger, texts: list[str], w: Windows, block: int = 2048) -> Iterator[list[tuple[int, np.ndarray]]]:
-    """Per text its stretches (start, tags), decoded in overlapping windows, ``block`` of them at once."""
-    where, xs, tagged = [], [], [[(a, np.zeros(b - a, np.int8)) for a, b in regions(t, w)] for t in texts]
-
-    def flush() -> None:
-        if xs:
-            for (tags, p, a, b), got in zip(where, model.decode(np.stack(xs)), strict=True):
-                tags[a:b] = got[a - p : b - p]
-            where.clear()
-            xs.clear()
-
-    for text, stretches in zip(texts, tagged, strict=True):
-        for start, tags in stretches:
-            whole, n = classes(text[start : start + len(tags)]), len(tags)
-            starts = list(range(0, max(1, n - w.width + w.stride), w.stride))
-            for i, p in enumerate(starts):
-                edge = (w.width - w.stride) // 2
-                a, b = (p + edge if i else 0), (p + w.width - edge if i + 1 < len(starts) else n)
-                xs.append(np.pad(whole[p : p + w.width], (0, max(0, w.width - (n - p)))))
-                where.append((tags, p, a, min(b, n)))
-                if len(xs) == block:
-                    flush()
-    flush()
-    yield from tagged
+    return stacked(xs, width), stacked(ys, width)
+
+
+def luhn_number(rng: np.random.Generator, n: int) -> str:
+    head = "".join(map(str, rng.integers(0, 10, n - 1)))
+    return next(head + c for c in "0123456789" if luhn(head + c))
+
+
+def fill(rng: np.random.Generator, form: str) -> str:
+    """A form with digits for # and letters for ?."""
+    return "".join(str(rng.integers(0, 10)) if c == "#" else chr(97 + rng.integers(0, 26)) if c == "?" else c for c in form)
+
+
+def grouped(number: str, by: str) -> str:
+    return by.join(number[i : i + 4] for i in range(0, len(number), 4))
+
+
+#: Forms beyond the patterns: national numbers without a plus, hosts without a dot, spaced or defanged addresses.
+PHONES = ["(###) ###-####", "###-###-####", "###.###.####", "(###) ### ####", "(###)###-####", "00## ## #######", "0## / #######", "0##/#######", "+#/###/###/####", "0### ### ####", "1-###-###-####"]
+MAILS = ["{} @ {}.com", "{}@{}", "{}@localhost", "{} @ {}.example.org", "{}[@]{}.net", "{}@{}-host"]
+ADDRESSES = ["{}[.]{}[.]{}[.]{}", "{}[.]{}.{}.{}", "{} . {} . {} . {}", "{}(.){}(.){}(.){}"]
+SEPARATORS = [".", "/", "_", "  ", " - ", ":"]
+#: Forms that are none of the kinds.
+OTHERS = ["####-##-##", "##/##/####", "##:##:##", "$#,###.##", "##.#%", "v#.##.#", "#.#.#", "###-##-####", "INV-####-######", "978-#-##-######-#", "# ### ###", "##########", "@??????", "@????_??", "#####", "####", "####-##-## ##:##:##", "##.##.####", "ISSN ####-####", "#,###,###", "[##]", "(####)", "##-##", "+##", "+#.#%", "no. ###/####"]
+
+
+def written(rng: np.random.Generator) -> tuple[str, str]:
+    """(text, kind) of a span that no pattern finds whole."""
+    kind = BASE[int(rng.integers(0, len(BASE)))]
+    pick = lambda of: of[int(rng.integers(0, len(of)))]
+    if kind == "email":
+        name = fill(rng, pick(["????", "?????.??????", "?.??????", "??????##", "????_?????"]))
+        return pick(MAILS).format(name, fill(rng, pick(["????", "???????", "?????????"]))), kind
+    if kind == "ip":
+        return pick(ADDRESSES).format(*rng.integers(0, 256, 4)), kind
+    if kind == "card":
+        return grouped(luhn_number(rng, pick([15, 16, 16, 16, 19])), pick(SEPARATORS)), kind
+    return fill(rng, pick(PHONES)), kind
+
+
+def other(rng: np.random.Generator) -> str:
+    if rng.random() < 0.2:  # a card that its check digit refutes
+        number = luhn_number(rng, 16)
+        return grouped(number[:-1] + str((int(number[-1]) + int(rng.integers(1, 10))) % 10), ["", " ", "-", "."][int(rng.integers(0, 4))])
+    return fill(rng, OTHERS[int(rng.integers(0, len(OTHERS)))])
+
+
+def planted(texts: list[str], width: int = 64, n: int = 4000, seed: int = 19) -> tuple[np.ndarray, np.ndarray]:
+    """Windows and tags: forms of ``written`` and, a third, ``other`` at random places of the texts' stretches."""
+    rng, xs, ys = np.random.default_rng(seed), [], []
+    texts = [t for t in texts if t] or [""]
+    for i in range(n):
+        text = texts[i % len(texts)]
+        at = int(rng.integers(0, max(1, len(text) - 2 * width)))
+        around = DIGITS_OR_AT.sub("x", text[at : at + 2 * width])
+        gaps = [m.end() for m in re.finditer(r"\s", around[: width - 8])] or [0]
+        place = gaps[int(rng.integers(0, len(gaps)))]
+        form, kind = (other(rng), None) if i % 3 == 2 else written(rng)
+        follow = ["", ".", ",", ";", ")"][int(rng.integers(0, 5))] + " "
+        line = around[:place] + form + follow + around[place:]
+        tags = tags_of(len(line), [(place, place + len(form), kind)] if kind else [])
+        xs.append(classes(line)[:width])
+        ys.append(tags[:width])
+    return stacked(xs, width), stacked(ys, width)
+
+
+DIGITS_OR_AT = re.compile("[0-9@]")
+
+
+def tag_texts(model: Tagger, texts: list[str], w: Windows, block: int = 2048, lazy: bool = True) -> Iterator[np.ndarray]:
+    """Per text the tags of its characters. ``lazy`` evaluates a window if its own characters hold a digit or an @, or if a span
+    of a neighbour goes on in it; characters of the others are tagged 0, and hold no span that counts."""
+    whole = [classes(t) for t in texts]
+    tags = [np.zeros(len(t), np.int8) for t in texts]
+    edge, done, ask = (w.width - w.stride) // 2, set(), []
+    for i, x in enumerate(whole):
+        last = w.cells(len(x)) - 1
+        at = np.flatnonzero((x == 3) | (x == 5)) if lazy else np.arange(len(x))  # digits and @
+        ask += [(i, int(c)) for c in np.unique(np.clip((at - edge) // w.stride, 0, last))]
+    while ask:
+        done.update(ask)
+        for first in range(0, len(ask), block):
+            part = ask[first : first + block]
+            for (i, c), got in zip(part, model.decode(np.stack([w.cut(whole[i], c) for i, c in part])), strict=True):
+                a, b = w.owned(c, len(whole[i]))
+                tags[i][a:b] = got[a - c * w.stride : b - c * w.stride]
+        more = set()
+        for i, c in ask:
+            a, b = w.owned(c, len(whole[i]))
+            if b < len(whole[i]) and tags[i][b - 1]:
+                more.add((i, c + 1))
+            if a and tags[i][a] and tags[i][a] % 2 == 0:  # inside a span that begins before
+                more.add((i, c - 1))
+        ask = sorted(more - done)
+    yield from tags
+
+
+MAIL = re.compile(r"[A-Za-z0-9._%+'-]+\s?[\[(]?@[\])]?\s?[A-Za-z0-9-]+(?:\s?\.\s?[A-Za-z0-9-]+)*")
+NUMBER = re.compile(r"[0-9 ().+/-]+")
+
+
+def stretched(text: str, a: int, b: int, kind: str) -> tuple[int, int]:
+    """The span without blanks and stops at its ends, and with the whole of the word or number that it begins or ends in."""
+    inside = (lambda c: c in LOCAL or c == "'") if kind == "email" else (lambda c: "0" <= c <= "9")
+    while a < b and not (inside(text[a]) or kind == "phone" and text[a] in "+("):
+        a += 1
+    while a < b and not inside(text[b - 1]):
+        b -= 1
+    while a < b and a > 0 and inside(text[a - 1]) and inside(text[a]):
+        a -= 1
+    while a < b < len(text) and inside(text[b]):
+        b += 1
+    while kind == "email" and a < b and text[b - 1] in ".%+-_'":
+        b -= 1
+    return a, b
 
 
 def plausible(kind: str, s: str) -> bool:
-    n = len(digits_of(s))
-    return {"email": "@" in s and len(s) >= 6, "ip": n >= 4 and s.count(".") == 3, "card": 12 <= n <= 19, "phone": 8 <= n <= 15}[kind]
-
-
-def model_spans(text: str, stretches: list[tuple[int, np.ndarray]]) -> list[Span]:
-    out = []
-    for start, tags in stretches:
-        at = 0
-        while at < len(tags):
-            if not tags[at]:
-                at += 1
-                continue
-            kind, end = (tags[at] - 1) // 2, at + 1
-            while end < len(tags) and tags[end] == 2 + 2 * kind:
-                end += 1
-            if plausible(BASE[kind], text[start + at : start + end]):
-                out.append((start + at, start + end, f"lstm_{BASE[kind]}"))
-            at = end
+    """Checks that a form must pass whatever the network says: digits and their check sum, parts, a host."""
+    digits = digits_of(s)
+    if kind == "email":
+        return MAIL.fullmatch(s) is not None and len(s.split("@")[0].strip(" [(")) >= 2 and len(s.split("@")[1].strip(" ])")) >= 3
+    if kind == "ip":
+        parts = re.findall("[0-9]+", s)
+        return len(parts) == 4 and all(len(p) <= 3 and int(p) <= 255 for p in parts) and s.count(".") == 3
+    if kind == "card":
+        return 14 <= len(digits) <= 19 and luhn(digits)
+    return 10 <= len(digits) <= 15 and NUMBER.fullmatch(s) is not None and any(c in "(+/.- " for c in s) and not (len(digits) == 13 and digits.startswith("97"))
+
+
+def model_spans(text: str, tags: np.ndarray) -> list[Span]:
+    """Spans of the tags, stretched and checked; of two that then overlap the first stays."""
+    out, reach = [], 0
+    lit = np.flatnonzero(tags)
+    if not len(lit):
+        return out
+    begins = (np.diff(lit, prepend=-2) > 1) | (tags[lit] % 2 == 1)
+    begins |= np.concatenate([[False], (tags[lit][1:] - 1) // 2 != (tags[lit][:-1] - 1) // 2])
+    firsts = np.flatnonzero(begins)
+    for x, y in zip(firsts, np.append(firsts[1:], len(lit)), strict=True):
+        kind = BASE[(tags[lit[x]] - 1) // 2]
+        a, b = stretched(text, int(lit[x]), int(lit[y - 1]) + 1, kind)
+        if a >= reach and plausible(kind, text[a:b]):
+            out.append((a, b, f"lstm_{kind}"))
+            reach = b
     return out
 
 
+def trained(texts: list[str], width: int = 64) -> Tagger:
+    """A tagger fitted on labelled windows of some texts and on generated forms in them."""
+    parts = [labelled(texts, width), planted(texts, width)]
+    model = Tagger()
+    model.fit(*(np.concatenate([p[i] for p in parts]) for i in range(2)))
+    return model
+
+
 def find_pii(docs: DataFrame, sample: int = 2000, excerpt: int = 8192, seed: int = 13, windows: Windows = Windows()) -> DataFrame:
     """(doc_id, found array of (start, end, kind)) for every row; extra spans never overlap base ones.
 
-    The network is trained on the first ``excerpt`` characters of ``sample`` rows with a digit or an @, chosen by a hash of the id;
-    every whole text is read. Null counts as empty; spans that start together come in the order of the kinds; without
-    any labelled span the patterns stand alone; an empty table gives no rows.
+    The network is trained on the first ``excerpt`` characters of ``sample`` rows with a digit or an @, chosen by a hash of the id, and
+    on as many generated forms; every whole text is read. Null counts as empty; spans that start together come in the order of the
+    kinds; without any text that holds a digit or an @ the patterns stand alone; an empty table gives no rows. Forms without a
+    digit or an @ (an address spelled out) are not sought.
     """
     likely = docs.where(F.col("text").rlike("[0-9@]")).select("doc_id", F.substring("text", 1, excerpt).alias("text"))
-    x, y = labelled([r["text"] for r in sample_rows(likely, sample, seed)], windows.width)
-    model = None
-    if y.any():
-        model = Tagger()
-        model.fit(x, y)
+    texts = [r["text"] for r in sample_rows(likely, sample, seed)]
+    model = trained(texts, windows.width) if texts else None
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
             texts = batch.column(1).fill_null("").to_pylist()
-            tagged = tag_texts(model, texts, windows) if model else ([] for _ in texts)
+            tagged = (t for i in range(0, len(texts), 256) for t in tag_texts(model, texts[i : i + 256], windows)) if model else itertools.repeat(None)
             out = []
-            for text, stretches in zip(texts, tagged, strict=True):
+            for text, tags in zip(texts, tagged, strict=False):
                 base = base_spans(text)
-                extra = outside(model_spans(text, stretches), base)
+                extra = outside(model_spans(text, tags), base) if model else []
                 out.append([{"start": a, "end": b, "kind": k} for a, b, k in ordered(base + extra, NAMES)])
             kind = pa.list_(pa.struct([("start", pa.int64()), ("end", pa.int64()), ("kind", pa.string())]))
             yield pa.RecordBatch.from_arrays([batch.column(0), pa.array(out, kind)], ["doc_id", "found"])

@@ -1,43 +1,16 @@
-"""Helpers that several operators share: staged tables, word patterns, crc folds and class joins."""
+"""Helpers that several operators share: word patterns, crc folds, class joins, samples, and the library's staged tables."""
 
 from __future__ import annotations
 
-import atexit
-import re
-import shutil
-import tempfile
-import uuid
-
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
+from seqstat.sources.tables import scratch, shared_folder, stage
+
 #: The contracts' white space and word patterns (valid in Java, RE2 and Python).
 SPACES = r"[\x20\x09-\x0D]+"
 WORDS = r"[^\x20\x09-\x0D]+"
 
-_own_folder: list[str] = []
-
-
-def shared_folder(spark: SparkSession) -> str:
-    """The folder of ``spark.checkpoint.dir``; a temporary one of our own only where that is unset."""
-    found = spark.conf.get("spark.checkpoint.dir", None)
-    if not found:
-        found = spark.sparkContext.getCheckpointDir()
-    if found:
-        return found.rstrip("/")
-    if not _own_folder:
-        _own_folder.append(tempfile.mkdtemp(prefix="seqstat-"))
-        atexit.register(shutil.rmtree, _own_folder[0], ignore_errors=True)
-    return f"file://{_own_folder[0]}"
-
-
-def stage(df: DataFrame, name: str) -> DataFrame:
-    """Write ``df`` as Parquet into the shared folder and read it back: lineage ends there and lost executors cost nothing."""
-    path = f"{shared_folder(df.sparkSession)}/seqstat/{name}-{uuid.uuid4().hex}"
-    df.write.parquet(path)
-    return df.sparkSession.read.schema(df.schema).parquet(path)
-
-
 def documents(spark: SparkSession, sf_dir: str) -> DataFrame:
     return spark.read.parquet(f"{sf_dir}/documents.parquet")
 
@@ -79,4 +52,6 @@ def ascii_words(text: str | None) -> list[bytes]:
     return (text or "").encode("utf-8", "surrogatepass").lower().split()
 
 
-LETTERS = re.compile(r"[^\W\d_]+")
+
+
+__all__ = ["SPACES", "WORDS", "ascii_words", "attach_class", "documents", "fold", "sample_rows", "scratch", "shared_folder", "stage", "word_count"]

@@ -18,7 +18,7 @@ from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from seqstat.llm.graph import components
-from seqstat.llm.shared import ascii_words, attach_class, stage
+from seqstat.llm.shared import ascii_words, attach_class, scratch, stage
 
 #: Fixed value: the seed of the shingle hash.
 SEED = 42
@@ -120,16 +120,19 @@ def fingerprint_components(docs: DataFrame, words: int = 3) -> DataFrame:
     """(doc_id, fp, component_id) for every row: documents whose fingerprints differ in at most 2 bits are linked.
 
     Null, empty and blank texts have fingerprint zero and link like any other; ties and repeated rows share a
-    fingerprint and so a component; an empty table gives no rows; other columns are ignored.
+    fingerprint and so a component; rows without an id link too, and a component of such rows alone has no id; an empty table
+    gives no rows; other columns are ignored.
     """
     rows = stage(fingerprints(docs, words), "fingerprints")
-    classes = stage(rows.groupBy("fp").agg(F.min("doc_id").alias("rep")), "classes")
-    entries = buckets(classes.where("rep is not null"), 2)
+    classes = stage(rows.groupBy("fp").agg(F.min("doc_id").alias("least")), "classes")
+    entries = buckets(classes.select("fp", F.col("fp").alias("rep")), 2)
     counts = stage(crowded(entries), "crowded")
     links = small_pairs(entries, counts, 2).select("a", "b").union(crowded_links(entries, counts))
-    joined = components(links)
-    named = classes.join(joined.withColumnRenamed("node", "rep"), "rep", "left").select("fp", F.coalesce("component", "rep").alias("component_id"))
-    return attach_class(rows, "fp", named, "doc_id").select("doc_id", "fp", "component_id")
+    joined = stage(components(links).join(classes.withColumnRenamed("fp", "node"), "node"), "joined")
+    least = joined.groupBy("component").agg(F.min("least").alias("component_id"))
+    linked = joined.join(least, "component").select(F.col("node").alias("fp"), "component_id")
+    alone = classes.join(linked.select("fp"), "fp", "left_anti").select("fp", F.col("least").alias("component_id"))
+    return attach_class(rows, "fp", linked.union(alone), "doc_id").select("doc_id", "fp", "component_id")
 
 
 def shingle_sets(docs: DataFrame, words: int) -> DataFrame:
@@ -209,7 +212,7 @@ def word_prints(docs: DataFrame, words: int, similarity: float) -> DataFrame:
 def crowd_of(everyone: DataFrame, radius: int) -> DataFrame:
     """(bucket, rep, fp): every row under every mask, where two rows or more share the bucket."""
     entries = buckets(everyone, radius).select("bucket", "rep", "fp")
-    return stage(entries.join(stage(crowded(entries), "crowded").select("bucket"), "bucket"), "crowd")
+    return stage(entries.join(few(stage(crowded(entries).select("bucket"), "crowded")), "bucket"), "crowd")
 
 
 def led_pairs(crowd: DataFrame, radius: int, turn: int) -> DataFrame:
@@ -239,7 +242,7 @@ def labelled(rows: DataFrame, joined: DataFrame) -> DataFrame:
 def divided(entries: DataFrame) -> DataFrame:
     """The entries, with their number n, of the shingles that rows of different components share."""
     kinds = entries.groupBy("shingle").agg(F.min("of").alias("lo"), F.max("of").alias("hi"), F.count(F.lit(1)).alias("n")).where("lo < hi").select("shingle", "n")
-    return stage(entries.join(stage(kinds, "kinds"), "shingle"), "divided")
+    return entries.join(few(stage(kinds, "kinds")), "shingle")
 
 
 def within(similarity: float) -> Column:
@@ -280,15 +283,15 @@ def prefix_pairs(entries: DataFrame, similarity: float) -> DataFrame:
     return ordered(both.select(F.col("a.rep").alias("a"), F.col("b.rep").alias("b")))
 
 
-def near_duplicates(docs: DataFrame, words: int = 5, similarity: float = 0.8, radius: int = 5, turns: int = 2, prefix_turns: int = 3) -> DataFrame:
+def near_duplicates(docs: DataFrame, words: int = 5, similarity: float = 0.8, radius: int = 4, turns: int = 2, prefix_turns: int = 3, pair_up: int = 8) -> DataFrame:
     """(doc_id, component_id) of the documents in a near-duplicate group of two or more; groups are named by their least id.
 
     A pair is linked if the sets of its ``words``-word shingles have a Jaccard similarity of ``similarity`` or more; every such pair ends
     in one group. Fingerprints of the distinct words come first: rows meet under covering masks of ``radius`` bits, and in each turn a row is
     compared with one leader of its buckets, the nearest; linked rows are merged and the least of them stays for the next of ``turns`` turns.
     The rest is found by prefixes of the shingle sets: two sets of the similarity share a shingle of their prefixes, so all pairs that do
-    and are still in different components are compared, after up to ``prefix_turns`` turns in which each row meets a few leaders. The exact
-    similarity decides throughout. Rows without an id are left out; repeated rows count once; texts without words are alike; an empty table
+    and are still in different components are compared, at once where ``pair_up`` rows at most share the shingle, and elsewhere after up to
+    ``prefix_turns`` turns in which each row meets a few leaders. The exact similarity decides throughout. Rows without an id are left out; repeated rows count once; texts without words are alike; an empty table
     gives no rows.
     """
     drawn = word_prints(docs.where("doc_id is not null"), words, similarity).groupBy(F.col("doc_id").alias("rep")).agg(F.min(F.struct("fp", "size", "prefix", *PARITIES)).alias("x"))
@@ -315,26 +318,26 @@ def near_duplicates(docs: DataFrame, words: int = 5, similarity: float = 0.8, ra
     placed = labelled(drawn.select("rep", "size", "prefix"), few(joined)).select("rep", "of", "size", F.posexplode("prefix").alias("at", "shingle"))
     entries = divided(placed.select("shingle", "rep", "of", (F.col("size") - F.col("at")).alias("rest")))
     entries = stage(entries.join(drawn.select("rep", "size", *PARITIES), "rep"), "entries")
-    last = False
-    for turn in range(prefix_turns + 1):
-        last = last or turn == prefix_turns
-        pairs = prefix_pairs(entries, similarity).join(known, ["a", "b"], "left_anti") if last else prefix_led(entries, known, similarity, turn)
+    rare, entries = entries.where(F.col("n") <= pair_up), entries.where(F.col("n") > pair_up)
+    for turn in range(prefix_turns + 2):
+        if turn == 0:
+            pairs = prefix_pairs(rare, similarity).join(known, ["a", "b"], "left_anti")
+        elif turn <= prefix_turns:
+            pairs = prefix_led(entries, known, similarity, turn)
+        else:
+            pairs = prefix_pairs(entries, similarity).join(known, ["a", "b"], "left_anti")
         pairs = stage(pairs, "pairs")
         found = alike(pairs)
         known, links = known.union(pairs), links.union(found)
-        if found.isEmpty():
-            if last:
-                break
-            last = True
-            continue
-        joined = components(links)
-        if last:
-            break
-        entries = divided(labelled(entries.drop("n", "of"), few(joined)))
+        if not found.isEmpty():
+            joined = components(links)
+            if turn <= prefix_turns:
+                entries = stage(divided(labelled(entries.drop("n", "of"), few(joined))), "entries")
     return joined.select(F.col("node").alias("doc_id"), F.col("component").alias("component_id"))
 
 
 def keep_one(docs: DataFrame, **options) -> DataFrame:
     """The rows of ``docs``, all columns, without those of a near-duplicate group that aren't its least id."""
-    dropped = stage(near_duplicates(docs, **options).where("doc_id <> component_id").select(F.col("doc_id").alias("__id")), "dropped")
+    with scratch(docs.sparkSession):
+        dropped = stage(near_duplicates(docs, **options).where("doc_id <> component_id").select(F.col("doc_id").alias("__id")), "dropped", keep=True)
     return docs.join(dropped, F.col("doc_id") == F.col("__id"), "left_anti")
