@@ -8,44 +8,17 @@ from pyspark.sql import functions as F
 from seqstat.operators.encode import Options, Prepared
 from seqstat.operators.suffix import count_suffixes, suffix_scan
 from seqstat.operators.suffix_kernel import CLOSED, MAXIMAL
+from seqstat.sources.tables import stage
 
 
 def _two_passes(p: Prepared, tau: int, sigma: int, keep: str, opts: Options) -> DataFrame:
-    """Filter by extensions to the right, reverse, filter again. The second pass is complete: where a gram that passed the first has a
-    frequent longer one around it, nothing follows it there, so its own extension by one term to the left passed too."""
-    first = suffix_scan(p, tau, sigma, opts, keep)
-    turned = first.select(F.reverse("ids").alias("ids"), F.array("cf").alias("w"))
-    return second_pass(turned, p, tau, sigma, keep, opts)
-
-
-def second_pass(turned: DataFrame, p: Prepared, tau: int, sigma: int, keep: str, opts: Options) -> DataFrame:
-    """Here a row is a gram with its own count, not an occurrence: a gram stays unless the one before it extends it as well."""
-    from collections.abc import Iterator
-
-    import numpy as np
-    import pyarrow as pa
-
-    from seqstat.operators.suffix import partitions_of
-
-    placed = turned.repartition(partitions_of(turned, opts), F.col("ids")[0]).sortWithinPartitions(F.col("ids").desc())
-
-    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        path, counts = [], []  # of the last row, and for each of its prefixes the largest count of a row that extends it
-        for batch in batches:
-            kept, rows, weights = [], batch.column("ids"), batch.column("w").flatten().to_numpy()
-            for i, row in enumerate(rows):
-                terms, cf = row.values.to_numpy(), int(weights[i])
-                n = min(len(path), len(terms))
-                differ = np.flatnonzero(path[:n] != terms[:n]) if n else ()
-                common = int(differ[0]) if len(differ) else n
-                extended = counts[len(terms) - 1] if common == len(terms) else 0
-                counts = [max(c, cf) for c in counts[:common]] + [cf] * (len(terms) - common)
-                path = terms
-                kept.append(extended < (tau if keep == MAXIMAL else cf))
-            yield batch.filter(pa.array(kept))
-
-    out = placed.mapInArrow(run, "ids array<int>, w array<bigint>")
-    return out.select(F.reverse("ids").alias("ids"), F.col("w")[0].alias("cf"))
+    """Filter by extensions to the right in the kernel, then by extensions to the left. The second is complete with extensions by one term:
+    where a gram that passed the first has a frequent longer one around it, nothing follows it there, so its own extension by one
+    term to the left passed too. Keys are whole grams, so no hot term gathers them."""
+    first = stage(suffix_scan(p, tau, sigma, opts, keep), "one-sided")
+    key = ["ids"] if keep == MAXIMAL else ["ids", "cf"]  # an extension never has a larger cf
+    longer = first.where(F.size("ids") > 1).select(F.slice("ids", F.lit(2), F.size("ids") - 1).alias("ids"), "cf")
+    return first.join(longer.select(*key), key, "left_anti")
 
 
 def maximal(p: Prepared, tau: int, sigma: int, opts: Options = Options()) -> DataFrame:

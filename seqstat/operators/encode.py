@@ -16,8 +16,8 @@ from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
-#: A dictionary of more terms than this isn't sent to all executors; it is joined instead.
-BROADCAST_TERMS = 5_000_000
+#: A dictionary of more terms or bytes than this isn't sent to all executors; it is joined instead.
+BROADCAST_TERMS, BROADCAST_BYTES = 1_000_000, 32 << 20
 
 
 @dataclass(frozen=True)
@@ -25,7 +25,7 @@ class Options:
     """Switches that all methods share; each is one of the techniques whose effect the ablations measure."""
 
     split_rare: bool = True
-    local_combine: bool = True
+    local_combine: bool = False
     partitioner: str = "range"
     partitions: int | None = None
     kernel: str = "vector"
@@ -72,36 +72,37 @@ def encode(corpus: DataFrame, dictionary: DataFrame, how: str = "auto") -> DataF
     """Runs of the dictionary's terms; terms that it lacks are barriers (all kept where it has all terms).
 
     'arrow' sends the dictionary to all executors and looks up whole batches; 'join' explodes, joins and regroups, for
-    dictionaries beyond BROADCAST_TERMS; 'auto' counts first.
+    dictionaries beyond BROADCAST_TERMS or BROADCAST_BYTES; 'auto' measures first.
     """
     meta = [c for c in corpus.columns if c not in ("doc_id", "seq_no", "pos", "terms")]
     if how == "auto":
-        how = "arrow" if dictionary.limit(BROADCAST_TERMS + 1).count() <= BROADCAST_TERMS else "join"
+        terms, octets = dictionary.agg(F.count(F.lit(1)), F.coalesce(F.sum(F.octet_length("term")), F.lit(0))).first()
+        how = "arrow" if terms <= BROADCAST_TERMS and octets <= BROADCAST_BYTES else "join"
     return _by_lookup(corpus, dictionary, meta) if how == "arrow" else _by_join(corpus, dictionary, meta)
 
 
 def _by_lookup(corpus: DataFrame, dictionary: DataFrame, meta: list[str]) -> DataFrame:
     table = dictionary.select("term", "id").toArrow()
-    order = np.argsort(table["id"].to_numpy(), kind="stable")
-    sent = corpus.sparkSession.sparkContext.broadcast((table["term"].combine_chunks().take(pa.array(order)), table["id"].to_numpy()[order].astype(np.int32)))
+    sent = corpus.sparkSession.sparkContext.broadcast((table["term"].to_pylist(), table["id"].to_pylist()))
     source = corpus.select("doc_id", "seq_no", "pos", "terms", *meta)
     fields = [f for f in source.schema.fields if f.name != "terms"]
     schema = T.StructType([*fields, T.StructField("ids", T.ArrayType(T.IntegerType()))])
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        terms, ids = sent.value
+        known = dict(zip(*sent.value, strict=True))  # once a task; a batch looks up its distinct terms
         for batch in batches:
             column = batch.column("terms")
-            flat = column.flatten()
-            found = pc.index_in(flat, value_set=terms.cast(flat.type)).fill_null(-1).to_numpy(zero_copy_only=False) if len(terms) else np.full(len(flat), -1)
+            flat = column.flatten().fill_null("").dictionary_encode()
+            own = np.fromiter((known.get(t, 0) for t in flat.dictionary.to_pylist()), np.int32, len(flat.dictionary))
+            found = own[flat.indices.to_numpy()] if len(flat) else np.zeros(0, np.int32)
             offsets = column.offsets.to_numpy() - column.offsets[0].as_py()
             row = np.repeat(np.arange(batch.num_rows), np.diff(offsets))
-            kept = np.flatnonzero(found >= 0)
+            kept = np.flatnonzero(found)  # ids begin at 1
             first = np.ones(len(kept), bool)
             first[1:] = (np.diff(kept) > 1) | (np.diff(row[kept]) > 0)
             starts = np.flatnonzero(first)
             rows = row[kept[starts]]
-            lists = pa.ListArray.from_arrays(pa.array(np.append(starts, len(kept)), pa.int32()), pa.array(ids[found[kept]] if len(terms) else np.empty(0, np.int32)))
+            lists = pa.ListArray.from_arrays(pa.array(np.append(starts, len(kept)), pa.int32()), pa.array(found[kept]))
             columns = []
             for f in fields:
                 taken = batch.column(f.name).take(pa.array(rows, pa.int64()))

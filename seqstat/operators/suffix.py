@@ -7,12 +7,12 @@ from collections.abc import Iterator
 
 import numpy as np
 import pyarrow as pa
-from pyspark.sql import Column, DataFrame
+from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
 from seqstat.operators.direct import suffix_rows
 from seqstat.operators.encode import Options, Prepared
-from seqstat.operators.suffix_kernel import ALL, StackKernel, VectorKernel, run
+from seqstat.operators.suffix_kernel import ALL, MAXIMAL, StackKernel, VectorKernel, run
 from seqstat.sources.tables import stage
 
 
@@ -66,7 +66,7 @@ def place(rows: DataFrame, p: Prepared, opts: Options) -> tuple[DataFrame, set[i
 
 
 def aggregate_sorted(placed: DataFrame, tau: int, width: int, weights: int, keep: str, repair: bool, kernel: str) -> DataFrame:
-    """(ids, w, open) of the kernel over each partition; ``placed`` has ids and w ARRAY<BIGINT> of ``weights`` numbers."""
+    """(ids, w, open, best) of the kernel over each partition; ``placed`` has ids and w ARRAY<BIGINT> of ``weights`` numbers."""
 
     def kernels(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         made = (StackKernel if kernel == "stack" else VectorKernel)(tau, width, weights, keep, repair)
@@ -76,13 +76,13 @@ def aggregate_sorted(placed: DataFrame, tau: int, width: int, weights: int, keep
                 ids, w = batch.column("ids"), batch.column("w")
                 yield ids.flatten().to_numpy(), np.diff(ids.offsets.to_numpy()).astype(np.int64), w.flatten().to_numpy().reshape(-1, weights)
 
-        for flat, lengths, sums, opened in run(made, rows()):
+        for flat, lengths, sums, opened, best in run(made, rows()):
             offsets = np.concatenate([[0], np.cumsum(lengths)]).astype(np.int32)
             lists = pa.ListArray.from_arrays(pa.array(offsets), pa.array(flat.astype(np.int32)))
             vectors = pa.ListArray.from_arrays(pa.array(np.arange(len(sums) + 1, dtype=np.int32) * weights), pa.array(sums.ravel()))
-            yield pa.RecordBatch.from_arrays([lists, vectors, pa.array(opened)], ["ids", "w", "open"])
+            yield pa.RecordBatch.from_arrays([lists, vectors, pa.array(opened), pa.array(best)], ["ids", "w", "open", "best"])
 
-    return placed.select("ids", "w").mapInArrow(kernels, "ids array<int>, w array<bigint>, open boolean")
+    return placed.select("ids", "w").mapInArrow(kernels, "ids array<int>, w array<bigint>, open boolean, best bigint")
 
 
 def total(w: Column) -> Column:
@@ -95,21 +95,24 @@ def added(w: Column, n: int) -> Column:
 
 
 def count_suffixes(rows: DataFrame, p: Prepared, tau: int, sigma: int, opts: Options, weights: int = 1, keep: str = ALL) -> DataFrame:
-    """(ids, w) from suffix rows (ids, w): combine, place, sort, count, repair."""
+    """(ids, w) from suffix rows (ids, w): place, sort, count, repair; with ``local_combine`` equal suffixes are added up first, at
+    the price of another exchange."""
+    if opts.partitioner == "bins" and (keep != ALL or weights > 1):
+        raise ValueError("weighted bins count occurrences alone: take range or first_term")
     if opts.local_combine:
         rows = rows.groupBy("ids").agg(added(F.col("w"), weights).alias("w"))
-    if keep != ALL and opts.partitioner == "range":
-        opts = Options(**(vars(opts) | {"partitioner": "first_term"}))
-    if (keep != ALL or weights > 1) and opts.partitioner == "bins":
-        opts = Options(**(vars(opts) | {"partitioner": "first_term"}))
     placed, spread = place(rows, p, opts)
     repair = opts.partitioner == "range"
     counted = aggregate_sorted(placed, tau, sigma, weights, keep, repair, opts.kernel)
     if repair:
         counted = stage(counted, "counted")
         closed = counted.where(~F.col("open")).select("ids", "w")
-        mended = counted.where("open").groupBy("ids").agg(added(F.col("w"), weights).alias("w")).where(total(F.col("w")) >= tau)
-        return closed.unionByName(mended)
+        mended = counted.where("open").groupBy("ids").agg(added(F.col("w"), weights).alias("w"), F.max("best").alias("best")).where(total(F.col("w")) >= tau)
+        if keep != ALL:  # an open gram's extensions are complete in one partition (best) or open themselves
+            longer = mended.where(F.size("ids") > 1).groupBy(F.slice("ids", F.lit(1), F.size("ids") - 1).alias("ids")).agg(F.max(total(F.col("w"))).alias("more"))
+            known = F.greatest("best", F.coalesce("more", F.lit(0).cast("bigint")))
+            mended = mended.join(longer, "ids", "left").where(known < (F.lit(tau) if keep == MAXIMAL else total(F.col("w"))))
+        return closed.unionByName(mended.select("ids", "w"))
     if spread:
         alone = (F.size("ids") == 1) & F.col("ids")[0].isin(*spread)
         own = p.dictionary.where(F.col("id").isin(*spread) & (F.col("cf") >= tau)).select(F.array("id").alias("ids"), F.array("cf").alias("w"))
@@ -146,11 +149,10 @@ def surviving_runs(runs: DataFrame, whole: DataFrame, sigma: int) -> DataFrame:
 
     base = runs.select("doc_id", F.col("pos").alias("run"), "ids")
     starts = windows(runs.select("doc_id", F.col("pos").alias("run"), "pos", "ids"), sigma, "doc_id", "run").join(whole, "ids", "left_semi")
-    kept = starts.groupBy("doc_id", "run").agg(F.sort_array(F.collect_list(F.col("pos") - F.col("run"))).alias("at"))
-    first = F.filter("at", lambda x: ~F.array_contains("at", x - 1))
-    last = F.filter("at", lambda x: ~F.array_contains("at", x + 1))
-    pieces = base.join(kept, ["doc_id", "run"]).select("doc_id", "run", "ids", F.explode(F.arrays_zip(first.alias("a"), last.alias("b"))).alias("z"))
-    cut = pieces.select("doc_id", (F.col("run") + F.col("z.a")).alias("pos"), F.slice("ids", (F.col("z.a") + 1).cast("int"), (F.col("z.b") - F.col("z.a") + sigma).cast("int")).alias("ids"))
+    at = F.col("pos") - F.col("run")
+    stretch = at - F.row_number().over(Window.partitionBy("doc_id", "run").orderBy("pos"))  # the same for neighbouring starts
+    pieces = starts.withColumn("z", stretch).groupBy("doc_id", "run", "z").agg(F.min(at).alias("a"), F.max(at).alias("b"))
+    cut = base.join(pieces, ["doc_id", "run"]).select("doc_id", (F.col("run") + F.col("a")).alias("pos"), F.slice("ids", (F.col("a") + 1).cast("int"), (F.col("b") - F.col("a") + sigma).cast("int")).alias("ids"))
     return cut.where(F.size("ids") > sigma)
 
 

@@ -17,24 +17,27 @@ ALL, MAXIMAL, CLOSED = "all", "prefix_maximal", "prefix_closed"
 
 @dataclass
 class Emitted:
-    """Grams as one array of ids with lengths, their weights (rows of W), and whether they may go on in another partition."""
+    """Grams as one array of ids with lengths, their weights (rows of W), whether they may go on in another partition, and the
+    largest count of an extension by one term."""
 
     ids: list[np.ndarray] = field(default_factory=list)
     lengths: list[np.ndarray] = field(default_factory=list)
     weights: list[np.ndarray] = field(default_factory=list)
     opened: list[np.ndarray] = field(default_factory=list)
+    best: list[np.ndarray] = field(default_factory=list)
 
-    def add(self, ids: np.ndarray, weights: np.ndarray, opened: np.ndarray) -> None:
+    def add(self, ids: np.ndarray, weights: np.ndarray, opened: np.ndarray, best: np.ndarray) -> None:
         """ids: grams of one length, a row each."""
         if len(ids):
             self.ids.append(ids.ravel())
             self.lengths.append(np.full(len(ids), ids.shape[1], np.int64))
             self.weights.append(weights)
             self.opened.append(opened)
+            self.best.append(best)
 
-    def take(self) -> tuple[np.ndarray, np.ndarray, np.ndarray, np.ndarray]:
-        out = tuple(np.concatenate(x) for x in (self.ids, self.lengths, self.weights, self.opened))
-        self.ids, self.lengths, self.weights, self.opened = [], [], [], []
+    def take(self) -> tuple[np.ndarray, np.ndarray, np.ndarray, np.ndarray, np.ndarray]:
+        out = tuple(np.concatenate(x) for x in (self.ids, self.lengths, self.weights, self.opened, self.best))
+        self.ids, self.lengths, self.weights, self.opened, self.best = [], [], [], [], []
         return out
 
 
@@ -65,7 +68,7 @@ class VectorKernel:
         elif self.keep == CLOSED:
             good &= best < total
         good = (good | opened) if self.repair else good
-        self.out.add(ids[good], counts[good], opened[good] & self.repair)
+        self.out.add(ids[good], counts[good], opened[good] & self.repair, best[good])
 
     def batch(self, flat: np.ndarray, lengths: np.ndarray, weights: np.ndarray) -> None:
         """Rows in descending order: their ids one after another, lengths (at least 1) and an (n, weights) array."""
@@ -154,7 +157,7 @@ class StackKernel:
         opened = self.repair and (last or self.from_start[-1])
         self.trace.append((tuple(self.terms), total))
         if good or opened:
-            self.out.add(np.array([self.terms], np.int32), self.sums[-1][None].copy(), np.array([opened]))
+            self.out.add(np.array([self.terms], np.int32), self.sums[-1][None].copy(), np.array([opened]), np.array([self.best[-1]]))
         self.terms.pop()
         done = self.sums.pop()
         self.best.pop()

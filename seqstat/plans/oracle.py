@@ -72,14 +72,14 @@ def stats(tau: int, sigma: int, seqs: str | None = None) -> str:
 
 def stats_cte(tau: int, sigma: int, seqs: str | None = None, name: str = "stats") -> str:
     """The same as one more CTE."""
-    return f"{ctes(tau, sigma, seqs)}, {name} as (select gram, n, count(*) cf from grams group by gram, n having count(*) >= {tau})"
+    return f"{ctes(tau, sigma, seqs)}, {name} as materialized (select gram, n, count(*) cf from grams group by gram, n having count(*) >= {tau})"
 
 
 def condensed(tau: int, sigma: int, mode: str) -> str:
     """maximal, closed, prefix_maximal or prefix_closed: by extensions of one term."""
-    same = " and l.cf = s.cf" if "closed" in mode else ""
-    parts = ["h"] if mode.startswith("prefix") else ["h", "t"]
-    sides = " and ".join(f"not exists (select 1 from longer l where l.{x} = s.gram{same})" for x in parts)
+    cuts = ["1:n - 1"] if mode.startswith("prefix") else ["1:n - 1", "2:n"]
+    parts = " union all ".join(f"select array_to_string(string_split(gram, ' ')[{c}], ' ') part, cf from stats where n > 1" for c in cuts)
+    keep = "best is null or best < cf" if "closed" in mode else "best is null"
     return f"""{stats_cte(tau, sigma)},
-longer as (select cf, array_to_string(string_split(gram, ' ')[1:n - 1], ' ') h, array_to_string(string_split(gram, ' ')[2:n], ' ') t from stats where n > 1)
-select gram, n, cf from stats s where {sides}"""
+longer as (select part, max(cf) best from ({parts}) group by part)
+select gram, n, cf from stats left join longer on part = gram where {keep}"""

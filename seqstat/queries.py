@@ -70,7 +70,7 @@ METHODS: dict[str, tuple[Callable, Options]] = {
     "suffix_lm_first_term": (lambda p, t, s: suffix_scan(p, t, s, Options(partitioner="first_term")), Options()),
     "suffix_lm_bins": (lambda p, t, s: suffix_scan(p, t, s, Options(partitioner="bins")), Options()),
     "suffix_lm_range": (lambda p, t, s: suffix_scan(p, t, s), Options()),
-    "suffix_lm_nocombine": (lambda p, t, s: suffix_scan(p, t, s, Options(local_combine=False)), Options()),
+    "suffix_lm_combine": (lambda p, t, s: suffix_scan(p, t, s, Options(local_combine=True)), Options()),
     "suffix_lm_stack": (lambda p, t, s: suffix_scan(p, t, s, Options(kernel="stack")), Options()),
     "suffix_lm_nosplit": (lambda p, t, s: suffix_scan(p, t, s), Options(split_rare=False)),
     "suffix_lm_join_encoding": (lambda p, t, s: suffix_scan(p, t, s), Options(how="join")),
@@ -105,7 +105,7 @@ add("expand_maximal", over(lambda p, t, s: condense.expand_maximal(condense.maxi
 DF_SQL = f"{oracle.ctes(*LM)} select gram, n, count(distinct doc_id) df from grams group by gram, n having count(distinct doc_id) >= {LM[0]}"
 for method in ("suffix", "direct", "index"):
     add(f"df_{method}", over(lambda p, t, s, m=method: aggregate.document_frequency(p, t, s, m), *LM, text.documents, Options(), "df"), DF_SQL)
-add("ngram_tf_index", over(lambda p, t, s: aggregate.ngram_index(p, t, s), 40, 3, text.documents, Options(), "doc_id", "tf"), f"{oracle.stats_cte(40, 3)} select gram, n, doc_id, count(*) tf from grams where gram in (select gram from stats) group by gram, n, doc_id")
+add("ngram_tf_index", over(lambda p, t, s: aggregate.ngram_index(p, t, s), 40, 3, text.documents, Options(), "doc_id", "tf"), f"{oracle.stats_cte(40, 3)} select g.gram, g.n, doc_id, count(*) tf from grams g join stats s on g.gram = s.gram group by g.gram, g.n, doc_id")
 
 
 def positions(spark: SparkSession, sf_dir: str) -> DataFrame:
@@ -115,7 +115,7 @@ def positions(spark: SparkSession, sf_dir: str) -> DataFrame:
     return found.select("gram", "n", "doc_id", F.shiftright("pos", 32).alias("seq_no"), F.col("pos").bitwiseAND(text.STRIDE - 1).alias("at"))
 
 
-add("ngram_positions", positions, f"{oracle.stats_cte(100, 3)} select gram, n, doc_id, seq_no, pos as at from grams where gram in (select gram from stats)")
+add("ngram_positions", positions, f"{oracle.stats_cte(100, 3)} select g.gram, g.n, doc_id, seq_no, pos as at from grams g join stats s on g.gram = s.gram")
 
 
 def located(spark: SparkSession, sf_dir: str) -> DataFrame:

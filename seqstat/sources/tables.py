@@ -3,9 +3,12 @@
 from __future__ import annotations
 
 import atexit
+import contextlib
+import gc
 import shutil
 import tempfile
 import uuid
+from collections.abc import Iterator
 
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
@@ -14,6 +17,7 @@ from pyspark.sql import functions as F
 TABLES = ("region", "nation", "customer", "supplier", "part", "orders", "lineitem", "events", "documents", "embeddings", "pages", "benchmark", "labels", "conversations")
 
 _own_folder: list[str] = []
+_scratch: list[list[str]] = []
 
 
 def table(spark: SparkSession, sf_dir: str, name: str, *columns: str) -> DataFrame:
@@ -56,18 +60,40 @@ def sample(df: DataFrame, percent: int, key: str = "doc_id") -> DataFrame:
 
 
 def shared_folder(spark: SparkSession) -> str:
-    """spark.checkpoint.dir as the session has it; a temporary folder of our own only where it is unset."""
+    """spark.checkpoint.dir as the session has it; where it is unset, a temporary folder of our own in local mode alone."""
     found = spark.conf.get("spark.checkpoint.dir", None) or spark.sparkContext.getCheckpointDir()
     if found:
         return found.rstrip("/")
+    if not spark.sparkContext.master.startswith("local") or spark.sparkContext.master.startswith("local-cluster"):
+        raise ValueError("set spark.checkpoint.dir to a folder that driver and executors share")
     if not _own_folder:
         _own_folder.append(tempfile.mkdtemp(prefix="seqstat-"))
         atexit.register(shutil.rmtree, _own_folder[0], ignore_errors=True)
     return f"file://{_own_folder[0]}"
 
 
-def stage(df: DataFrame, name: str) -> DataFrame:
-    """Materialise ``df`` once in the shared folder and read it back: iterations keep no lineage, and no executor's disk matters."""
+def stage(df: DataFrame, name: str, keep: bool = False) -> DataFrame:
+    """Materialise ``df`` once in the shared folder and read it back: iterations keep no lineage, and no executor's disk matters.
+
+    In a block of ``scratch`` the table goes when the block ends, unless it is to ``keep``.
+    """
     path = f"{shared_folder(df.sparkSession)}/seqstat/{name}-{uuid.uuid4().hex}"
+    if _scratch and not keep:
+        _scratch[-1].append(path)
     df.write.parquet(path)
     return df.sparkSession.read.schema(df.schema).parquet(path)
+
+
+@contextlib.contextmanager
+def scratch(spark: SparkSession) -> Iterator[None]:
+    """Remove the tables that were staged in this block when it ends, and let Spark drop the shuffle files of its finished jobs."""
+    _scratch.append([])
+    try:
+        yield
+    finally:
+        jvm, conf = spark.sparkContext._jvm, spark.sparkContext._jsc.hadoopConfiguration()
+        for name in _scratch.pop():
+            path = jvm.org.apache.hadoop.fs.Path(name)
+            path.getFileSystem(conf).delete(path, True)
+        gc.collect()
+        jvm.System.gc()

@@ -20,7 +20,7 @@ def feed(rows, size):
 
 
 def grams_of(kernel, rows, size, cells=1 << 20):
-    for flat, lengths, weights, opened in run(kernel, feed(rows, size), cells):
+    for flat, lengths, weights, opened, _ in run(kernel, feed(rows, size), cells):
         ends = np.cumsum(lengths)
         for i, n in enumerate(lengths):
             yield tuple(flat[ends[i] - n : ends[i]].tolist()), int(weights[i, 0]), bool(opened[i])
@@ -76,5 +76,5 @@ def test_weights_as_vectors():
     kernel = VectorKernel(1, 2, 2)
     kernel.batch(np.array([2, 1, 2, 1], np.int32), np.array([2, 2]), np.array([[1, 0], [0, 3]]))
     kernel.finish()
-    flat, lengths, weights, _ = kernel.out.take()
+    flat, lengths, weights, *_ = kernel.out.take()
     assert sorted(zip(lengths.tolist(), weights.tolist())) == [(1, [1, 3]), (2, [1, 3])]
