@@ -75,11 +75,11 @@ def shared_folder(spark: SparkSession) -> str:
 def stage(df: DataFrame, name: str, keep: bool = False) -> DataFrame:
     """Materialise ``df`` once in the shared folder and read it back: iterations keep no lineage, and no executor's disk matters.
 
-    In a block of ``scratch`` the table goes when the block ends, unless it is to ``keep``.
+    In a block of ``scratch`` the table goes when the block ends; one to ``keep`` goes with the block around it, if there is one.
     """
     path = f"{shared_folder(df.sparkSession)}/seqstat/{name}-{uuid.uuid4().hex}"
-    if _scratch and not keep:
-        _scratch[-1].append(path)
+    if len(_scratch) > keep:
+        _scratch[-1 - keep].append(path)
     df.write.parquet(path)
     return df.sparkSession.read.schema(df.schema).parquet(path)
 
