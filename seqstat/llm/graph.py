@@ -5,7 +5,7 @@ from __future__ import annotations
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from seqstat.llm.shared import stage
+from seqstat.llm.shared import scratch, stage
 
 
 def components(edges: DataFrame, a: str = "a", b: str = "b") -> DataFrame:
@@ -16,6 +16,11 @@ def components(edges: DataFrame, a: str = "a", b: str = "b") -> DataFrame:
     chains shrink as fast as stars. A round's tables are written to the shared folder.
     """
     live = stage(edges.select(F.col(a).cast("long").alias("a"), F.col(b).cast("long").alias("b")).where("a <> b").distinct(), "edges")
+    with scratch(edges.sparkSession):
+        return stage(_contracted(live), "components", keep=True)
+
+
+def _contracted(live: DataFrame) -> DataFrame:
     labels = live.select(F.col("a").alias("node")).union(live.select("b")).distinct().withColumn("label", F.col("node"))
     turn = 0
     while not live.isEmpty():

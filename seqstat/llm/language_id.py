@@ -2,7 +2,8 @@
 
 Each language has a hashed character-trigram model, which gives every word a likelihood; a document is a mixture of languages whose
 proportions expectation-maximisation estimates from its words. The set of languages is chosen by penalised likelihood: the
-likeliest 1, 2, ... languages are refitted, and each beyond the first must earn half a log of the words.
+likeliest 1, 2, ... languages are refitted, and each beyond the first must earn half a log of the words; a document's sets grow as long
+as that pays.
 """
 
 from __future__ import annotations
@@ -16,7 +17,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from seqstat.llm.shared import fold
+from seqstat.llm.shared import fold, stage
 
 WORD = re.compile(r"[^\W\d_]+")
 UNKNOWN = "und"
@@ -60,7 +61,7 @@ def train(rows: list[tuple[str, str]], smoothing: float = 0.5) -> Models:
 
 
 class WordCache(dict):
-    """Word → row of a growing matrix of likelihoods; emptied, with its matrix, when it holds ``most`` words."""
+    """Word → row of a growing matrix of likelihoods; emptied when it would hold more than ``most`` words, the matrix being used anew."""
 
     def __init__(self, models: Models, most: int = 300_000):
         self.models, self.most = models, most
@@ -95,27 +96,40 @@ def mixtures(logs: np.ndarray, starts: np.ndarray, allowed: np.ndarray, turns: i
     return share, np.add.reduceat(total, starts)
 
 
-def identify(logs: np.ndarray, starts: np.ndarray, turns: int = 12, most: int = 3) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
-    """Per document the language, its share of the full mixture, and the number of languages chosen."""
+def rows_of(starts: np.ndarray, total: int, chosen: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+    """Rows of the words of the chosen documents, and the places of their first words among these."""
+    sizes = np.diff(np.append(starts, total))
+    first = np.concatenate([[0], np.cumsum(sizes[chosen])[:-1]]).astype(np.int64)
+    return np.arange(int(sizes[chosen].sum())) + np.repeat(starts[chosen] - first, sizes[chosen]), first
+
+
+def identify(logs: np.ndarray, starts: np.ndarray, turns: int = 12) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+    """Per document the language, its share of the full mixture, and the number of languages chosen, of which there may be any."""
     n = logs.shape[1]
     full, _ = mixtures(logs, starts, np.ones((len(starts), n), np.float32), turns)
     order = np.argsort(-full, axis=1, kind="stable")
     penalty = 0.5 * np.log(np.diff(np.append(starts, len(logs))) + 1.0)
     best, value, size = order[:, 0].copy(), np.full(len(starts), -np.inf), np.zeros(len(starts), np.int64)
-    for k in range(1, min(most, n) + 1):
-        allowed = np.zeros((len(starts), n), np.float32)
-        np.put_along_axis(allowed, order[:, :k], 1, axis=1)
-        share, fit = mixtures(logs, starts, allowed, turns if k > 1 else 0)
-        better = fit - (k - 1) * penalty > value
-        value = np.where(better, fit - (k - 1) * penalty, value)
-        best, size = np.where(better, share.argmax(axis=1), best), np.where(better, k, size)
+    live = np.arange(len(starts))  # documents whose last set paid
+    for k in range(1, n + 1):
+        rows, first = rows_of(starts, len(logs), live)
+        allowed = np.zeros((len(live), n), np.float32)
+        np.put_along_axis(allowed, order[live, :k], 1, axis=1)
+        share, fit = mixtures(logs[rows], first, allowed, turns if k > 1 else 0)
+        gain = fit - (k - 1) * penalty[live]
+        better = gain > value[live]
+        live = live[better]
+        value[live], best[live], size[live] = gain[better], share[better].argmax(axis=1), k
+        if not len(live):
+            break
     return best, full[np.arange(len(best)), best], size
 
 
-def training_rows(docs: DataFrame, held_out: int, folds: int, sample: int, excerpt: int, seed: int) -> list[tuple[str, str]]:
-    """About ``sample`` labelled rows outside the held-out fold, shared evenly by the languages, chosen by a hash of the id."""
+def training_rows(docs: DataFrame, held_out: int, folds: int, sample: int, excerpt: int, seed: int, most: int = 1000) -> list[tuple[str, str]]:
+    """About ``sample`` labelled rows outside the held-out fold, shared evenly by the ``most`` commonest languages (a bound of the model's
+    size), chosen by a hash of the id."""
     labelled = docs.where(F.col("lang").isNotNull() & F.col("text").isNotNull() & (fold(F.col("doc_id"), folds) != held_out))
-    counts = {r["lang"]: r["count"] for r in labelled.groupBy("lang").count().orderBy(F.desc("count"), "lang").limit(1000).collect()}
+    counts = {r["lang"]: r["count"] for r in labelled.groupBy("lang").count().orderBy(F.desc("count"), "lang").limit(most).collect()}
     if not counts:
         return []
     each = max(20, sample // len(counts))
@@ -159,10 +173,12 @@ def language_mixtures(docs: DataFrame, held_out: int = 2, folds: int = 4, sample
     return docs.select(F.col("doc_id").cast("long"), held, F.col("text").cast("string")).mapInArrow(run, "doc_id long, held_out boolean, lang_pred string, score double, n_languages long")
 
 
-def keep_known(docs: DataFrame, least: float = 0.3) -> DataFrame:
-    """The rows of ``docs``, all columns, in a language that is known with at least ``least`` of the mixture."""
-    from seqstat.llm.shared import stage
+def keep_known(docs: DataFrame) -> DataFrame:
+    """The rows of ``docs``, all columns, for which a set of learned languages was chosen, of whatever size and shares.
 
-    judged = stage(language_mixtures(docs).where((F.col("lang_pred") != UNKNOWN) & (F.col("score") >= least)).select(F.col("doc_id").alias("__id")).distinct(), "known")
+    Null texts and texts without a letter go. A text in a language that no row is labelled with is read as the nearest learned one
+    and stays.
+    """
+    judged = stage(language_mixtures(docs).where(F.col("lang_pred") != UNKNOWN).select(F.col("doc_id").alias("__id")).distinct(), "known")
     lettered = docs.where(F.col("text").rlike(r"\p{L}"))
     return lettered.join(judged, F.col("doc_id").eqNullSafe(F.col("__id")), "left_semi")

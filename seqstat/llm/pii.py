@@ -100,7 +100,7 @@ def log_sum(x: np.ndarray, axis: int) -> np.ndarray:
 class Tagger:
     """A BiLSTM over character classes with a CRF over tags; class 0 pads."""
 
-    def __init__(self, hidden: int = 16, seed: int = 11):
+    def __init__(self, hidden: int = 20, seed: int = 11):
         rng = np.random.default_rng(seed)
         h, draw = hidden, lambda *s, scale=0.3: rng.normal(0, scale, s).astype(np.float32)
         self.hidden = hidden
@@ -186,7 +186,7 @@ class Tagger:
             out |= {"x" + d: wx, "h" + d: wh, "c" + d: bias}
         return float((z - gold).mean()), out
 
-    def fit(self, x: np.ndarray, y: np.ndarray, turns: int = 500, batch: int = 96, rate: float = 0.02, seed: int = 5) -> float:
+    def fit(self, x: np.ndarray, y: np.ndarray, turns: int = 900, batch: int = 96, rate: float = 0.01, seed: int = 5) -> float:
         """Adam on batches drawn with a fixed seed; returns the last loss."""
         rng = np.random.default_rng(seed)
         m, v = ({k: np.zeros_like(w) for k, w in self.weights.items()} for _ in range(2))

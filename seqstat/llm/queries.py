@@ -18,7 +18,7 @@ def op1_simhash_covering(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 def op2_curriculum_mix(spark: SparkSession, sf_dir: str) -> DataFrame:
     mixed = mixing.by_position(mixing.assign(documents(spark, sf_dir)), "first_position")
-    return mixed.select("doc_id", "size", "source_size", "target", "taken")
+    return mixed.select("doc_id", "size", "source_size", "target", "taken", F.round("first_position", 6).alias("position"), F.size("copies").cast("long").alias("copies"))
 
 
 def op3_resync_token_counts(spark: SparkSession, sf_dir: str) -> DataFrame:
@@ -76,7 +76,7 @@ with sized as (
   from documents),
 totals as (select source, cast(sum(size) as bigint) source_size from sized group by source),
 known as (
-  select source, source_size, 3 * source_size lim,
+  select source, source_size, 3 * source_size lim, (row_number() over (order by source nulls last) - 1) % 3 kind,
          [5, 2, 1][1 + (row_number() over (order by source nulls last) - 1) % 3] w
   from totals),
 levels as (
@@ -84,13 +84,22 @@ levels as (
          cast(sum(source_size) over () - coalesce(sum(lim) over b, 0) as double) / cast(sum(w) over () - coalesce(sum(w) over b, 0) as double) lv
   from known window b as (order by lim / w, source nulls last rows between unbounded preceding and 1 preceding)),
 fixed as (select *, (select lv from levels where lim > w * lv order by rk limit 1) fin from levels),
-aims as (select source, source_size, case when lim > w * fin then w * fin else cast(lim as double) end target from fixed),
+aims as (select source, source_size, kind, case when lim > w * fin then w * fin else cast(lim as double) end target from fixed),
 placed as (
   select s.*, coalesce(sum(size) over (partition by source order by ord, doc_id, size rows between unbounded preceding and 1 preceding), 0) before
   from sized s)
-select doc_id, size, source_size, target,
-       cast(list_sum([greatest(0, least(size, cast(round(target) as bigint) - before - e * source_size)) for e in [0, 1, 2]]) as bigint) taken
-from placed p join aims a on p.source is not distinct from a.source""",
+cuts as (
+  select doc_id, size, source_size, target, kind, cast(round(target) as bigint) budget, cast(before as bigint) before,
+         [greatest(0, least(size, cast(round(target) as bigint) - before - e * source_size)) for e in [0, 1, 2]] words
+  from placed p join aims a on p.source is not distinct from a.source),
+shares as (select *, case when budget > 0 then before / budget else 1.0::double end share from cuts)
+select doc_id, size, source_size, target, cast(list_sum(words) as bigint) taken, cast(len([x for x in words if x > 0]) as bigint) copies,
+       round(case when share >= 1 then share
+                  when kind = 0 then 2 * share / (sqrt(2.25 - 2 * share) + 1.5)
+                  when kind = 1 and share < 0.375 then 2 * share / (sqrt(0.25 + 2 * share) + 0.5)
+                  when kind = 1 then 0.5 + 2 * (share - 0.375) / (sqrt(1 + 2 * (share - 0.375)) + 1)
+                  else share end, 6) as position
+from shares""",
     "op6_digest_tree": r"""
 with t as (select doc_id, sha256(regexp_replace(coalesce(text, ''), '[\x20\x09-\x0D]+', ' ', 'g')) h from documents)
 select doc_id, min(doc_id) over g keep_id, count(*) over g group_size, doc_id = min(doc_id) over g kept, h text_sha256

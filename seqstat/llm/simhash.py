@@ -212,7 +212,7 @@ def word_prints(docs: DataFrame, words: int, similarity: float) -> DataFrame:
 def crowd_of(everyone: DataFrame, radius: int) -> DataFrame:
     """(bucket, rep, fp): every row under every mask, where two rows or more share the bucket."""
     entries = buckets(everyone, radius).select("bucket", "rep", "fp")
-    return stage(entries.join(few(stage(crowded(entries).select("bucket"), "crowded")), "bucket"), "crowd")
+    return stage(entries.join(stage(crowded(entries).select("bucket"), "crowded"), "bucket"), "crowd")
 
 
 def led_pairs(crowd: DataFrame, radius: int, turn: int) -> DataFrame:
@@ -225,7 +225,7 @@ def led_pairs(crowd: DataFrame, radius: int, turn: int) -> DataFrame:
     return near.groupBy("rep").agg(F.min(F.struct("d", "h", "leader"))["leader"].alias("leader")).select(F.col("leader").alias("a"), F.col("rep").alias("b"))
 
 
-def few(rows: DataFrame, most: int = 1_000_000) -> DataFrame:
+def few(rows: DataFrame, most: int = 300_000) -> DataFrame:
     """``rows`` of a fixed few bytes, marked for broadcasting if there are at most ``most`` of them."""
     return F.broadcast(rows) if rows.limit(most + 1).count() <= most else rows
 
@@ -242,7 +242,16 @@ def labelled(rows: DataFrame, joined: DataFrame) -> DataFrame:
 def divided(entries: DataFrame) -> DataFrame:
     """The entries, with their number n, of the shingles that rows of different components share."""
     kinds = entries.groupBy("shingle").agg(F.min("of").alias("lo"), F.max("of").alias("hi"), F.count(F.lit(1)).alias("n")).where("lo < hi").select("shingle", "n")
-    return entries.join(few(stage(kinds, "kinds")), "shingle")
+    return entries.join(stage(kinds, "kinds"), "shingle")
+
+
+def told_apart(entries: DataFrame) -> DataFrame:
+    """The entries of one shingle of all that the same rows hold, which would only give the same pairs again: the first in the order of all
+    shingles, at which most of every row is left. Sets of rows are compared by two 64-bit hashes and their number."""
+    holders = [F.bit_xor(F.xxhash64(F.lit(i), "rep")).alias(f"h{i}") for i in range(2)]
+    kinds = entries.groupBy("shingle", "n").agg(*holders, F.sum("rest").alias("left"))
+    first = kinds.groupBy("n", "h0", "h1").agg(F.max(F.struct("left", "shingle"))["shingle"].alias("shingle"))
+    return entries.join(stage(first.select("shingle"), "first"), "shingle")
 
 
 def within(similarity: float) -> Column:
@@ -283,7 +292,7 @@ def prefix_pairs(entries: DataFrame, similarity: float) -> DataFrame:
     return ordered(both.select(F.col("a.rep").alias("a"), F.col("b.rep").alias("b")))
 
 
-def near_duplicates(docs: DataFrame, words: int = 5, similarity: float = 0.8, radius: int = 4, turns: int = 2, prefix_turns: int = 3, pair_up: int = 8) -> DataFrame:
+def near_duplicates(docs: DataFrame, words: int = 5, similarity: float = 0.8, radius: int = 4, turns: int = 2, prefix_turns: int = 2, pair_up: int = 8) -> DataFrame:
     """(doc_id, component_id) of the documents in a near-duplicate group of two or more; groups are named by their least id.
 
     A pair is linked if the sets of its ``words``-word shingles have a Jaccard similarity of ``similarity`` or more; every such pair ends
@@ -298,11 +307,12 @@ def near_duplicates(docs: DataFrame, words: int = 5, similarity: float = 0.8, ra
     drawn = stage(drawn.select("rep", "x.*"), "word-prints")
 
     def alike(pairs: DataFrame) -> DataFrame:
-        ids = few(stage(pairs.select(F.col("a").alias("doc_id")).union(pairs.select("b")).distinct(), "compared"))
-        sets = stage(shingle_sets(docs.select("doc_id", "text").join(ids, "doc_id", "left_semi"), words).dropDuplicates(["id"]), "shingles")
-        both = pairs.join(sets.withColumnsRenamed({"id": "a", "shingles": "sa"}), "a").join(sets.withColumnsRenamed({"id": "b", "shingles": "sb"}), "b")
-        common, total = F.size(F.array_intersect("sa", "sb")), F.size("sa") + F.size("sb")
-        return stage(both.where((total == 0) | (common >= similarity * (total - common))).select("a", "b"), "links")
+        with scratch(docs.sparkSession):
+            ids = few(stage(pairs.select(F.col("a").alias("doc_id")).union(pairs.select("b")).distinct(), "compared"))
+            sets = stage(shingle_sets(docs.select("doc_id", "text").join(ids, "doc_id", "left_semi"), words).dropDuplicates(["id"]), "shingles")
+            both = pairs.join(sets.withColumnsRenamed({"id": "a", "shingles": "sa"}), "a").join(sets.withColumnsRenamed({"id": "b", "shingles": "sb"}), "b")
+            common, total = F.size(F.array_intersect("sa", "sb")), F.size("sa") + F.size("sb")
+            return stage(both.where((total == 0) | (common >= similarity * (total - common))).select("a", "b"), "links", keep=True)
 
     crowd = crowd_of(drawn.select("rep", "fp"), radius)
     known = links = drawn.select(F.col("rep").alias("a"), F.col("rep").alias("b")).limit(0)
@@ -317,6 +327,7 @@ def near_duplicates(docs: DataFrame, words: int = 5, similarity: float = 0.8, ra
         crowd = stage(crowd.join(few(joined.where("node <> component").select(F.col("node").alias("rep"))), "rep", "left_anti"), "crowd")
     placed = labelled(drawn.select("rep", "size", "prefix"), few(joined)).select("rep", "of", "size", F.posexplode("prefix").alias("at", "shingle"))
     entries = divided(placed.select("shingle", "rep", "of", (F.col("size") - F.col("at")).alias("rest")))
+    entries = told_apart(stage(entries, "divided"))
     entries = stage(entries.join(drawn.select("rep", "size", *PARITIES), "rep"), "entries")
     rare, entries = entries.where(F.col("n") <= pair_up), entries.where(F.col("n") > pair_up)
     for turn in range(prefix_turns + 2):

@@ -83,8 +83,9 @@ def count_long(model, text: str, chunk: int = 32768, overlap: int = 256) -> int:
 def token_counts(docs: DataFrame, path: str | None = None, limit: int = 4096, chunk: int = 32768, overlap: int = 256) -> DataFrame:
     """(doc_id, n_bytes, n_tokens, over_limit) for every row, without begin, end or other added tokens.
 
-    Null counts as empty: 0 bytes and tokens. Texts of over ``chunk`` characters go chunk by chunk, so that memory doesn't
-    follow a document's length; repeated rows each have a row; an empty table gives none; other columns are ignored.
+    Null counts as empty: 0 bytes and tokens. Texts of over ``chunk`` characters go chunk by chunk, so that memory for tokens doesn't
+    follow a document's length; only where two chunks have no token in common, which the counts' exactness then demands, is the text
+    encoded anew from its start. Repeated rows each have a row; an empty table gives none; other columns are ignored.
     """
     where = path or default_model()
 

@@ -32,11 +32,35 @@ def terms_of(text: str) -> set[str]:
     return words | {w[:n] + "*" for w in words for n in STEMS if len(w) >= n}
 
 
+class Automaton:
+    """The Levenshtein automaton for a bound, the same for all words: a state holds the distances, up to the bound, at the places of a word
+    within the bound of the depth; which of the 2 * bound + 1 characters there equal the next one of a term leads to the next state.
+    States and steps are made once."""
+
+    def __init__(self, edits: int):
+        self.edits, self.over = edits, edits + 1
+        self.start = tuple(max(0, j) if j >= 0 else self.over for j in range(-edits, edits + 1))
+        self.steps: dict[tuple, tuple[int, ...] | None] = {}
+
+    def step(self, state: tuple[int, ...], equal: tuple[bool, ...]) -> tuple[int, ...] | None:
+        """The next state, or None where no place is within the bound; ``equal`` is for the places after the step."""
+        key = state, equal
+        if key not in self.steps:
+            out: list[int] = []
+            for i, same in enumerate(equal):
+                dropped = state[i + 1] + 1 if i + 1 < len(state) else self.over
+                added = out[i - 1] + 1 if i else self.over
+                out.append(min(self.over, dropped, added, state[i] + (not same)))
+            self.steps[key] = tuple(out) if min(out) <= self.edits else None
+        return self.steps[key]
+
+
 class Lexicon:
     """Terms in a trie; a term that ends in a star is met by every word that begins with it."""
 
     def __init__(self, terms: dict[str, float], fuzzy_from: int = 5, edits: int = 1):
         self.terms, self.edits, self.fuzzy_from = terms, edits, fuzzy_from
+        self.automaton = Automaton(edits)
         self.words = {t: w for t, w in terms.items() if not t.endswith("*")}
         self.stems = {t[:-1]: w for t, w in terms.items() if t.endswith("*")}
         self.stem_lengths = sorted({len(t) for t in self.stems})
@@ -49,7 +73,7 @@ class Lexicon:
             node = self.trie
             for c in bare:
                 node = node.setdefault(c, {})
-            node["end"] = (t, w)
+            node.setdefault("ends", []).append((t.endswith("*"), w))
             half = len(bare) // 2  # one edit leaves one half as it is
             self.heads.add(bare[:half])
             if t == bare:
@@ -69,27 +93,28 @@ class Lexicon:
         return best
 
     def possible(self, word: str) -> bool:
-        """Whether a half of some term stands where one edit leaves it: at the beginning, the end, or a stem's middle."""
-        return self.half.match(word) is not None
+        """Whether a half of some term stands where one edit leaves it: at the beginning, the end, or a stem's middle. More edits
+        may touch both halves, so then every word goes through the trie."""
+        return self.edits != 1 or self.half.match(word) is not None
 
     def fuzzy(self, word: str) -> float:
         """The largest weight of a term within ``edits`` of the word (of its beginning, for stems)."""
-        if len(word) < self.fuzzy_from - 1 or not self.possible(word):
+        k, n = self.edits, len(word)
+        if n < self.fuzzy_from - k or not self.possible(word):
             return 0.0
-        best, stack = 0.0, [(self.trie, list(range(len(word) + 1)))]
+        best, stack = 0.0, [(self.trie, 0, self.automaton.start)]
+        padded = "\0" * (k + 1) + word + "\0" * (2 * k + 2)
         while stack:
-            node, row = stack.pop()
+            node, depth, state = stack.pop()
+            at_end = state[n - depth + k] if -k <= n - depth <= k else k + 1
+            nearest = min(x for j, x in enumerate(state, depth - k) if j <= n) if depth - k <= n else k + 1
+            for stem, weight in node.get("ends", ()):
+                if at_end <= k or stem and nearest <= k:
+                    best = max(best, weight)
+            window = padded[depth + 1 : depth + 2 * k + 2]  # the characters before the places depth + 1 - k ... depth + 1 + k
             for c, child in node.items():
-                if c == "end":
-                    term, weight = child
-                    reached = row[-1] <= self.edits or (term.endswith("*") and min(row) <= self.edits)
-                    best = max(best, weight if reached else 0.0)
-                    continue
-                after = [row[0] + 1]
-                for i, x in enumerate(word):
-                    after.append(min(after[i] + 1, row[i + 1] + 1, row[i] + (x != c)))
-                if min(after) <= self.edits:
-                    stack.append((child, after))
+                if c != "ends" and (after := self.automaton.step(state, tuple(x == c for x in window))):
+                    stack.append((child, depth + 1, after))
         return best
 
 
@@ -232,7 +257,7 @@ def train(docs: DataFrame, labels: DataFrame, held_out: int = 1, folds: int = 3,
             x = [features(t.as_py() or "", hits).tolist() for t in batch.column(1)]
             yield pa.RecordBatch.from_arrays([batch.column(0), pa.array(x, pa.list_(pa.float64()))], ["toxic", "x"])
 
-    table = rows.where("part = 2").select("toxic", "text").mapInArrow(measure, "toxic int, x array<double>").orderBy("toxic", "x").collect()
+    table = sorted(rows.where("part = 2").select("toxic", "text").mapInArrow(measure, "toxic int, x array<double>").collect())  # of the bounded sample
     x, y = np.array([r["x"] for r in table]).reshape(-1, FEATURES), np.array([r["toxic"] for r in table], float)
     if not y.any() or y.all():
         return Model(final, np.r_[np.full(1, 4.0), np.zeros(FEATURES - 1)], -3.0)
