@@ -2,6 +2,7 @@
 
 from __future__ import annotations
 
+from collections.abc import Callable
 from functools import reduce
 
 from pyspark.sql import Column, DataFrame
@@ -62,8 +63,9 @@ def counted(level: DataFrame) -> DataFrame:
     return level.groupBy("ids").agg(F.count(F.lit(1)).alias("cf"))
 
 
-def levelwise_index(p: Prepared, tau: int, sigma: int | None, K: int = 4, form: str = "nested", shards: int = 1, positions_below_K: bool = False) -> tuple[DataFrame, DataFrame]:
-    """(stats, last level). Up to K terms the corpus is read, beyond it the postings are joined, until sigma or an empty level.
+def levelwise_index(p: Prepared, tau: int, sigma: int | None, K: int = 4, form: str = "nested", shards: int = 1, positions_below_K: bool = False, seen: Callable[[int, DataFrame], None] | None = None) -> tuple[DataFrame, DataFrame]:
+    """(stats, last level). Up to K terms the corpus is read, beyond it the postings are joined, until sigma or an empty level; ``seen``
+    is called with each length and level of postings that is joined with itself.
 
     Below K only counts are needed, unless positions_below_K; with K = 1 all lists would share the empty overlap, so the flat
     form is taken there.
@@ -88,15 +90,24 @@ def levelwise_index(p: Prepared, tau: int, sigma: int | None, K: int = 4, form:
         k += 1
         if sigma is not None and k > sigma:
             break
+        if seen:
+            seen(k - 1, level)
         level = stage((extend_flat if form == "flat" else extend_nested)(level, k, tau), "level")
     return (reduce(DataFrame.unionByName, found) if found else counted(rows).where("false")), level
 
 
-def locate(p: Prepared, tau: int, sigma: int, gram: list[str]) -> DataFrame:
-    """(doc_id, pos) of one gram, by a filter on the postings' key."""
+def locate(p: Prepared, tau: int, gram: list[str], K: int = 4) -> DataFrame:
+    """(doc_id, pos) of one gram if it is frequent, from postings of at most K terms: a longer gram is where its parts stand in a row."""
     ids = p.dictionary.where(F.col("term").isin(*gram)).collect()
     number = {r["term"]: r["id"] for r in ids}
-    rows = windows(p.runs, len(gram), "doc_id")
+    top = min(K, len(gram))
+    lists = postings(windows(p.runs, top, "doc_id"), tau, 16)
+    flat = lists.select("ids", F.explode("plist").alias("x")).select("ids", "x.doc_id", F.explode("x.positions").alias("pos"))
     if len(number) < len(set(gram)):
-        return rows.select("doc_id", "pos").where("false")
-    return rows.where(F.col("ids") == F.array(*[F.lit(number[t]) for t in gram])).select("doc_id", "pos")
+        return flat.select("doc_id", "pos").where("false")
+    found = None
+    for at in range(0, len(gram) - top + 1):
+        part = flat.where(F.col("ids") == F.array(*[F.lit(number[t]) for t in gram[at : at + top]])).select("doc_id", (F.col("pos") - at).alias("pos"))
+        found = part if found is None else found.join(part, ["doc_id", "pos"], "left_semi")
+    many = found.agg(F.count(F.lit(1)).alias("cf")).where(F.col("cf") >= tau)
+    return found.join(F.broadcast(many), F.lit(True)).select("doc_id", "pos")

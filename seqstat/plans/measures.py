@@ -13,7 +13,7 @@ from pyspark.sql import functions as F
 
 from seqstat.operators.direct import gram_rows, suffix_rows
 from seqstat.operators.encode import Prepared, varbyte_size
-from seqstat.operators.levelwise_index import postings
+from seqstat.operators.levelwise_index import levelwise_index, postings
 from seqstat.operators.levelwise_scan import level_one, prune, windows
 
 
@@ -70,12 +70,15 @@ def records(p: Prepared, method: str, tau: int, sigma: int, K: int = 4) -> list[
         top = min(K, sigma)
         lists = gram_rows(p.runs, top, "doc_id").groupBy("ids", "doc_id").agg(F.count(F.lit(1)).alias("tf"))
         out = [(1, *logical(lists))]
-        if sigma > top:
-            from seqstat.operators.suffix import suffix_scan
+        numbers = F.aggregate("plist", F.lit(0).cast("long"), lambda s, e: s + 8 + 8 * F.size(e["positions"]))
 
-            again = suffix_scan(p, tau, sigma).where((F.size("ids") >= top) & (F.size("ids") < sigma))
-            counts = {r["n"]: r["count"] for r in again.groupBy(F.size("ids").alias("n")).count().collect()}
-            out += [(k + 2 - top, 2 * counts[k], 0) for k in sorted(counts)]
+        def joined(k: int, level: DataFrame) -> None:
+            """A level meets itself: each gram's list is sent twice, by its tail and by its head, whole or as rows of one occurrence."""
+            size = varbyte_size(F.col("ids")) + (numbers if "plist" in level.columns else F.lit(16))
+            found = level.agg(F.count_distinct("ids"), F.coalesce(F.sum(size), F.lit(0))).first()
+            out.append((k + 2 - top, 2 * found[0], 2 * found[1]))
+
+        levelwise_index(p, tau, sigma, K, "nested", seen=joined)
         return out
     out, level = [(1, *logical(windows(p.runs, 1)))], level_one(p, tau)
     for k in range(2, sigma + 1):

@@ -90,6 +90,13 @@ add("suffix_analytics", over(lambda p, t, s: suffix_scan(p, t, s), *ANALYTICS),
 add("scan_analytics", over(lambda p, t, s: levelwise_scan(p, t, s), *ANALYTICS), oracle.stats(*ANALYTICS))
 add("index_analytics", over(lambda p, t, s: levelwise_index(p, t, s, 4)[0], *ANALYTICS), oracle.stats(*ANALYTICS))
 add("direct_analytics", over(lambda p, t, s: direct_count(p, t, s), *ANALYTICS), oracle.stats(*ANALYTICS))
+OTHERS = {"direct": direct_count, "scan": levelwise_scan, "index": lambda p, t, s: levelwise_index(p, t, s, 4)[0]}
+for name, make in OTHERS.items():
+    add(f"vary_tau_40_{name}", over(make, 40, 5), oracle.stats(40, 5))
+    add(f"vary_sigma_10_{name}", over(make, 10, 10), oracle.stats(10, 10))
+    add(f"pages_lm_{name}", over(make, 20, 5, text.pages), oracle.stats(20, 5, oracle.sequences(oracle.PAGES)))
+    half = lambda a, b: text.from_text(tables.sample(tables.table(a, b, "documents"), 50), "doc_id", F.col("text"))
+    add(f"sample_50_{name}", over(make, *LM, half), oracle.stats(*LM, oracle.sequences(oracle.sampled(50))))
 add("suffix_unbounded", over(lambda p, t, s: suffix_scan(p, t, None), 40, 0))
 
 for mode in ("prefix_maximal", "prefix_closed"):
@@ -120,7 +127,7 @@ add("ngram_positions", positions, f"{oracle.stats_cte(100, 3)} select g.gram, g.
 
 def located(spark: SparkSession, sf_dir: str) -> DataFrame:
     p = prepare(text.documents(spark, sf_dir), 2, Options())
-    return locate(p, 2, 2, ["of", "the"]).select("doc_id", F.shiftright("pos", 32).alias("seq_no"), F.col("pos").bitwiseAND(text.STRIDE - 1).alias("at"))
+    return locate(p, 2, ["of", "the"]).select("doc_id", F.shiftright("pos", 32).alias("seq_no"), F.col("pos").bitwiseAND(text.STRIDE - 1).alias("at"))
 
 
 add("locate_gram", located, f"with {oracle.sequences()}, p as (select doc_id, seq_no, w, unnest(range(1, len(w))) b from seqs) select doc_id, seq_no, b - 1 as at from p where w[b] = 'of' and w[b + 1] = 'the'")
@@ -300,7 +307,12 @@ def condensed_sizes(spark: SparkSession, sf_dir: str) -> DataFrame:
     return spark.createDataFrame(rows, "setting string, frequent long, closed long, maximal long")
 
 
-add("condensed_sizes", condensed_sizes)
+def sizes_sql(name: str, tau: int, sigma: int) -> str:
+    count = lambda sql: f"(select count(*) from ({sql}))"
+    return f"select '{name}' as setting, {count(oracle.stats(tau, sigma))} frequent, {count(oracle.condensed(tau, sigma, 'closed'))} closed, {count(oracle.condensed(tau, sigma, 'maximal'))} maximal"
+
+
+add("condensed_sizes", condensed_sizes, f"{sizes_sql('language_model', *LM)} union all {sizes_sql('analytics', *ANALYTICS)}")
 
 
 def prefix_push(spark: SparkSession, sf_dir: str) -> DataFrame:

@@ -16,17 +16,21 @@ from pyspark.sql.streaming.state import GroupState, GroupStateTimeout
 
 from seqstat.sources.tables import shared_folder, table
 
-def source(spark: SparkSession, sf_dir: str, files: int = 4, closing: bool = False) -> DataFrame:
+
+def source(spark: SparkSession, sf_dir: str, closing: bool = False, repeats: int = 1, rows: int = 1_000_000) -> DataFrame:
     """The events table replayed as a stream of Parquet files, written one after another in time order; ts as a timestamp.
 
-    With ``closing`` an event two days after the last one ends the stream: it lifts the watermark past all windows and sessions before
+    A file, written by one task, holds about ``rows`` events at most; there are four at least. Events without a time are left out, as no
+    window holds them. With ``repeats`` each event is sent so many times. With ``closing`` an event two days after the last one ends the stream: it lifts the watermark past all windows and sessions before
     it, so that they are handed on, and its own stay open.
     """
     path = f"{shared_folder(spark)}/seqstat/stream-{uuid.uuid4().hex}"
-    events = table(spark, sf_dir, "events").where("user_id is not null").withColumn("ts", F.col("ts").cast("timestamp"))
+    events = batch(spark, sf_dir)
+    files = max(4, -(-events.count() // rows))
     cuts = events.select(F.unix_micros("ts").alias("m")).approxQuantile("m", [i / files for i in range(1, files)], 0.01)
     for low, high in zip([float("-inf"), *cuts], [*cuts, float("inf")], strict=True):
-        events.where((F.unix_micros("ts") >= low) & (F.unix_micros("ts") < high)).coalesce(1).write.mode("append").parquet(path)
+        part = events.where((F.unix_micros("ts") >= low) & (F.unix_micros("ts") < high))
+        part.withColumn("__copy", F.explode(F.sequence(F.lit(1), F.lit(repeats)))).drop("__copy").coalesce(1).write.mode("append").parquet(path)
     if closing:
         last = events.agg(F.max("ts").alias("ts")).where("ts is not null").select((F.col("ts") + F.expr("interval 2 days")).alias("ts"))
         row = last.select(*["ts" if f.name == "ts" else F.lit(None).cast(f.dataType).alias(f.name) for f in events.schema])
@@ -35,7 +39,7 @@ def source(spark: SparkSession, sf_dir: str, files: int = 4, closing: bool = Fal
 
 
 def batch(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return table(spark, sf_dir, "events").where("user_id is not null").withColumn("ts", F.col("ts").cast("timestamp"))
+    return table(spark, sf_dir, "events").where("user_id is not null and ts is not null").withColumn("ts", F.col("ts").cast("timestamp"))
 
 
 def finished(df: DataFrame, mode: str = "append") -> DataFrame:
@@ -153,7 +157,7 @@ def queries() -> dict:
         "stream_session": lambda s, d: finished(session_sequences(source(s, d, closing=True))),
         "stream_session_batch": lambda s, d: session_sequences(batch(s, d)),
         "stream_late": lambda s, d: finished(windowed_counts(source(s, d), late="0 seconds")),
-        "stream_dedupe": lambda s, d: finished(dedupe(source(s, d)).select("event_id", "event_type")),
+        "stream_dedupe": lambda s, d: finished(dedupe(source(s, d, repeats=2)).select("event_id", "event_type")),
         "stream_dedupe_batch": lambda s, d: dedupe(batch(s, d)).select("event_id", "event_type"),
         "stream_enrich": lambda s, d: finished(enrich(source(s, d), customers(s, d))),
         "stream_enrich_batch": lambda s, d: enrich(batch(s, d), customers(s, d)),
@@ -175,8 +179,11 @@ def oracle_sql() -> dict[str, str]:
 g as (select *, sum(brk) over (partition by user_id order by ts, event_id) sid from o)
 select user_id, cast(floor(epoch_us(min(ts)) / 1000000) as bigint) as start, string_agg(event_type, ' ' order by ts, event_id) terms from g group by user_id, sid"""
     return {
+        "stream_tumbling": tumbling,
         "stream_tumbling_batch": tumbling,
+        "stream_sliding": sliding,
         "stream_sliding_batch": sliding,
+        "stream_session": session,
         "stream_session_batch": session,
         "stream_dedupe": dedupe_sql,
         "stream_dedupe_batch": dedupe_sql,

@@ -4,14 +4,16 @@ import random
 from collections import Counter
 
 import pytest
+from pyspark.sql import functions as F
 
 from seqstat.functions import text
 from seqstat.operators import aggregate, condense
 from seqstat.operators.direct import direct_count
 from seqstat.operators.encode import Options, build_dictionary, decode, prepare, sort_key, varbyte_size
-from seqstat.operators.levelwise_index import levelwise_index
+from seqstat.operators.levelwise_index import levelwise_index, locate
 from seqstat.operators.levelwise_scan import levelwise_scan
-from seqstat.operators.suffix import suffix_prefix_hash, suffix_rollup, suffix_scan
+from seqstat.operators.direct import suffix_rows
+from seqstat.operators.suffix import place, suffix_prefix_hash, suffix_rollup, suffix_scan
 from seqstat.plans import choose, measures
 
 EXAMPLE = ("a x b x x", "b a x b x", "x b a x b")
@@ -157,6 +159,32 @@ def test_guard_and_choice(spark):
 
 def test_plans(spark, capsys):
     p = prepare(text.literal(spark, *EXAMPLE), 3)
-    suffix_scan(p, 3, 3, Options(partitioner="first_term", local_combine=False)).explain()
+    suffix_scan(p, 3, 3, Options(partitioner="first_term")).explain()
     plan = capsys.readouterr().out
     assert plan.count("Exchange") == 1 and "MapInArrow" in plan
+    rows = suffix_rows(p.runs, 3).select("ids", F.array(F.lit(1).cast("bigint")).alias("w"))
+    place(rows, p, Options())[0].explain()
+    plan = capsys.readouterr().out
+    assert plan.count("Exchange") == 1 and "rangepartitioning" in plan and "Aggregate" not in plan
+
+
+@pytest.mark.parametrize("keep", ["prefix_maximal", "prefix_closed"])
+def test_condensing_under_range_placement(spark, keep):
+    """Open grams get their best extension from all partitions."""
+    rng = random.Random(5)
+    for case in range(4):
+        docs = [" ".join(rng.choice("ab") for _ in range(rng.randint(4, 14))) for _ in range(6)]
+        tau, sigma = rng.randint(1, 3), rng.randint(2, 5)
+        p = prepare(text.literal(spark, *docs), tau)
+        want = grams(suffix_scan(p, tau, sigma, Options(partitioner="first_term"), keep), p)
+        for n in (2, 5, 9):
+            assert grams(suffix_scan(p, tau, sigma, Options(partitions=n), keep), p) == want
+    with pytest.raises(ValueError):
+        suffix_scan(p, tau, sigma, Options(partitioner="bins"), keep)
+
+
+def test_locate_joins_postings(spark):
+    p = prepare(text.literal(spark, "a b c d e", "x a b c d e", "a b c d"), 1)
+    found = locate(p, 1, "a b c d e".split(), K=2)
+    assert {(r["doc_id"], r["pos"] & (text.STRIDE - 1)) for r in found.collect()} == {(1, 0), (2, 1)}
+    assert locate(p, 3, "a b c d e".split(), K=2).collect() == []
