@@ -222,6 +222,9 @@ class Windows:
         return np.pad(part, (0, self.width - len(part)))
 
 
+DOUBTFUL = re.compile(r"@|(?:[0-9][^A-Za-z0-9@]{0,3}){9,}[0-9]|[0-9]{1,3}(?:\W{1,3}[0-9]{1,3}){3}")
+
+
 def tags_of(n: int, spans: list[Span]) -> np.ndarray:
     tags = np.zeros(n, np.int64)
     for a, b, name in spans:
@@ -234,7 +237,8 @@ def stacked(xs: list[np.ndarray], width: int) -> np.ndarray:
 
 
 def labelled(texts: list[str], width: int = 64, most: int = 4000, seed: int = 5) -> tuple[np.ndarray, np.ndarray]:
-    """Windows and tags: each base span at a random place of a window, other digits and handles, and stretches without any."""
+    """Windows and tags: each base span at a random place of a window, other digits, and stretches without any. Windows that hold what may
+    be an unlabelled span (``DOUBTFUL`` outside the base spans) are left out, so that they don't teach that it is none."""
     rng = np.random.default_rng(seed)
     xs, ys = [], []
     for text in texts:
@@ -243,6 +247,8 @@ def labelled(texts: list[str], width: int = 64, most: int = 4000, seed: int = 5)
         places = [max(0, a - int(rng.integers(0, width - 8))) for a, _, _ in spans]
         places += [max(0, m.start() - int(rng.integers(0, width - 8))) for m in itertools.islice(DIGIT.finditer(text), 4)]
         places += [int(rng.integers(0, max(1, len(text) - width))) for _ in range(2)]
+        doubts = outside([(m.start(), m.end(), "") for m in DOUBTFUL.finditer(text)], spans)
+        places = [p for p in places if not any(a < p + width and p < b for a, b, _ in doubts)]
         xs += [whole[p : p + width] for p in places]
         ys += [tags[p : p + width] for p in places]
         if len(xs) >= most:
@@ -295,7 +301,7 @@ def other(rng: np.random.Generator) -> str:
 
 
 def planted(texts: list[str], width: int = 64, n: int = 4000, seed: int = 19) -> tuple[np.ndarray, np.ndarray]:
-    """Windows and tags: forms of ``written`` and, a third, ``other`` at random places of the texts' stretches."""
+    """Windows and tags: one or two forms each, of ``written`` or ``other``, at random places of the texts' stretches."""
     rng, xs, ys = np.random.default_rng(seed), [], []
     texts = [t for t in texts if t] or [""]
     for i in range(n):
@@ -303,11 +309,15 @@ def planted(texts: list[str], width: int = 64, n: int = 4000, seed: int = 19) ->
         at = int(rng.integers(0, max(1, len(text) - 2 * width)))
         around = DIGITS_OR_AT.sub("x", text[at : at + 2 * width])
         gaps = [m.end() for m in re.finditer(r"\s", around[: width - 8])] or [0]
-        place = gaps[int(rng.integers(0, len(gaps)))]
-        form, kind = (other(rng), None) if i % 3 == 2 else written(rng)
-        follow = ["", ".", ",", ";", ")"][int(rng.integers(0, 5))] + " "
-        line = around[:place] + form + follow + around[place:]
-        tags = tags_of(len(line), [(place, place + len(form), kind)] if kind else [])
+        line, spans, past = "", [], 0
+        for place in sorted(rng.choice(gaps, min(len(gaps), 1 + i % 2), replace=False).tolist()):
+            form, kind = (other(rng), None) if rng.random() < 0.3 else written(rng)
+            line += around[past:place]
+            spans += [(len(line), len(line) + len(form), kind)] if kind else []
+            line += form + ["", ".", ",", ";", ")"][int(rng.integers(0, 5))] + " "
+            past = place
+        line += around[past:]
+        tags = tags_of(len(line), spans)
         xs.append(classes(line)[:width])
         ys.append(tags[:width])
     return stacked(xs, width), stacked(ys, width)

@@ -76,7 +76,7 @@ with sized as (
   from documents),
 totals as (select source, cast(sum(size) as bigint) source_size from sized group by source),
 known as (
-  select source, source_size, 3 * source_size lim, (row_number() over (order by source nulls last) - 1) % 3 kind,
+  select source, source_size, 3 * source_size lim, (row_number() over (order by source nulls last) - 1) % 3 as kind,
          [5, 2, 1][1 + (row_number() over (order by source nulls last) - 1) % 3] w
   from totals),
 levels as (
@@ -87,12 +87,12 @@ fixed as (select *, (select lv from levels where lim > w * lv order by rk limit
 aims as (select source, source_size, kind, case when lim > w * fin then w * fin else cast(lim as double) end target from fixed),
 placed as (
   select s.*, coalesce(sum(size) over (partition by source order by ord, doc_id, size rows between unbounded preceding and 1 preceding), 0) before
-  from sized s)
+  from sized s),
 cuts as (
-  select doc_id, size, source_size, target, kind, cast(round(target) as bigint) budget, cast(before as bigint) before,
-         [greatest(0, least(size, cast(round(target) as bigint) - before - e * source_size)) for e in [0, 1, 2]] words
+  select doc_id, size, source_size, target, kind, cast(round(target) as bigint) as budget, cast(before as bigint) as before,
+         [greatest(0, least(size, cast(round(target) as bigint) - before - e * source_size)) for e in [0, 1, 2]] as words
   from placed p join aims a on p.source is not distinct from a.source),
-shares as (select *, case when budget > 0 then before / budget else 1.0::double end share from cuts)
+shares as (select *, case when budget > 0 then before / budget else cast(1 as double) end as share from cuts)
 select doc_id, size, source_size, target, cast(list_sum(words) as bigint) taken, cast(len([x for x in words if x > 0]) as bigint) copies,
        round(case when share >= 1 then share
                   when kind = 0 then 2 * share / (sqrt(2.25 - 2 * share) + 1.5)

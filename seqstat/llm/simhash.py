@@ -146,7 +146,7 @@ def shingle_sets(docs: DataFrame, words: int) -> DataFrame:
     return docs.select(F.col("doc_id").cast("long"), F.col("text").cast("string")).mapInArrow(run, "id long, shingles array<long>")
 
 
-def common_shingles(docs: DataFrame, words: int, rows: int = 20000, share: float = 0.05, most: int = 100_000) -> tuple[np.ndarray, np.ndarray]:
+def common_shingles(docs: DataFrame, words: int, rows: int = 20000, share: float = 0.4, most: int = 500_000) -> tuple[np.ndarray, np.ndarray]:
     """(hashes in order, rows that hold each): the commonest shingles of a sample of ``share`` of the rows, or of ``rows`` if that is more.
 
     They only set the order in which ``prefix`` takes shingles, so the sample and the bound decide the cost and never the result.
