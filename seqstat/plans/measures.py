@@ -8,7 +8,7 @@ import urllib.request
 from collections.abc import Callable
 from dataclasses import asdict, dataclass
 
-from pyspark.sql import DataFrame, Observation
+from pyspark.sql import DataFrame, Observation, SparkSession
 from pyspark.sql import functions as F
 
 from seqstat.operators.direct import gram_rows, suffix_rows
@@ -31,23 +31,25 @@ class Measure:
 
 def timed(name: str, make: Callable[[], DataFrame]) -> Measure:
     """Wall-clock from the method's start to its complete result, all jobs included (one run on an otherwise idle machine)."""
+    spark = SparkSession.getActiveSession()
+    before = shuffle_totals(spark)  # a method's own rounds count as well
     began = time.monotonic()
     observed = Observation()
     df = make()
-    before = shuffle_totals(df)
     df.observe(observed, F.count(F.lit(1)).alias("rows")).write.format("noop").mode("overwrite").save()
-    after = shuffle_totals(df)
-    out = Measure(name, time.monotonic() - began, rows=observed.get["rows"])
+    seconds = time.monotonic() - began
+    after = shuffle_totals(spark)
+    out = Measure(name, seconds, rows=observed.get["rows"])
     if before and after:
         out.records_shuffle, out.bytes_shuffle = after[0] - before[0], after[1] - before[1]
     return out
 
 
-def shuffle_totals(df: DataFrame) -> tuple[int, int] | None:
+def shuffle_totals(spark: SparkSession | None) -> tuple[int, int] | None:
     """Records and bytes that all stages so far wrote for exchanges, from the application's REST address; None without the UI."""
-    sc = df.sparkSession.sparkContext
-    if not sc.uiWebUrl:
+    if spark is None or not spark.sparkContext.uiWebUrl:
         return None
+    sc = spark.sparkContext
     port = sc.uiWebUrl.rsplit(":", 1)[1].rstrip("/")
     with urllib.request.urlopen(f"http://127.0.0.1:{port}/api/v1/applications/{sc.applicationId}/stages", timeout=10) as page:
         stages = json.load(page)
@@ -135,6 +137,16 @@ def output_buckets(stats: DataFrame) -> DataFrame:
     return stats.groupBy(log(F.col("n")).alias("len_bucket"), log(F.col("cf")).alias("cf_bucket")).agg(F.count(F.lit(1)).alias("grams"))
 
 
+def compare(p: Prepared, tau: int, sigma: int, names: tuple[str, ...] = ("direct", "scan", "index", "suffix")) -> list[Measure]:
+    """Each method on the same prepared corpus, so that preparation is in none of the times."""
+    from seqstat.operators.direct import direct_count
+    from seqstat.operators.levelwise_scan import levelwise_scan
+    from seqstat.operators.suffix import suffix_scan
+
+    make = {"direct": direct_count, "scan": levelwise_scan, "index": lambda *a: levelwise_index(*a, 4)[0], "suffix": suffix_scan}
+    return [timed(name, lambda n=name: make[n](p, tau, sigma)) for name in names]
+
+
 def speedup(measures: list[Measure], own: str = "suffix") -> dict[str, float]:
     base = next(m.seconds for m in measures if m.method == own)
     return {m.method: round(m.seconds / base, 2) for m in measures}
@@ -144,4 +156,4 @@ def as_row(m: Measure) -> dict:
     return asdict(m)
 
 
-__all__ = ["Measure", "corpus_profile", "expected_direct", "expected_index", "expected_scan", "expected_suffix", "logical", "output_buckets", "postings", "records", "speedup", "timed"]
+__all__ = ["Measure", "compare", "corpus_profile", "expected_direct", "expected_index", "expected_scan", "expected_suffix", "logical", "output_buckets", "postings", "records", "speedup", "timed"]
