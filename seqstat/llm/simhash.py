@@ -305,11 +305,13 @@ def near_duplicates(docs: DataFrame, words: int = 5, similarity: float = 0.8, ra
     """
     drawn = word_prints(docs.where("doc_id is not null"), words, similarity).groupBy(F.col("doc_id").alias("rep")).agg(F.min(F.struct("fp", "size", "prefix", *PARITIES)).alias("x"))
     drawn = stage(drawn.select("rep", "x.*"), "word-prints")
+    repeated = docs.where("doc_id is not null").count() > drawn.count()
 
     def alike(pairs: DataFrame) -> DataFrame:
         with scratch(docs.sparkSession):
             ids = few(stage(pairs.select(F.col("a").alias("doc_id")).union(pairs.select("b")).distinct(), "compared"))
-            sets = stage(shingle_sets(docs.select("doc_id", "text").join(ids, "doc_id", "left_semi"), words).dropDuplicates(["id"]), "shingles")
+            sets = shingle_sets(docs.select("doc_id", "text").join(ids, "doc_id", "left_semi"), words)
+            sets = stage(sets.dropDuplicates(["id"]) if repeated else sets, "shingles")
             both = pairs.join(sets.withColumnsRenamed({"id": "a", "shingles": "sa"}), "a").join(sets.withColumnsRenamed({"id": "b", "shingles": "sb"}), "b")
             common, total = F.size(F.array_intersect("sa", "sb")), F.size("sa") + F.size("sb")
             return stage(both.where((total == 0) | (common >= similarity * (total - common))).select("a", "b"), "links", keep=True)
