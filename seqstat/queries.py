@@ -92,11 +92,14 @@ add("index_analytics", over(lambda p, t, s: levelwise_index(p, t, s, 4)[0], *ANA
 add("direct_analytics", over(lambda p, t, s: direct_count(p, t, s), *ANALYTICS), oracle.stats(*ANALYTICS))
 OTHERS = {"direct": direct_count, "scan": levelwise_scan, "index": lambda p, t, s: levelwise_index(p, t, s, 4)[0]}
 for name, make in OTHERS.items():
-    add(f"vary_tau_40_{name}", over(make, 40, 5), oracle.stats(40, 5))
-    add(f"vary_sigma_10_{name}", over(make, 10, 10), oracle.stats(10, 10))
+    for tau in (5, 20, 40, 50, 100):
+        add(f"vary_tau_{tau}_{name}", over(make, tau, 5), oracle.stats(tau, 5))
+    for sigma in (10, 50):
+        add(f"vary_sigma_{sigma}_{name}", over(make, 10, sigma), oracle.stats(10, sigma))
     add(f"pages_lm_{name}", over(make, 20, 5, text.pages), oracle.stats(20, 5, oracle.sequences(oracle.PAGES)))
-    half = lambda a, b: text.from_text(tables.sample(tables.table(a, b, "documents"), 50), "doc_id", F.col("text"))
-    add(f"sample_50_{name}", over(make, *LM, half), oracle.stats(*LM, oracle.sequences(oracle.sampled(50))))
+    for percent in (25, 50, 75):
+        part = lambda a, b, n=percent: text.from_text(tables.sample(tables.table(a, b, "documents"), n), "doc_id", F.col("text"))
+        add(f"sample_{percent}_{name}", over(make, *LM, part), oracle.stats(*LM, oracle.sequences(oracle.sampled(percent))))
 add("suffix_unbounded", over(lambda p, t, s: suffix_scan(p, t, None), 40, 0))
 
 for mode in ("prefix_maximal", "prefix_closed"):

@@ -10,7 +10,7 @@ KEYS = [
     "encoded_corpus", "corpus_profile_documents", "output_buckets", "records_index", "benchmark_overlap", "backoff_lm", "theta_subsumption",
     "interval_purchase", "asof_last_error", "cube_lang_source", "pivot_period", "win_range_frame", "vocab_except_all", "fn_array", "fn_lcp",
     "udtf_suffix_rows", "prefix_maximal", "prefix_closed", "maximal_relational", "closed_relational", "closed_analytics", "condensed_sizes",
-    "locate_gram", "vary_tau_40_index", "sample_50_scan", "stream_tumbling", "stream_session", "stream_carry", "stream_dedupe", "stream_session_batch", "stream_merge",
+    "locate_gram", "vary_tau_40_index", "vary_tau_5_scan", "vary_sigma_50_index", "sample_50_scan", "sample_25_direct", "stream_tumbling", "stream_session", "stream_carry", "stream_dedupe", "stream_session_batch", "stream_merge",
 ]
 
 
