@@ -26,6 +26,8 @@ SEED = 42
 SMALL = 48
 #: Columns of 64 bits that hold, for 256 classes of shingles, whether a set has an odd number of them.
 PARITIES = ["p0", "p1", "p2", "p3"]
+#: The bits of a shingle's hash by which its frequency is looked up: fewer bits cross the network, and two shingles that share them share a rank.
+LEADING = (1 << 64) - (1 << 24)
 
 
 def shingle_hashes(words: list[bytes], n: int) -> np.ndarray:
@@ -147,13 +149,14 @@ def shingle_sets(docs: DataFrame, words: int) -> DataFrame:
 
 
 def common_shingles(docs: DataFrame, words: int, rows: int = 20000, share: float = 0.4, most: int = 500_000) -> tuple[np.ndarray, np.ndarray]:
-    """(hashes in order, rows that hold each): the commonest shingles of a sample of ``share`` of the rows, or of ``rows`` if that is more.
+    """(leading bits of hashes in order, rows that hold them): the commonest shingles of a sample of ``share`` of the rows, or of ``rows`` if that is more.
 
     They only set the order in which ``prefix`` takes shingles, so the sample and the bound decide the cost and never the result.
     """
     part = int(min(1.0, max(share, rows / max(1, docs.count()))) * (1 << 20))
     sampled = docs.where(F.pmod(F.xxhash64(F.lit(SEED), "doc_id"), F.lit(1 << 20)) < part)
-    counts = shingle_sets(sampled, words).select(F.explode("shingles").alias("shingle")).groupBy("shingle").agg(F.count(F.lit(1)).alias("n")).where("n > 1")
+    leading = F.col("shingle").bitwiseAND(LEADING - (1 << 64)).alias("shingle")
+    counts = shingle_sets(sampled, words).select(F.explode("shingles").alias("shingle")).select(leading).groupBy("shingle").agg(F.count(F.lit(1)).alias("n")).where("n > 1")
     counts = stage(counts, "common")
     least, total = 2, 0
     for r in sorted(counts.groupBy("n").agg(F.count(F.lit(1)).alias("kinds")).collect(), reverse=True):
@@ -174,8 +177,9 @@ def prefix(hashes: np.ndarray, common: np.ndarray, counts: np.ndarray, similarit
         return np.zeros(1, np.uint64)
     rank = np.zeros(len(hashes), np.int64)
     if len(common):
-        at = np.minimum(np.searchsorted(common, hashes), len(common) - 1)
-        rank = np.where(common[at] == hashes, counts[at], 0)
+        leading = hashes & np.uint64(LEADING)
+        at = np.minimum(np.searchsorted(common, leading), len(common) - 1)
+        rank = np.where(common[at] & np.uint64(LEADING) == leading, counts[at], 0)
     keep = len(hashes) - math.ceil(similarity * len(hashes) - 1e-9) + 1
     return hashes[np.lexsort((hashes, rank))[:keep]]
 
@@ -303,9 +307,11 @@ def near_duplicates(docs: DataFrame, words: int = 5, similarity: float = 0.8, ra
     ``prefix_turns`` turns in which each row meets a few leaders. The exact similarity decides throughout. Rows without an id are left out; repeated rows count once; texts without words are alike; an empty table
     gives no rows.
     """
-    drawn = word_prints(docs.where("doc_id is not null"), words, similarity).groupBy(F.col("doc_id").alias("rep")).agg(F.min(F.struct("fp", "size", "prefix", *PARITIES)).alias("x"))
-    drawn = stage(drawn.select("rep", "x.*"), "word-prints")
-    repeated = docs.where("doc_id is not null").count() > drawn.count()
+    repeated = not docs.where("doc_id is not null").groupBy("doc_id").count().where("count > 1").isEmpty()
+    drawn = word_prints(docs.where("doc_id is not null"), words, similarity).withColumnRenamed("doc_id", "rep")
+    if repeated:
+        drawn = drawn.groupBy("rep").agg(F.min(F.struct("fp", "size", "prefix", *PARITIES)).alias("x")).select("rep", "x.*")
+    drawn = stage(drawn, "word-prints")
 
     def alike(pairs: DataFrame) -> DataFrame:
         with scratch(docs.sparkSession):
