@@ -2,13 +2,15 @@
 
 from __future__ import annotations
 
+import inspect
 import json
+import statistics
 import time
 import urllib.request
 from collections.abc import Callable
 from dataclasses import asdict, dataclass
 
-from pyspark.sql import DataFrame, Observation, SparkSession
+from pyspark.sql import DataFrame, Observation, SparkSession, Window
 from pyspark.sql import functions as F
 
 from seqstat.operators.direct import gram_rows, suffix_rows
@@ -27,33 +29,37 @@ class Measure:
     bytes_shuffle: int = 0
     rounds: int = 1
     rows: int = 0
+    peak_task: int = 0
 
 
 def timed(name: str, make: Callable[[], DataFrame]) -> Measure:
     """Wall-clock from the method's start to its complete result, all jobs included (one run on an otherwise idle machine)."""
     spark = SparkSession.getActiveSession()
-    before = shuffle_totals(spark)  # a method's own rounds count as well
+    before = stages(spark)  # a method's own rounds count as well
     began = time.monotonic()
     observed = Observation()
     df = make()
     df.observe(observed, F.count(F.lit(1)).alias("rows")).write.format("noop").mode("overwrite").save()
     seconds = time.monotonic() - began
-    after = shuffle_totals(spark)
+    after = stages(spark)
     out = Measure(name, seconds, rows=observed.get["rows"])
-    if before and after:
-        out.records_shuffle, out.bytes_shuffle = after[0] - before[0], after[1] - before[1]
+    own = [after[k] for k in after.keys() - before.keys()]
+    out.records_shuffle = sum(x["shuffleWriteRecords"] for x in own)
+    out.bytes_shuffle = sum(x["shuffleWriteBytes"] for x in own)
+    out.rounds = sum(x["shuffleWriteRecords"] > 0 for x in own)
+    out.peak_task = max((x["peakExecutionMemory"] // max(1, x["numCompleteTasks"]) for x in own), default=0)
     return out
 
 
-def shuffle_totals(spark: SparkSession | None) -> tuple[int, int] | None:
-    """Records and bytes that all stages so far wrote for exchanges, from the application's REST address; None without the UI."""
+def stages(spark: SparkSession | None) -> dict[tuple[int, int], dict]:
+    """All stages so far by id and attempt, from the application's REST address; none without the UI. Their peak execution memory is a
+    sum over tasks, so ``peak_task`` is the mean task of the stage that holds the most."""
     if spark is None or not spark.sparkContext.uiWebUrl:
-        return None
+        return {}
     sc = spark.sparkContext
     port = sc.uiWebUrl.rsplit(":", 1)[1].rstrip("/")
-    with urllib.request.urlopen(f"http://127.0.0.1:{port}/api/v1/applications/{sc.applicationId}/stages", timeout=10) as page:
-        stages = json.load(page)
-    return sum(s["shuffleWriteRecords"] for s in stages), sum(s["shuffleWriteBytes"] for s in stages)
+    with urllib.request.urlopen(f"http://127.0.0.1:{port}/api/v1/applications/{sc.applicationId}/stages?status=complete", timeout=10) as page:
+        return {(x["stageId"], x["attemptId"]): x for x in json.load(page)}
 
 
 def logical(rows: DataFrame) -> tuple[int, int]:
@@ -137,14 +143,73 @@ def output_buckets(stats: DataFrame) -> DataFrame:
     return stats.groupBy(log(F.col("n")).alias("len_bucket"), log(F.col("cf")).alias("cf_bucket")).agg(F.count(F.lit(1)).alias("grams"))
 
 
-def compare(p: Prepared, tau: int, sigma: int, names: tuple[str, ...] = ("direct", "scan", "index", "suffix")) -> list[Measure]:
-    """Each method on the same prepared corpus, so that preparation is in none of the times."""
+def entries_held(all_counts: DataFrame, tau: int, sigma: int, K: int = 4) -> DataFrame:
+    """(method, held): what one task of a method keeps at once, in entries. ``all_counts``: ids, cf of all n-grams, nothing filtered.
+
+    scan: the frequent n-grams of its largest level but the last; index: the occurrences in the longest list of at most ``K`` terms;
+    suffix_hash: the n-grams that begin with one term; suffix: the terms of the longest path.
+    """
+    n = F.size("ids")
+    levels = all_counts.where((F.col("cf") >= tau) & (n < sigma)).groupBy(n.alias("n")).agg(F.count(F.lit(1)).alias("x"))
+    firsts = all_counts.groupBy(F.col("ids")[0].alias("first")).agg(F.count(F.lit(1)).alias("x"))
+    most = lambda df, x: df.agg(F.coalesce(F.max(x), F.lit(0)).cast("bigint").alias("held"))
+    parts = {"scan": most(levels, "x"), "index": most(all_counts.where(n <= K), "cf"), "suffix_hash": most(firsts, "x"), "suffix": most(all_counts, n)}
+    rows = [df.select(F.lit(name).alias("method"), "held") for name, df in parts.items()]
+    return rows[0].union(rows[1]).union(rows[2]).union(rows[3])
+
+
+def byte_orders(spark: SparkSession, lengths: tuple[int, ...], copies: int) -> DataFrame:
+    """(terms, method, records, bytes) for ``copies`` of one document of so many different terms, at unbounded length: n-grams take
+    bytes with the cube of the document's length, suffixes with its square."""
+    n = F.col("terms")
+    grid = spark.createDataFrame([(x,) for x in lengths], "terms long")
+    runs = grid.select("terms", F.expr("transform(sequence(1, terms), i -> cast(i as int))").alias("ids"), F.explode(F.sequence(F.lit(1), F.lit(copies))).alias("copy"))
+    parts = []
+    for method, rows in (("direct", gram_rows), ("suffix", suffix_rows)):
+        sent = rows(runs.select(n.alias("doc_id"), F.col("copy").cast("long").alias("pos"), "ids"), max(lengths), "doc_id")
+        parts.append(sent.groupBy(F.col("doc_id").alias("terms")).agg(F.count(F.lit(1)).alias("records"), F.sum(varbyte_size(F.col("ids"))).cast("bigint").alias("bytes")).select("terms", F.lit(method).alias("method"), "records", "bytes"))
+    return parts[0].union(parts[1])
+
+
+def growth(orders: DataFrame) -> DataFrame:
+    """``byte_orders`` with the power of the length by which records and bytes grew since the length before."""
+    w = Window.partitionBy("method").orderBy("terms")
+    power = lambda c: F.round(F.log(F.col(c) / F.lag(c).over(w)) / F.log(F.col("terms") / F.lag("terms").over(w)), 2)
+    return orders.select("*", power("records").alias("records_power"), power("bytes").alias("bytes_power"))
+
+
+def methods() -> dict[str, Callable[[Prepared, int, int], DataFrame]]:
     from seqstat.operators.direct import direct_count
     from seqstat.operators.levelwise_scan import levelwise_scan
     from seqstat.operators.suffix import suffix_scan
 
-    make = {"direct": direct_count, "scan": levelwise_scan, "index": lambda *a: levelwise_index(*a, 4)[0], "suffix": suffix_scan}
-    return [timed(name, lambda n=name: make[n](p, tau, sigma)) for name in names]
+    return {"direct": direct_count, "scan": levelwise_scan, "index": lambda *a: levelwise_index(*a, 4)[0], "suffix": suffix_scan}
+
+
+def effort() -> dict[str, int]:
+    """Lines of our own code that each method needs beside the engine's operators: its module, and the suffix method's kernel."""
+    from seqstat.operators import direct, levelwise_index, levelwise_scan, suffix, suffix_kernel
+
+    parts = {"direct": [direct], "scan": [levelwise_scan], "index": [levelwise_index], "suffix": [suffix, suffix_kernel]}
+    lines = lambda m: sum(bool(x.strip()) and not x.strip().startswith("#") for x in inspect.getsource(m).splitlines())
+    return {name: sum(map(lines, modules)) for name, modules in parts.items()}
+
+
+def protocol(spark: SparkSession, repeats: int) -> dict[str, str]:
+    """The conditions of a measurement."""
+    sc = spark.sparkContext
+    asked = {"shuffle_partitions": "spark.sql.shuffle.partitions", "adaptive": "spark.sql.adaptive.enabled", "max_partition_bytes": "spark.sql.files.maxPartitionBytes"}
+    return {"spark": sc.version, "master": sc.master, "slots": str(sc.defaultParallelism), "repeats": str(repeats)} | {k: spark.conf.get(v) for k, v in asked.items()}
+
+
+def compare(p: Prepared, tau: int, sigma: int, names: tuple[str, ...] = ("direct", "scan", "index", "suffix"), repeats: int = 1) -> list[Measure]:
+    """Each method on the same prepared corpus, so that preparation is in none of the times; of several runs the one of median time."""
+    make, out = methods(), []
+    for name in names:
+        runs = [timed(name, lambda n=name: make[n](p, tau, sigma)) for _ in range(repeats)]
+        middle = statistics.median_low([m.seconds for m in runs])
+        out.append(next(m for m in runs if m.seconds == middle))
+    return out
 
 
 def speedup(measures: list[Measure], own: str = "suffix") -> dict[str, float]:
@@ -156,4 +221,4 @@ def as_row(m: Measure) -> dict:
     return asdict(m)
 
 
-__all__ = ["Measure", "compare", "corpus_profile", "expected_direct", "expected_index", "expected_scan", "expected_suffix", "logical", "output_buckets", "postings", "records", "speedup", "timed"]
+__all__ = ["Measure", "byte_orders", "compare", "corpus_profile", "effort", "entries_held", "expected_direct", "expected_index", "expected_scan", "expected_suffix", "growth", "logical", "methods", "output_buckets", "postings", "protocol", "records", "speedup", "timed"]

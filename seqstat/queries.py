@@ -274,6 +274,35 @@ def measured(spark: SparkSession, sf_dir: str) -> DataFrame:
 add("records_measured", measured)
 
 
+def held(spark: SparkSession, sf_dir: str) -> DataFrame:
+    p = prepare(text.documents(spark, sf_dir), LM[0], Options())
+    return measures.entries_held(tables.stage(direct_count(p, 1, LM[1]), "counts"), *LM)
+
+
+HELD = {
+    "scan": f"(select max(x) from (select count(*) x from whole where cf >= {LM[0]} and n < {LM[1]} group by n))",
+    "index": "(select max(cf) from whole where n <= 4)",
+    "suffix_hash": "(select max(x) from (select count(*) x from whole group by string_split(gram, ' ')[1]))",
+    "suffix": "(select max(n) from whole)",
+}
+add("memory_held", held, f"{oracle.ctes(*LM)}, whole as materialized (select gram, n, count(*) cf from grams group by gram, n) " + " union all ".join(f"select '{m}' as method, cast({x} as bigint) held" for m, x in HELD.items()))
+
+#: Lengths and copies of the document that shows how bytes grow.
+STRESS, COPIES = (25, 50, 100, 200), 10
+SIZED = f"select unnest([{', '.join(map(str, STRESS))}]) terms"
+add(
+    "stress_bytes",
+    lambda spark, sf_dir: measures.growth(measures.byte_orders(spark, STRESS, COPIES)),
+    f"""with l as ({SIZED}), t as (select terms, unnest(range(1, terms + 1)) i from l), s as (select terms, i, case when i < 128 then 1 else 2 end b from t),
+    o as (select cast(terms as bigint) terms, 'direct' as method, cast({COPIES} * sum(terms - i + 1) as bigint) records, cast({COPIES} * sum(b * i * (terms - i + 1)) as bigint) bytes from s group by terms
+    union all select terms, 'suffix', {COPIES} * count(*), {COPIES} * sum(b * i) from s group by terms),
+    g as (select *, lag(records) over w r0, lag(bytes) over w b0, lag(terms) over w t0 from o window w as (partition by method order by terms))
+    select terms, method, records, bytes, round(ln(records / r0) / ln(terms / t0), 2) records_power, round(ln(bytes / b0) / ln(terms / t0), 2) bytes_power from g""",
+)
+add("effort", lambda spark, sf_dir: spark.createDataFrame(list(measures.effort().items()), "method string, lines long"))
+add("protocol", lambda spark, sf_dir: spark.createDataFrame(list(measures.protocol(spark, 1).items()), "setting string, value string"))
+
+
 # Consumers.
 def backoff(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Relative frequency of the last term given those before it."""

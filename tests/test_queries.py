@@ -10,7 +10,7 @@ KEYS = [
     "encoded_corpus", "corpus_profile_documents", "output_buckets", "records_index", "benchmark_overlap", "backoff_lm", "theta_subsumption",
     "interval_purchase", "asof_last_error", "cube_lang_source", "pivot_period", "win_range_frame", "vocab_except_all", "fn_array", "fn_lcp",
     "udtf_suffix_rows", "prefix_maximal", "prefix_closed", "maximal_relational", "closed_relational", "closed_analytics", "condensed_sizes",
-    "locate_gram", "vary_tau_40_index", "vary_tau_5_scan", "vary_sigma_50_index", "sample_50_scan", "sample_25_direct", "stream_tumbling", "stream_session", "stream_carry", "stream_dedupe", "stream_session_batch", "stream_merge",
+    "locate_gram", "memory_held", "stress_bytes", "vary_tau_40_index", "vary_tau_5_scan", "vary_sigma_50_index", "sample_50_scan", "sample_25_direct", "stream_tumbling", "stream_session", "stream_carry", "stream_dedupe", "stream_session_batch", "stream_merge",
 ]
 
 
@@ -26,3 +26,10 @@ def test_every_sql_has_a_query():
 def test_entry(spark):
     found = entry.entry(spark)
     assert found.columns == ["gram", "n", "cf"] and found.count() > 0
+
+
+def test_measures_of_conditions(spark):
+    found = {r["method"]: r["lines"] for r in entry.queries()["effort"](spark, "").collect()}
+    assert found["direct"] < min(found["scan"], found["index"], found["suffix"])
+    kept = {r["setting"]: r["value"] for r in entry.queries()["protocol"](spark, "").collect()}
+    assert kept["slots"] == "4" and kept["repeats"] == "1"
