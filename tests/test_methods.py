@@ -188,3 +188,21 @@ def test_locate_joins_postings(spark):
     found = locate(p, 1, "a b c d e".split(), K=2)
     assert {(r["doc_id"], r["pos"] & (text.STRIDE - 1)) for r in found.collect()} == {(1, 0), (2, 1)}
     assert locate(p, 3, "a b c d e".split(), K=2).collect() == []
+
+
+def test_decoding_by_join_keeps_rows_together(spark):
+    """Rows that come in another order each time they are computed (as after an exchange) keep their own terms."""
+    import numpy as np
+    import pyarrow as pa
+
+    def shuffled(batches):
+        for batch in batches:
+            yield batch.take(pa.array(np.random.default_rng().permutation(batch.num_rows)))
+
+    words = spark.range(1, 501).select(F.concat(F.lit("t"), F.col("id")).alias("term"), F.col("id").cast("int").alias("id"))
+    rows = spark.range(1, 501).select(F.array(F.col("id").cast("int"), (501 - F.col("id")).cast("int")).alias("ids"), F.col("id").alias("cf"))
+    rows = rows.unionByName(spark.createDataFrame([([], 0)], "ids array<int>, cf long"))
+    want = {(f"t{i} t{501 - i}", i) for i in range(1, 501)} | {("", 0)}
+    for limit in (0, 1000):  # by a join, by lookup
+        found = decode(rows.mapInArrow(shuffled, "ids array<int>, cf long"), words, broadcast_terms=limit)
+        assert sorted(tuple(r) for r in found.collect()) == sorted(want)
