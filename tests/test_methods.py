@@ -206,3 +206,19 @@ def test_decoding_by_join_keeps_rows_together(spark):
     for limit in (0, 1000):  # by a join, by lookup
         found = decode(rows.mapInArrow(shuffled, "ids array<int>, cf long"), words, broadcast_terms=limit)
         assert sorted(tuple(r) for r in found.collect()) == sorted(want)
+
+
+def test_posting_lists_meet_by_position(spark, monkeypatch, capsys):
+    """A common overlap doesn't pair every list with every other one: entries are joined by document and position."""
+    from seqstat.operators import levelwise_index as lists
+
+    p = prepare(text.literal(spark, *[f"a{i} x b{i}" for i in range(40)]), 1)
+    level = lists.postings(lists.windows(p.runs, 2, "doc_id"), 1)
+    joined = []
+    monkeypatch.setattr(lists, "stage", lambda df, name: joined.append(df) or df)
+    assert lists.extend_nested(level, 3, 1).count() == 40
+    joined[0].explain("simple")
+    joins = [x for x in capsys.readouterr().out.splitlines() if "Join [doc_id" in x]
+    assert len(joins) == 1 and "pos#" in joins[0]
+    monkeypatch.undo()
+    assert grams(levelwise_index(p, 1, 3, 2, shards=2)[0], p) == grams(direct_count(p, 1, 3), p)
