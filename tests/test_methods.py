@@ -222,3 +222,25 @@ def test_posting_lists_meet_by_position(spark, monkeypatch, capsys):
     assert len(joins) == 1 and "pos#" in joins[0]
     monkeypatch.undo()
     assert grams(levelwise_index(p, 1, 3, 2, shards=2)[0], p) == grams(direct_count(p, 1, 3), p)
+
+
+def test_direct_counting_in_turns(spark, monkeypatch, capsys):
+    from seqstat.operators import direct
+
+    p = prepare(text.literal(spark, *EXAMPLE), 3)
+    written, stage = [], direct.stage
+    monkeypatch.setattr(direct, "stage", lambda df, name, keep: written.append(name) or stage(df, name, keep))
+    assert grams(direct_count(p, 3, 3, turn_bytes=100), p) == ALL and len(written) > 3
+    direct_count(p, 3, 3).explain()
+    assert "partial_count" in capsys.readouterr().out
+
+
+def test_documents_combine_before_any_exchange_of_grams(spark, capsys):
+    from seqstat.operators.direct import within_documents
+
+    p = prepare(text.literal(spark, *EXAMPLE), 3)
+    rows = within_documents(p.runs, 3)
+    assert rows.count() == 29
+    rows.explain()
+    plan = capsys.readouterr().out
+    assert plan.count("Exchange") == 1 and "hashpartitioning(doc_id" in plan
