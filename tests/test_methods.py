@@ -244,3 +244,13 @@ def test_documents_combine_before_any_exchange_of_grams(spark, capsys):
     rows.explain()
     plan = capsys.readouterr().out
     assert plan.count("Exchange") == 1 and "hashpartitioning(doc_id" in plan
+
+
+def test_condensed_sizes_count_once(spark, monkeypatch):
+    from conftest import SF
+
+    from seqstat import queries
+
+    calls, scan = [], queries.suffix_scan
+    monkeypatch.setattr(queries, "suffix_scan", lambda *a, **k: calls.append(a) or scan(*a, **k))
+    assert queries.condensed_sizes(spark, SF).count() == 2 and len(calls) == 1
