@@ -254,3 +254,15 @@ def test_condensed_sizes_count_once(spark, monkeypatch):
     calls, scan = [], queries.suffix_scan
     monkeypatch.setattr(queries, "suffix_scan", lambda *a, **k: calls.append(a) or scan(*a, **k))
     assert queries.condensed_sizes(spark, SF).count() == 2 and len(calls) == 1
+
+
+def test_index_frequencies_in_turns(spark, monkeypatch, capsys):
+    """Lists take a row for each n-gram and document, dealt by document first; the result is the same in many turns."""
+    from functools import partial
+
+    p = prepare(text.literal(spark, *EXAMPLE), 3)
+    want = grams(aggregate.document_frequency(p, 2, 3, "direct"), p, "df")
+    aggregate.document_frequency(p, 2, 3, "index").explain()
+    assert "hashpartitioning(doc_id" in capsys.readouterr().out
+    monkeypatch.setattr(aggregate, "in_turns", partial(aggregate.in_turns, turn_bytes=500))
+    assert grams(aggregate.document_frequency(p, 2, 3, "index"), p, "df") == want
