@@ -88,6 +88,12 @@ def test_language_values(docs):
     assert found[1]["lang_pred"] in ("en", "fr")
 
 
+def test_known_languages_move_no_text(spark, docs):
+    known = language_id.keep_known(docs.select("doc_id", "text", "lang", "source", "n_chars"))
+    plan = known._jdf.queryExecution().executedPlan().toString()
+    assert "Exchange" not in plan and "Join" not in plan and known.count() == 7
+
+
 def test_pipeline(spark, docs):
     left, counts = docs.select("doc_id", "text", "lang", "source", "n_chars"), []
     columns = left.columns
