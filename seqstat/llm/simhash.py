@@ -28,6 +28,8 @@ SMALL = 48
 PARITIES = ["p0", "p1", "p2", "p3"]
 #: The bits of a shingle's hash by which its frequency is looked up: fewer bits cross the network, and two shingles that share them share a rank.
 LEADING = (1 << 64) - (1 << 24)
+#: Bytes of text whose shingles one task counts.
+TASK_TEXT = 8 << 20
 
 
 def shingle_hashes(words: list[bytes], n: int) -> np.ndarray:
@@ -148,30 +150,38 @@ def shingle_sets(docs: DataFrame, words: int) -> DataFrame:
     return docs.select(F.col("doc_id").cast("long"), F.col("text").cast("string")).mapInArrow(run, "id long, shingles array<long>")
 
 
-def common_shingles(docs: DataFrame, words: int, rows: int = 20000, share: float = 0.4, most: int = 500_000) -> tuple[np.ndarray, np.ndarray]:
-    """(leading bits of hashes in order, rows that hold them): the commonest shingles of a sample of ``share`` of the rows, or of ``rows`` if that is more.
+def common_shingles(docs: DataFrame, words: int, most: int = 500_000) -> tuple[np.ndarray, np.ndarray]:
+    """(leading bits of hashes in order, rows that hold them): the commonest shingles, counted over all rows.
 
-    They only set the order in which ``prefix`` takes shingles, so the sample and the bound decide the cost and never the result.
+    They only set the order in which ``prefix`` takes shingles, so the bound of the table decides the cost and never the result.
     """
-    part = int(min(1.0, max(share, rows / max(1, docs.count()))) * (1 << 20))
-    sampled = docs.where(F.pmod(F.xxhash64(F.lit(SEED), "doc_id"), F.lit(1 << 20)) < part)
-    leading = F.col("shingle").bitwiseAND(LEADING - (1 << 64)).alias("shingle")
-    counts = shingle_sets(sampled, words).select(F.explode("shingles").alias("shingle")).select(leading).groupBy("shingle").agg(F.count(F.lit(1)).alias("n")).where("n > 1")
-    counts = stage(counts, "common")
-    least, total = 2, 0
-    for r in sorted(counts.groupBy("n").agg(F.count(F.lit(1)).alias("kinds")).collect(), reverse=True):
-        total += r["kinds"]
-        if total > most:
-            least = r["n"] + 1
-            break
-    found = counts.where(F.col("n") >= least).toArrow()
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            sets = [np.unique(shingle_hashes(ascii_words(t.as_py()), words) & np.uint64(LEADING)) for t in batch.column(0)]
+            found, n = np.unique(np.concatenate([np.empty(0, np.uint64), *sets]), return_counts=True)
+            yield pa.RecordBatch.from_arrays([pa.array(found.view(np.int64)), pa.array(n, pa.int64())], ["shingle", "n"])
+
+    with scratch(docs.sparkSession):
+        # Most shingles occur once, so tables of them before the exchange would combine little and spill.
+        octets = docs.agg(F.sum(F.octet_length(F.col("text").cast("string")))).first()[0] or 0
+        parts = max(int(docs.sparkSession.conf.get("spark.sql.shuffle.partitions")), -(-octets // TASK_TEXT))
+        drawn = docs.select(F.col("text").cast("string")).mapInArrow(run, "shingle long, n long").repartition(parts, "shingle")
+        counts = stage(drawn.groupBy("shingle").agg(F.sum("n").alias("n")).where("n > 1"), "common")
+        least, total = 2, 0
+        for r in sorted(counts.groupBy("n").agg(F.count(F.lit(1)).alias("kinds")).collect(), reverse=True):
+            total += r["kinds"]
+            if total > most:
+                least = r["n"] + 1
+                break
+        found = counts.where(F.col("n") >= least).toArrow()
     hashes = found["shingle"].to_numpy().astype(np.int64).view(np.uint64)
     order = np.argsort(hashes)
     return hashes[order], found["n"].to_numpy()[order]
 
 
 def prefix(hashes: np.ndarray, common: np.ndarray, counts: np.ndarray, similarity: float) -> np.ndarray:
-    """The first shingles of a set in one order of all shingles (those of no sample count first, then the rarer), so many that two
+    """The first shingles of a set in one order of all shingles (those without a count first, then the rarer), so many that two
     sets of this Jaccard similarity or more share one of them. The empty set has zero."""
     if not len(hashes):
         return np.zeros(1, np.uint64)

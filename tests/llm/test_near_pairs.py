@@ -3,6 +3,7 @@
 import itertools
 
 import numpy as np
+from pyspark.sql import functions as F
 
 from seqstat.llm import simhash
 
@@ -82,3 +83,9 @@ def test_border_group_costs_no_pair(spark):
             own[at] = f"n{i}.{at}"
         rows.append((i, " ".join(own)))
     assert groups(spark, rows) == plain_groups(rows)
+
+
+def test_shingles_are_counted_over_all_rows(spark):
+    docs = spark.range(60_000).select(F.col("id").alias("doc_id"), F.lit("one two three four five").alias("text"))
+    hashes, counts = simhash.common_shingles(docs, 5)
+    assert len(hashes) == 1 and counts.tolist() == [60_000]
