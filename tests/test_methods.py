@@ -266,3 +266,25 @@ def test_index_frequencies_in_turns(spark, monkeypatch, capsys):
     assert "hashpartitioning(doc_id" in capsys.readouterr().out
     monkeypatch.setattr(aggregate, "in_turns", partial(aggregate.in_turns, turn_bytes=500))
     assert grams(aggregate.document_frequency(p, 2, 3, "index"), p, "df") == want
+
+
+def test_stress_bytes_are_those_of_the_rows(spark):
+    """Reckoned from places and ids, as many records and bytes as the rows of either method have; from the given table."""
+    import __spark_entry__ as entry
+    from seqstat.functions import text
+    from seqstat.operators.direct import gram_rows, suffix_rows
+    from seqstat.operators.encode import prepare
+    from seqstat.plans import measures
+    from seqstat.sources import tables
+
+    sf = "/root/testdata/sf0.001"
+    docs = tables.table(spark, sf, "documents", "doc_id", "text").select("doc_id", text.tokens(F.col("text")).alias("terms"))
+    found = {(r["terms"], r["method"]): (r["records"], r["bytes"]) for r in measures.byte_orders(docs.select("terms"), (5, 10, 40)).collect()}
+    p = prepare(text.from_sequences(docs.withColumn("seq_no", F.lit(0))), 1)
+    long = p.runs.where(F.size("ids") >= 40)
+    assert long.count() > 50
+    for n in (5, 10, 40):
+        cut = long.withColumn("ids", F.slice("ids", 1, n))
+        assert found[n, "direct"] == measures.logical(gram_rows(cut, n)) and found[n, "suffix"] == measures.logical(suffix_rows(cut, n))
+    plan = entry.queries()["stress_bytes"](spark, sf)._jdf.queryExecution().toString()
+    assert "documents.parquet" in plan
