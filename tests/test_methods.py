@@ -288,3 +288,26 @@ def test_stress_bytes_are_those_of_the_rows(spark):
         assert found[n, "direct"] == measures.logical(gram_rows(cut, n)) and found[n, "suffix"] == measures.logical(suffix_rows(cut, n))
     plan = entry.queries()["stress_bytes"](spark, sf)._jdf.queryExecution().toString()
     assert "documents.parquet" in plan
+
+
+def test_posting_lists_over_batches(spark):
+    """A list that goes on over many batches stays one; lists are sorted by document and position; the last level is only counted."""
+    from seqstat.operators import levelwise_index as lists
+
+    spark.conf.set("spark.sql.execution.arrow.maxRecordsPerBatch", "3")
+    try:
+        p = prepare(text.literal(spark, *["a b " * 5 + f"c{i} d a b" for i in range(4)]), 1)
+        found = {tuple(r["ids"]): r for r in lists.postings(lists.windows(p.runs, 2, "doc_id"), 2).collect()}
+        name = {r["id"]: r["term"] for r in p.dictionary.collect()}
+        found = {" ".join(name[i] for i in k): r for k, r in found.items()}
+        assert set(found) == {"a b", "b a", "d a"} and found["a b"]["cf"] == 24
+        at = [(e["doc_id"], [x & (text.STRIDE - 1) for x in e["positions"]]) for e in found["a b"]["plist"]]
+        assert at == [(d, [0, 2, 4, 6, 8, 12]) for d in (1, 2, 3, 4)]
+        joined = []
+        stats, last = levelwise_index(p, 2, 4, 2, shards=3, seen=lambda k, level: joined.append(k))
+        assert joined == [2, 3] and grams(stats, p) == grams(direct_count(p, 2, 4), p)
+        assert {tuple(r["ids"]) for r in last.collect()} == {tuple(r["ids"]) for r in stats.where("size(ids) = 4").collect()}
+        empty = p.runs.limit(0)
+        assert lists.postings(lists.windows(empty, 2, "doc_id"), 1).count() == 0
+    finally:
+        spark.conf.unset("spark.sql.execution.arrow.maxRecordsPerBatch")
