@@ -311,3 +311,18 @@ def test_posting_lists_over_batches(spark):
         assert lists.postings(lists.windows(empty, 2, "doc_id"), 1).count() == 0
     finally:
         spark.conf.unset("spark.sql.execution.arrow.maxRecordsPerBatch")
+
+
+def test_generated_candidates_in_turns(spark, monkeypatch):
+    """Candidates beyond the bytes of a turn are dealt over turns by the gram that begins them; none is lost."""
+    from seqstat.operators import levelwise_scan as scan
+
+    p = prepare(text.literal(spark, *EXAMPLE, "a b x a b", "b b a x x"), 2)
+    want, turns = grams(direct_count(p, 2, 4), p), []
+    level = scan.stage(direct_count(p, 2, 2).where("size(ids) = 2"), "level")
+    assert scan.generated_number(level, 3) == scan.generated(level, 3).count() > 4
+    keep = scan.stage
+    monkeypatch.setattr(scan, "stage", lambda df, name, **kw: turns.append(name) or keep(df, name, **kw))
+    monkeypatch.setattr(scan.counted_generated, "__defaults__", (100,))
+    assert grams(levelwise_scan(p, 2, 4, candidates="generated"), p) == want
+    assert turns.count("turn") > 4
