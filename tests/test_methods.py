@@ -326,3 +326,22 @@ def test_generated_candidates_in_turns(spark, monkeypatch):
     monkeypatch.setattr(scan.counted_generated, "__defaults__", (100,))
     assert grams(levelwise_scan(p, 2, 4, candidates="generated"), p) == want
     assert turns.count("turn") > 4
+
+
+def test_long_lists_leap(spark):
+    """Lists of four terms or more give all lengths up to twice their own in one round; null ids and batch borders break no gram."""
+    rng = random.Random(5)
+    piece = [f"w{rng.randrange(6)}" for _ in range(37)]
+    texts = [" ".join(piece[rng.randrange(6) :] + [f"u{i}"] + piece[: rng.randrange(20, 37)]) for i in range(9)]
+    spark.conf.set("spark.sql.execution.arrow.maxRecordsPerBatch", "7")
+    try:
+        p = prepare(text.literal(spark, *texts).withColumn("doc_id", F.when(F.col("doc_id") != 4, F.col("doc_id"))), 3)
+        for sigma, levels in ((30, [4, 8, 16]), (13, [4, 8]), (None, [4, 8, 16, 32])):
+            joined = []
+            stats, last = levelwise_index(p, 3, sigma, 4, shards=2, seen=lambda k, level: joined.append(k))
+            assert joined == levels and grams(stats, p) == grams(direct_count(p, 3, sigma or 80), p)
+        assert last.count() == 0
+        last = levelwise_index(p, 3, 13, 4)[1]
+        assert {tuple(r["ids"]): r["cf"] for r in last.collect()} == {tuple(r["ids"]): r["cf"] for r in direct_count(p, 3, 13).where("size(ids) = 13").collect()}
+    finally:
+        spark.conf.unset("spark.sql.execution.arrow.maxRecordsPerBatch")
