@@ -9,7 +9,7 @@ from pyspark.sql import functions as F
 from seqstat.functions import text
 from seqstat.operators import aggregate, condense
 from seqstat.operators.direct import direct_count
-from seqstat.operators.encode import Options, build_dictionary, decode, prepare, sort_key, varbyte_size
+from seqstat.operators.encode import Options, build_dictionary, decode, encode, prepare, sort_key, varbyte_size
 from seqstat.operators.levelwise_index import levelwise_index, locate
 from seqstat.operators.levelwise_scan import levelwise_scan
 from seqstat.operators.direct import suffix_rows
@@ -345,3 +345,25 @@ def test_long_lists_leap(spark):
         assert {tuple(r["ids"]): r["cf"] for r in last.collect()} == {tuple(r["ids"]): r["cf"] for r in direct_count(p, 3, 13).where("size(ids) = 13").collect()}
     finally:
         spark.conf.unset("spark.sql.execution.arrow.maxRecordsPerBatch")
+
+
+def test_joined_encoding_keeps_sequences_apart(spark):
+    """Sequences of two sides that agree in document and position are encoded each for itself, by a join as by lookup."""
+    side = lambda name, *texts: text.literal(spark, *texts).withColumn("side", F.lit(name))
+    both = side("x", "a b r1 c a", "b c").unionByName(side("y", "c r2 b a a b", "c c r3 a"))
+    known = build_dictionary(both, 2)
+    found = [Counter((r["doc_id"], r["seq_no"], r["pos"], r["side"], tuple(r["ids"])) for r in encode(both, known, how).collect()) for how in ("arrow", "join")]
+    assert found[0] == found[1] and sum(found[0].values()) == 7
+
+
+def test_bloom_scan_in_turns(spark, monkeypatch):
+    """Windows of the filtered scan are dealt over turns by their first term: each turn is written by itself and nothing is lost."""
+    from seqstat.operators import levelwise_scan as scan
+
+    p = prepare(text.literal(spark, *["a b c d a b c", "b c d a b", "c d a b c d", "d a b"] * 2), 2)
+    written = []
+    monkeypatch.setattr(scan, "stage", lambda df, name, keep=False, real=scan.stage: written.append(name) or real(df, name, keep))
+    level = scan.counted_bloom(p, scan.level_one(p, 2), 2, 2, turn_bytes=500)
+    assert written.count("turn") > 1
+    level = scan.counted_bloom(p, level, 3, 2, turn_bytes=500)
+    assert grams(level, p) == grams(direct_count(p, 2, 3).where("size(ids) = 3"), p)
