@@ -367,3 +367,12 @@ def test_bloom_scan_in_turns(spark, monkeypatch):
     assert written.count("turn") > 1
     level = scan.counted_bloom(p, level, 3, 2, turn_bytes=500)
     assert grams(level, p) == grams(direct_count(p, 2, 3).where("size(ids) = 3"), p)
+
+
+def test_bloom_probe_queues_no_rows(spark):
+    """A Python column function would keep whole rows in a queue on disk; the filter is asked in a pass over batches."""
+    from seqstat.operators import levelwise_scan as scan
+
+    p = prepare(text.literal(spark, "a b c", "a b c"), 2)
+    plan = scan.prune(scan.windows(p.runs, 3), scan.levelwise_scan(p, 2, 2), 3, "bloom")._jdf.queryExecution().toString()
+    assert "ArrowEvalPython" not in plan and "MapInArrow" in plan
