@@ -376,3 +376,20 @@ def test_bloom_probe_queues_no_rows(spark):
     p = prepare(text.literal(spark, "a b c", "a b c"), 2)
     plan = scan.prune(scan.windows(p.runs, 3), scan.levelwise_scan(p, 2, 2), 3, "bloom")._jdf.queryExecution().toString()
     assert "ArrowEvalPython" not in plan and "MapInArrow" in plan
+
+
+def test_decoding_by_join_numbers_rows_once(spark):
+    """Numbers of rows are written before use: whatever is computed again reads them and doesn't number the rows in another order."""
+    computed = spark.sparkContext.accumulator(0)
+
+    def counted(batches):
+        for batch in batches:
+            computed.add(batch.num_rows)
+            yield batch
+
+    words = spark.range(1, 101).select(F.concat(F.lit("t"), F.col("id")).alias("term"), F.col("id").cast("int").alias("id"))
+    rows = spark.range(1, 101).select(F.array(F.col("id").cast("int")).alias("ids"), F.col("id").alias("cf"))
+    found = decode(rows.mapInArrow(counted, "ids array<int>, cf long"), words, broadcast_terms=0)
+    for _ in range(2):
+        assert sorted(tuple(r) for r in found.collect()) == sorted((f"t{i}", i) for i in range(1, 101))
+    assert computed.value == 100
