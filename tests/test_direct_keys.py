@@ -81,3 +81,14 @@ def test_many_rows_are_keys(spark, monkeypatch):
     assert {tuple(r["ids"]): r["cf"] for r in direct.direct_count(p, 2, 30, turn_bytes=20_000).collect()} == want
     with pytest.raises(TypeError):
         direct.direct_count(p, 2, 30, Options())
+
+
+def test_long_grams_of_a_query_are_keys(spark, same, monkeypatch):
+    """The registered query at sigma 50, all of it by keys, against its SQL."""
+    from seqstat import queries
+
+    calls, keyed = [], direct.counted_by_keys
+    monkeypatch.setattr(direct, "ROW_BYTES", 1000)
+    monkeypatch.setattr(direct, "counted_by_keys", lambda *a: calls.append(a) or keyed(*a))
+    same(queries.QUERIES["vary_sigma_50_direct"], queries.ORACLES["vary_sigma_50_direct"])
+    assert len(calls) == 1
